@@ -22,6 +22,33 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), *tokenizer_paths())
 
 
+def op2_suffix_arrays(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffixes import repeated_passages
+
+    return repeated_passages(table(spark, sf_dir, "documents")).drop("redundant")
+
+
+OP2_SQL = r"""
+WITH words AS (
+  SELECT doc_id, list_filter(string_split_regex(text, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents WHERE doc_id IS NOT NULL
+), windows AS (
+  SELECT doc_id, s, md5(array_to_string(w[s + 1 : s + 50], ' ')) AS t
+  FROM (SELECT doc_id, w, unnest(range(len(w) - 49)) AS s FROM words WHERE len(w) >= 50)
+), shared AS (
+  SELECT t, min(doc_id) AS f FROM windows GROUP BY t HAVING min(doc_id) <> max(doc_id)
+), hits AS (
+  SELECT doc_id, s, f, lag(s) OVER (PARTITION BY doc_id ORDER BY s) AS before FROM windows JOIN shared USING (t)
+), runs AS (
+  SELECT *, sum(CASE WHEN before IS NULL OR s - before > 50 THEN 1 ELSE 0 END) OVER (PARTITION BY doc_id ORDER BY s) AS k FROM hits
+), again AS (
+  SELECT doc_id, k, least(50, coalesce(s - lag(s) OVER (PARTITION BY doc_id, k ORDER BY s), 50)) AS fresh FROM runs WHERE f < doc_id
+)
+SELECT doc_id, min(s)::BIGINT AS start_word, (max(s) + 50)::BIGINT AS end_word, min(f)::BIGINT AS first_doc_id, coalesce(any_value(n), 0)::BIGINT AS n_redundant
+FROM runs LEFT JOIN (SELECT doc_id, k, sum(fresh) AS n FROM again GROUP BY ALL) USING (doc_id, k)
+GROUP BY doc_id, k
+"""
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack
 
@@ -64,8 +91,8 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op5_packing, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_token_counts, op2_suffix_arrays, op5_packing, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_suffix_arrays": OP2_SQL}

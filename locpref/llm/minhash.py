@@ -6,11 +6,12 @@ on, round t+b fills bin b from all shingles, so every coordinate is filled. Band
 ``rows`` coordinates give bucket keys. With 48 bands of 7 rows a pair at similarity
 0.8 shares no bucket with a chance of 1e-5.
 
-Texts with equal shingle sets are one class from the start. In every bucket the least
-class is a hub; each class is first checked against the hub it shares most buckets
-with. What these links join is contracted; then all pairs of one bucket that still
-lie in different components are checked too, so a class is never left out because of
-the hub it got. Every link is confirmed on the full shingle sets.
+Texts with equal shingle sets are one class from the start. In every bucket the class
+that meets most others over all its buckets is the hub; each class is first checked
+against the hub it shares most buckets with. What these links join is contracted.
+Components that still meet in a bucket are then compared block against block, so a
+class is never left out because of the hub it got. Every link is confirmed on the
+full shingle sets.
 
 Defined cases: a null or empty text, or one without words, has no shingles and links
 with nothing. Repeated rows give repeated result rows. Rows that share a ``doc_id``
@@ -33,6 +34,8 @@ from .components import components
 BANDS, ROWS = 48, 7
 #: Members of a hub that one task compares in a row; more are dealt over several.
 GROUP_ROWS = 500
+#: A block of rows that one task compares with another block: rows, and shingles.
+BLOCK_ROWS, BLOCK_SHINGLES = 400, 2_000_000
 _EMPTY = np.uint64(2**64 - 1)
 _STEP, _MULT, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93), np.uint64(0xFF51AFD7ED558CCD)
 _VALUE_BITS = np.uint64(50)
@@ -152,14 +155,106 @@ def verified(texts: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFr
     return sets.repartition("u", "part").sortWithinPartitions("u", "part", "member").mapInArrow(compare, "u long, v long")
 
 
-def _residual(members: DataFrame, comp: DataFrame, percent: int) -> DataFrame:
-    """Pairs of one bucket in different components whose sizes allow a link."""
+def spanning_links(sets: list[np.ndarray], side: np.ndarray, comp: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """Links between rows of side 0 and side 1 that join different components, as a forest.
+
+    All intersections come from products of incidence matrices, some thousand
+    shingles at a time; a shingle that only one row has can't count.
+    """
+    size = np.array([len(s) for s in sets], np.int64)
+    _, col, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    row = np.repeat(np.arange(len(sets)), size)
+    kept = count[col] > 1
+    row, col = row[kept], (np.cumsum(count > 1) - 1)[col[kept]]
+    order = np.argsort(col, kind="stable")
+    row, col = row[order], col[order]
+    place = np.zeros(len(sets), np.int64)
+    rows = [np.flatnonzero(side == k) for k in (0, 1)]
+    for r in rows:
+        place[r] = np.arange(len(r))
+    both = np.zeros((len(rows[0]), len(rows[1])), np.float32)
+    for first in range(0, int(col[-1]) + 1 if len(col) else 0, 4096):
+        cut = slice(*np.searchsorted(col, [first, first + 4096]))
+        grid = []
+        for k, r in enumerate(rows):
+            own = side[row[cut]] == k
+            g = np.zeros((len(r), 4096), np.float32)
+            g[place[row[cut][own]], col[cut][own] - first] = 1
+            grid.append(g)
+        both += grid[0] @ grid[1].T
+    a, b = rows
+    linked = (100 * both >= percent * (size[a][:, None] + size[b][None, :] - both)) & (comp[a][:, None] != comp[b][None, :])
+    parent: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while parent.setdefault(x, x) != x:
+            parent[x] = x = parent[parent[x]]
+        return x
+
+    out = []
+    i, j = np.nonzero(linked)
+    for x, y in zip(a[i].tolist(), b[j].tolist(), strict=True):
+        p, q = root(int(comp[x])), root(int(comp[y]))
+        if p != q:
+            parent[max(p, q)] = min(p, q)
+            out.append((x, y))
+    return out
+
+
+def _mixed(members: DataFrame, comp: DataFrame) -> DataFrame:
+    """``key, doc_id, n, component`` of buckets that hold several components."""
     placed = members.join(comp.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("component"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a <> b").select("key")
-    left = placed.join(mixed, "key")
-    right = left.select("key", F.col("doc_id").alias("doc_2"), F.col("n").alias("n_2"), F.col("component").alias("component_2"))
-    pairs = left.join(right, "key").where(f"doc_id < doc_2 and component <> component_2 and 100 * least(n, n_2) >= {percent} * greatest(n, n_2)")
-    return pairs.select(F.col("doc_id").alias("u"), F.col("doc_2").alias("v")).distinct()
+    mixed = placed.groupBy("key").agg(F.min("component").alias("least"), F.max("component").alias("b")).where("least <> b").select("key", "least")
+    return placed.join(mixed, "key")
+
+
+def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, percent: int) -> DataFrame:
+    """Links between components that meet in buckets, none left out.
+
+    Components that meet are gathered in clusters. The rows outside a cluster's
+    largest component are compared with each other and with that component, block
+    against block; a task holds two blocks of bounded size and returns a forest.
+    """
+    cluster = components(mixed.select(F.col("component").alias("u"), F.col("least").alias("v")), scratch, "clusters").withColumnRenamed("component", "cluster")
+    rows = mixed.groupBy("doc_id").agg(F.max("n").alias("n"), F.max("component").alias("component")).join(cluster.withColumnRenamed("node", "component"), "component")
+    rows = scratch.keep(rows, "cluster-rows")
+    parts = rows.groupBy("cluster", "component").agg(F.count("*").alias("c"), F.max("n").alias("n"))
+    whole = parts.groupBy("cluster").agg(F.max(F.struct("c", "component")).alias("major"), F.sum("c").alias("c"), F.max("n").alias("n"))
+    block = F.greatest(F.lit(8), F.least(F.lit(BLOCK_ROWS), F.floor(BLOCK_SHINGLES / F.col("n"))))
+    whole = whole.select("cluster", F.col("major.component").alias("major"), F.ceil((F.col("c") - F.col("major.c")) / block).cast("int").alias("k"), F.ceil(F.col("major.c") / block).cast("int").alias("l"))
+    minor = F.col("component") != F.col("major")
+    own = F.when(minor, F.pmod(F.xxhash64("doc_id"), F.col("k"))).otherwise(F.col("k") + F.pmod(F.xxhash64("doc_id"), F.col("l"))).cast("int")
+    placed = rows.join(whole, "cluster").withColumn("own", own).select("doc_id", "component", "cluster", "own", F.when(minor, F.col("k") + F.col("l")).otherwise(F.col("k")).alias("n_tasks"))
+    schema = pa.schema([("doc_id", pa.int64()), ("component", pa.int64()), ("cluster", pa.int64()), ("own", pa.int32()), ("n_tasks", pa.int32()), ("shingles", pa.binary())])
+
+    def to_sets(cols: dict[str, list]) -> dict[str, list]:
+        return {c: cols[c] for c in ("doc_id", "component", "cluster", "own", "n_tasks")} | {"shingles": [shingle_set(t, k).tobytes() for t in cols["text"]]}
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        group, held = None, []
+
+        def finish() -> pa.RecordBatch:
+            found = []
+            if held and group is not None:
+                i, j = group[1:]
+                # in a block of its own every row stands on either side
+                rows = [(h, 0) for h in held if h[1] == i] + [(h, 1) for h in held if h[1] == j]
+                ids = [h[0] for h, _ in rows]
+                found = [(ids[x], ids[y]) for x, y in spanning_links([h[3] for h, _ in rows], np.array([s for _, s in rows]), np.array([h[2] for h, _ in rows], np.int64), percent)]
+            return pa.RecordBatch.from_pydict({"u": pa.array([x for x, _ in found], pa.int64()), "v": pa.array([y for _, y in found], pa.int64())})
+
+        for batch in batches:
+            for cluster, i, j, doc, own, comp, raw in zip(*(batch.column(c).to_pylist() for c in ("cluster", "i", "j", "doc_id", "own", "component", "shingles")), strict=True):
+                if (cluster, i, j) != group:
+                    if held:
+                        yield finish()
+                    group, held = (cluster, i, j), []
+                held.append((doc, own, comp, np.frombuffer(raw, np.uint64)))
+        yield finish()
+
+    sets = texts.join(placed.hint("shuffle_hash"), "doc_id").mapInArrow(arrow_rows(to_sets, schema, 128), "doc_id long, component long, cluster long, own int, n_tasks int, shingles binary")
+    tasks = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n_tasks") - 1))).withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other")).drop("n_tasks", "other")
+    return tasks.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j").mapInArrow(compare, "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -171,20 +266,23 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, bands: int =
     classes = scratch.keep(marks.where("doc_id is not null and fp is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")), "classes")
     heads = marks.join(classes.select("fp", F.col("rep").alias("doc_id")), ["fp", "doc_id"], "left_semi")
     keyed = heads.select("doc_id", "n", F.explode("bands").alias("key"))
-    shared = keyed.groupBy("key").agg(F.min(F.struct("doc_id", "n")).alias("hub"), F.count("*").alias("c")).where("c > 1").select("key", "hub")
+    shared = keyed.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
     members = scratch.keep(keyed.join(shared.hint("shuffle_hash"), "key"), "members")
-    starred = members.where(F.col("doc_id") != F.col("hub.doc_id")).groupBy("doc_id", "n", "hub").agg(F.count("*").alias("c"))
+    reach = members.groupBy("doc_id").agg(F.sum("c").alias("reach"))
+    ranked = members.join(reach, "doc_id").select("key", "doc_id", "n", F.struct("reach", (-F.col("doc_id")).alias("minus"), F.col("n").alias("n")).alias("place"))
+    hubs = ranked.groupBy("key").agg(F.max("place").alias("hub"))
+    starred = ranked.join(hubs, "key").where("hub.minus <> -doc_id").groupBy("doc_id", "n", "hub").agg(F.count("*").alias("c"))
     starred = starred.where(f"100 * least(n, hub.n) >= {percent} * greatest(n, hub.n)")
-    best = starred.groupBy("doc_id").agg(F.max(F.struct("c", (-F.col("hub.doc_id")).alias("hub"))).alias("b")).select((-F.col("b.hub")).alias("u"), F.col("doc_id").alias("v"))
+    best = starred.groupBy("doc_id").agg(F.max(F.struct("c", "hub")).alias("b")).select((-F.col("b.hub.minus")).alias("u"), F.col("doc_id").alias("v"))
     links = scratch.keep(verified(texts, scratch.keep(best, "best"), k, percent), "links")
     comp = components(links, scratch, "first")
-    rest = scratch.keep(_residual(members, comp, percent).join(links, ["u", "v"], "left_anti"), "rest")
-    if not rest.isEmpty():
-        more = scratch.keep(verified(texts, rest, k, percent), "more")
+    mixed = scratch.keep(_mixed(members, comp), "mixed")
+    if not mixed.isEmpty():
+        more = scratch.keep(_rest_links(texts, mixed, scratch, k, percent), "more")
         if not more.isEmpty():
             comp = components(links.unionByName(more), scratch, "second")
     comp = scratch.keep(comp, "components")
-    scratch.drop("members", "rest", "best")
+    scratch.drop("members", "mixed", "best")
     labelled = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
     done = marks.where("fp is not null").select("doc_id", "n", "fp").join(labelled, "fp", "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
     bare = marks.where("fp is null").select("doc_id", "n", F.col("doc_id").alias("component_id"))

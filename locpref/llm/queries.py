@@ -49,6 +49,47 @@ GROUP BY doc_id, k
 """
 
 
+def op3_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import secrets as s
+
+    found = s.find_secrets(table(spark, sf_dir, "documents"))
+    counts = [s.count_kind("base", k).alias(f"n_{s.KINDS[k]}") for k in range(3)]
+    return found.select("doc_id", *counts, F.sha2(s.listed("base").cast("binary"), 256).alias("base_sha256"), s.listed("found").alias("spans"), s.count_kind("found", 3).alias("n_entropy"))
+
+
+def op3_sql() -> str:
+    """The same by string functions: positions by prefix sums, entropy window by window."""
+    from . import secrets as s
+
+    quoted = lambda p: "'" + p.replace("'", "''") + "'"
+    kind = lambda k, p, group, least: f"SELECT r, {k} AS k, string_split_regex(t, {quoted(p)}) AS g, regexp_extract_all(t, {quoted(p)}, 0) AS a, regexp_extract_all(t, {quoted(p)}, {group}) AS p, {least} AS least FROM d"
+    allow = " OR ".join(f"regexp_matches(word, {quoted(p)})" for p in s.ALLOW)
+    return f"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t FROM documents),
+m AS ({kind(0, s.ASSIGN, 2, 6)} UNION ALL {kind(1, s.ACCESS, 0, 0)} UNION ALL {kind(2, s.HEX, 0, 0)} UNION ALL {kind(3, s.CANDIDATE, 0, 0)}),
+one AS (SELECT *, unnest(range(1, len(a) + 1)) AS i FROM m),
+placed AS (
+  SELECT r, k, p[i] AS word, list_sum(list_transform(g[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(a[1:i - 1], lambda x: length(x))), 0) AS s, length(a[i]) AS n
+  FROM one WHERE length(p[i]) >= least
+), base AS (SELECT r, k, s::BIGINT AS s, (s + n)::BIGINT AS e FROM placed WHERE k < 3),
+cand AS (
+  SELECT c.r, c.k, c.s::BIGINT AS s, (c.s + c.n)::BIGINT AS e, c.word FROM placed c
+  WHERE k = 3 AND regexp_matches(word, '[0-9]') AND NOT ({allow}) AND NOT EXISTS (SELECT 1 FROM base b WHERE b.r = c.r AND b.s < c.s + c.n AND c.s < b.e)
+), cut AS (SELECT *, substr(word, (unnest(range(1, length(word) - {s.WINDOW - 2})))::BIGINT, {s.WINDOW}) AS w FROM cand),
+bits AS (
+  SELECT r, k, s, e, word, max(log2({s.WINDOW}) - list_sum(list_transform(list_distinct(string_split(w, '')), lambda x: ({s.WINDOW} - length(replace(w, x, ''))) * log2({s.WINDOW} - length(replace(w, x, ''))))) / {s.WINDOW}) AS h
+  FROM cut GROUP BY ALL
+), extra AS (SELECT r, k, s, e FROM bits WHERE h >= CASE WHEN regexp_matches(word, '^[0-9a-fA-F]+$') THEN {s.HEX_BITS} ELSE {s.BASE64_BITS} END),
+named AS (SELECT *, ['assign', 'access', 'hex', 'entropy'][k + 1] || ':' || s || ':' || e AS x FROM (FROM base UNION ALL FROM extra)),
+summed AS (
+  SELECT r, count(*) FILTER (k = 0) AS a, count(*) FILTER (k = 1) AS b, count(*) FILTER (k = 2) AS c, count(*) FILTER (k = 3) AS n,
+    string_agg(x, ',' ORDER BY s, k) FILTER (k < 3) AS l, string_agg(x, ',' ORDER BY s, k) AS spans FROM named GROUP BY r
+)
+SELECT doc_id, coalesce(a, 0)::BIGINT AS n_assign, coalesce(b, 0)::BIGINT AS n_access, coalesce(c, 0)::BIGINT AS n_hex, sha256(coalesce(l, '')) AS base_sha256, coalesce(spans, '') AS spans, coalesce(n, 0)::BIGINT AS n_entropy
+FROM d LEFT JOIN summed USING (r)
+"""
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack
 
@@ -91,8 +132,8 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_suffix_arrays, op5_packing, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_token_counts, op2_suffix_arrays, op3_secrets, op5_packing, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_suffix_arrays": OP2_SQL}
+    return {"op2_suffix_arrays": OP2_SQL, "op3_secrets": op3_sql()}

@@ -97,6 +97,14 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.select("doc_id", "start", "length", F.crc32("tokens").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
 
 
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .quality import fit, judge
+
+    docs = table(spark, sf_dir, "documents")
+    rules = fit(docs, table(spark, sf_dir, "labels"))
+    return judge(docs, rules).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .toxicity import fit, score
 
@@ -132,7 +140,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_suffix_arrays, op3_secrets, op5_packing, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_token_counts, op2_suffix_arrays, op3_secrets, op5_packing, op6_quality, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -90,6 +90,26 @@ FROM d LEFT JOIN summed USING (r)
 """
 
 
+def op4_metric_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .metric_tree import top_k
+
+    rows = table(spark, sf_dir, "embeddings")
+    return top_k(rows, rows.where("vec_id % 20 = 0"), k=20)
+
+
+OP4_SQL = """
+WITH v AS (
+  SELECT vec_id, list_transform(embedding, lambda x: floor(64 * x::DOUBLE)) AS v FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+), pairs AS (
+  SELECT q.vec_id AS query_id, c.vec_id, list_inner_product(q.v, c.v)::BIGINT AS score
+  FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 20 = 0
+)
+SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank, vec_id, score
+FROM pairs QUALIFY rank <= 20
+"""
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack
 
@@ -140,8 +160,8 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_suffix_arrays, op3_secrets, op5_packing, op6_quality, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_token_counts, op2_suffix_arrays, op3_secrets, op4_metric_tree, op5_packing, op6_quality, op7_toxicity, op8_minhash, op9_language, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_suffix_arrays": OP2_SQL, "op3_secrets": op3_sql()}
+    return {"op2_suffix_arrays": OP2_SQL, "op3_secrets": op3_sql(), "op4_metric_tree": OP4_SQL}

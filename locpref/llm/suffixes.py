@@ -27,7 +27,7 @@ import re
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, arrow_rows
@@ -102,26 +102,39 @@ def _suffix_table(docs: DataFrame, length: int, gram: int) -> DataFrame:
 
 
 def _extended(docs: DataFrame, classes: DataFrame, length: int) -> DataFrame:
-    """Content hashes of every extension of the classes' first suffixes: ``h, c, j, w``."""
-    schema = pa.schema([("h", pa.int64()), ("c", pa.int64()), ("j", pa.list_(pa.int16())), ("w", pa.list_(pa.int64()))])
-    spots = classes.groupBy(F.col("spot.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", "spot.p", "spot.j_lo", "spot.j_hi")).alias("spots"))
+    """Content hashes of every extension of the classes' first suffixes: ``h, c, a, b, j_lo, w``."""
+    schema = pa.schema([(x, pa.int64()) for x in ("h", "c", "a", "b", "j_lo")] + [("w", pa.list_(pa.int64()))])
+    spots = classes.groupBy(F.col("spot.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", "a", "b", "spot.p", "spot.j_lo", "spot.j_hi")).alias("spots"))
 
     def each(cols: dict[str, list]) -> dict[str, list]:
         out: dict[str, list] = {f.name: [] for f in schema}
         for text, spots in zip(cols["text"], cols["spots"], strict=True):
             r = Ranges(text)
             for s in spots:
-                j = np.arange(s["j_lo"], s["j_hi"] + 1)
-                start = s["p"] - j
+                start = s["p"] - np.arange(s["j_lo"], s["j_hi"] + 1)
                 if start[-1] < 0 or start[0] + length > r.n or r.of(start[-1:], start[:1] + length).view(np.int64)[0] != s["c"]:
                     continue  # another version under this id
-                for name, x in zip(out, (s["h"], s["c"], j, r.of(start, start + length).view(np.int64)), strict=True):
-                    out[name].append(x)
+                for name in ("h", "c", "a", "b", "j_lo"):
+                    out[name].append(s[name])
+                out["w"].append(r.of(start, start + length).view(np.int64))
         return out
 
     joined = docs.join(spots.hint("shuffle_hash"), "doc_id").select("text", "spots")
-    found = joined.mapInArrow(arrow_rows(each, schema, 128), "h long, c long, j array<short>, w array<long>")
-    return found.select("h", "c", F.explode(F.arrays_zip("j", "w")).alias("x")).select("h", "c", "x.j", "x.w")
+    return joined.mapInArrow(arrow_rows(each, schema, 128), "h long, c long, a long, b long, j_lo long, w array<long>")
+
+
+def _in_runs(by_j: str) -> Column:
+    """Left lengths (j, first) in order as runs (j, k, first) of one first document each."""
+    kind = "array<struct<j:bigint,k:bigint,first:bigint>>"
+
+    def step(acc: Column, x: Column) -> Column:
+        last = F.get(acc, F.size(acc) - 1)
+        longer = F.struct(last["j"].alias("j"), x["j"].alias("k"), x["first"].alias("first"))
+        new = F.struct(x["j"].alias("j"), x["j"].alias("k"), x["first"].alias("first"))
+        follows = (F.size(acc) > 0) & (last["k"] + 1 == x["j"]) & (last["first"] == x["first"])
+        return F.when(F.coalesce(follows, F.lit(False)), F.concat(F.slice(acc, 1, F.greatest(F.size(acc) - 1, F.lit(0))), F.array(longer))).otherwise(F.array_append(acc, new))
+
+    return F.aggregate(F.array_sort(by_j), F.array().cast(kind), step)
 
 
 def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -135,16 +148,14 @@ def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id
     classes = suffixes.groupBy("h", "c").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.min(F.struct("doc_id", "p", "j_lo", "j_hi")).alias("spot"))
     classes = scratch.keep(classes, "classes")
     mixed = classes.groupBy("h").agg(F.count("*").alias("k")).where("k > 1").select("h")
-    whole = classes.where("a <> b").select("h", "c", F.col("a").alias("first"))
-    # a class that repeats as a whole needs no extension but to find an earlier first document
-    parts = _extended(src, classes.join(mixed, "h", "left_semi"), length)
-    parts = scratch.keep(parts.dropDuplicates(["h", "c", "j"]).join(classes.select("h", "c", "a", "b"), ["h", "c"]), "parts")
-    same = parts.groupBy("h", "j", "w").agg(F.min("a").alias("first"), F.max("b").alias("last")).where("first <> last").select("h", "j", "w", "first")
-    split = parts.join(same, ["h", "j", "w"]).groupBy("h", "c").agg(F.collect_list(F.struct("j", "first")).alias("by_j"))
-    alone = whole.join(mixed, "h", "left_anti")
-    run = suffixes.join(alone, ["h", "c"]).select("doc_id", (F.col("p") - F.col("j_hi")).alias("lo"), (F.col("p") - F.col("j_lo")).alias("hi"), "first")
-    by_j = suffixes.join(split, ["h", "c"]).select("doc_id", "p", F.explode("by_j").alias("x")).select("doc_id", (F.col("p") - F.col("x.j")).alias("lo"), (F.col("p") - F.col("x.j")).alias("hi"), "x.first")
-    return run.unionByName(by_j)
+    alone = classes.where("a <> b").join(mixed, "h", "left_anti").select("h", "c", F.array(F.struct(F.col("spot.j_lo").cast("long").alias("j"), F.col("spot.j_hi").cast("long").alias("k"), F.col("a").alias("first"))).alias("runs"))
+    # classes that share a gram with others are told apart by every extension
+    parts = scratch.keep(_extended(src, classes.join(mixed, "h", "left_semi"), length), "parts")
+    each = parts.select("h", "c", "a", "b", "j_lo", F.posexplode("w").alias("k", "w")).select("h", "c", "a", "b", (F.col("j_lo") + F.col("k")).alias("j"), "w")
+    same = each.groupBy("h", "j", "w").agg(F.min("a").alias("first"), F.max("b").alias("last")).where("first <> last").select("h", "j", "w", "first")
+    split = each.select("h", "c", "j", "w").join(same, ["h", "j", "w"]).groupBy("h", "c").agg(F.collect_set(F.struct("j", "first")).alias("by_j")).select("h", "c", _in_runs("by_j").alias("runs"))
+    runs = suffixes.join(alone.unionByName(split), ["h", "c"]).select("doc_id", "p", F.explode("runs").alias("x"))
+    return runs.select("doc_id", (F.col("p") - F.col("x.k")).alias("lo"), (F.col("p") - F.col("x.j")).alias("hi"), F.col("x.first").alias("first"))
 
 
 def _runs(starts: np.ndarray, ends: np.ndarray) -> list[tuple[int, int]]:
@@ -181,7 +192,7 @@ def repeated_passages(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, i
                     out[name].append(x)
         return out
 
-    grouped = windows.distinct().groupBy("doc_id").agg(F.collect_list(F.struct("lo", "hi", "first")).alias("windows"))
+    grouped = windows.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "hi", "first")).alias("windows"))
     return grouped.mapInArrow(arrow_rows(each, schema), "doc_id long, start_word long, end_word long, first_doc_id long, n_redundant long, redundant array<struct<start: long, end: long>>")
 
 

@@ -287,3 +287,19 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, bands: int =
     done = marks.where("fp is not null").select("doc_id", "n", "fp").join(labelled, "fp", "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
     bare = marks.where("fp is null").select("doc_id", "n", F.col("doc_id").alias("component_id"))
     return done.unionByName(bare).select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+
+
+def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """``docs`` with one row of every near-duplicate group, the one with the least id.
+
+    Rows without shingles or without an id stay. A row that repeats the id of another
+    goes too, whichever of the two it is.
+    """
+    found = Scratch(docs.sparkSession, "kept").keep(near_duplicates(docs, k, percent), "rows")
+    gone = found.where("not kept").select("doc_id").distinct()
+    left = docs.join(gone.hint("shuffle_hash"), "doc_id", "left_anti").select(docs.columns)
+    again = found.where("kept and doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    if again.isEmpty():
+        return left
+    once = left.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
+    return left.join(again, "doc_id", "left_anti").select(docs.columns).unionByName(once)

@@ -24,6 +24,7 @@ stay as they are; rows that share an id are one document; other columns are kept
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -213,17 +214,21 @@ def without_words(text: str, ranges: list[tuple[int, int]]) -> str:
 def drop_redundant(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """``docs`` with redundant words cut from ``text``; rows of which nothing is left go."""
     found = repeated_passages(docs, length, gram).where("n_redundant > 0").groupBy(F.col("doc_id").alias("_doc")).agg(F.flatten(F.collect_list("redundant")).alias("_cut"))
-    joined = docs.join(found, F.col("doc_id") == F.col("_doc"), "left")
-    cut = joined.where("_cut is not null")
-    schema = cut.schema
+    found = Scratch(docs.sparkSession, "redundant").keep(found, "ranges")
+    joined = docs.join(found.hint("shuffle_hash"), F.col("doc_id") == F.col("_doc"), "left").drop("_doc")
+    names = docs.columns
 
-    def rewrite(batches):
+    def rewrite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                texts = [without_words(t, sorted((r["start"], r["end"]) for r in ranges)) for t, ranges in zip(part.column("text").to_pylist(), part.column("_cut").to_pylist(), strict=True)]
-                k = part.schema.get_field_index("text")
-                yield part.set_column(k, part.schema.field(k), pa.array(texts, part.schema.field(k).type))
-
-    done = cut.mapInArrow(rewrite, schema).where(F.col("text").rlike(r"[^\x20\x09-\x0D]"))
-    return joined.where("_cut is null").unionByName(done).drop("_doc", "_cut")
+                k, cuts = part.schema.get_field_index("text"), part.column("_cut")
+                if cuts.null_count < part.num_rows:
+                    texts = part.column(k).to_pylist()
+                    for i in np.flatnonzero(cuts.is_valid().to_numpy(zero_copy_only=False)):
+                        texts[i] = without_words(texts[i], sorted((r["start"], r["end"]) for r in cuts[int(i)].as_py()))
+                    left = [cut is None or WORD.search(t) is not None for t, cut in zip(texts, cuts.to_pylist(), strict=True)]
+                    part = part.set_column(k, part.schema.field(k), pa.array(texts, part.schema.field(k).type)).filter(pa.array(left))
+                yield part.select(names)
+
+    return joined.mapInArrow(rewrite, docs.schema)

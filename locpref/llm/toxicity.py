@@ -1,10 +1,12 @@
 """Toxicity scores from a learned lexicon, misspellings included.
 
-Lexicon: words that labelled toxic documents hold far more often than clean ones,
-with their log odds as weights. Each distinct chunk of a text is matched against the
-lexicon's trie by walking it together with a Levenshtein automaton of the chunk: a
-bit set of chunk positions for every number of errors. A branch ends when no bit is
-left. Chunks that clean documents use often are innocent neighbours, not misspellings.
+Lexicon: words and word stems that labelled toxic documents hold far more often than
+clean ones, with their log odds as weights. Evidence counts once per context (the words
+beside it), so copies of one document don't make its words into terms. Each distinct
+chunk of a text is matched against the lexicon's trie by walking it together with a
+Levenshtein automaton of the chunk: a bit set of chunk positions for every number of
+errors. A branch ends when no bit is left. Words that clean documents use are innocent
+neighbours, not misspellings.
 
 A hit's window of words tells quotation from abuse: quotation marks around it or a
 reporting word near it move its weight to a quoted sum. A logistic model over the sums
@@ -20,7 +22,8 @@ from __future__ import annotations
 
 import math
 import re
-from dataclasses import dataclass, field
+from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +35,9 @@ from .common import arrow_rows, crc_mod
 #: Labelled documents that a model is fitted on at most.
 MAX_TRAIN = 20_000
 #: Terms in the lexicon, and innocent neighbours that are remembered, at most.
-MAX_TERMS, MAX_INNOCENT = 2_000, 50_000
+MAX_TERMS, MAX_INNOCENT, MAX_CANDIDATES = 2_000, 50_000, 100_000
+#: Lengths of stems that are looked at.
+STEMS = range(4, 9)
 WINDOW = 6
 MEMO_ENTRIES = 700_000
 # Reporting words, and characters that stand for letters.
@@ -48,6 +53,14 @@ def allowed_errors(length: int) -> int:
     return 0 if length < 5 else 1 if length < 8 else 2
 
 
+def letters_of(word: str) -> int:
+    """The set of a word's characters as bits, some of which share one."""
+    out = 0
+    for c in word:
+        out |= 1 << (ord(c) & 63)
+    return out
+
+
 class Trie:
     def __init__(self, terms: list[str]):
         self.child: list[dict[str, int]] = [{}]
@@ -97,44 +110,70 @@ class Trie:
 
 @dataclass
 class Lexicon:
+    """Terms with weights: whole words, and stems (marked by a hyphen at the end)."""
+
     terms: list[str]
     weights: list[float]
     innocent: frozenset[str] = frozenset()
-    trie: Trie = field(init=False)
-    memo: dict[str, tuple[int, int] | None] = field(init=False, default_factory=dict)
 
     def __post_init__(self) -> None:
-        self.trie = Trie(self.terms)
-        self.index = {t: i for i, t in enumerate(self.terms)}
+        self.memo: dict[str, tuple[int, int] | None] = {}
+        self.words = {t: i for i, t in enumerate(self.terms) if t[-1] != "-"}
+        self.stems = {t[:-1]: i for i, t in enumerate(self.terms) if t[-1] == "-"}
+        self.lengths = sorted({len(t) for t in self.stems})
+        self.number = list(self.words.values())
+        self.trie = Trie(list(self.words))
+        self.letters: dict[int, list[int]] = {}
+        for t in self.words:
+            self.letters.setdefault(len(t), []).append(letters_of(t))
 
     def __getstate__(self) -> tuple:
         return self.terms, self.weights, self.innocent
 
     def __setstate__(self, state: tuple) -> None:
         self.terms, self.weights, self.innocent = state
-        self.memo = {}
         self.__post_init__()
 
+    def exact(self, word: str) -> int | None:
+        found = self.words.get(word)
+        if found is not None:
+            return found
+        for n in self.lengths:
+            found = self.stems.get(word[:n])
+            if found is not None:
+                return found
+        return None
+
+    def possible(self, word: str, errors: int) -> bool:
+        """Whether a term of about this length lacks no more of the word's letters than errors can explain."""
+        missing = ~letters_of(word)
+        for n in range(len(word) - errors, len(word) + errors + 1):
+            for term in self.letters.get(n, ()):
+                if (term & missing).bit_count() <= errors:
+                    return True
+        return False
+
     def match(self, chunk: str) -> tuple[int, int] | None:
         """Term and edit distance for a chunk between white space."""
         low = _EDGE.sub("", chunk.lower())
         if not low:
             return None
-        for part in (low, *(_INNER.findall(low) if not low.isalnum() else ())):
-            if part in self.index:
-                return self.index[part], 0
-        if low in self.innocent or len(low) > 40:
+        for part in (low,) if low.isalnum() else (low, *_INNER.findall(low)):
+            found = self.exact(part)
+            if found is not None:
+                return found, 0
+        if low in self.innocent or len(low) > 40 or not self.words:
             return None
         plain = low.translate(LOOKALIKES)
         if not plain.isalpha():
             plain = "".join(c for c in plain if c.isalnum() or c == "*")
-        if plain in self.index:
-            return self.index[plain], 1
+        if plain in self.words:
+            return self.words[plain], 1
         errors = allowed_errors(len(plain))
-        if errors:
+        if errors and self.possible(plain, errors):
             t, e = self.trie.near(plain, errors)
-            if t >= 0 and e <= allowed_errors(len(self.terms[t])):
-                return t, e
+            if t >= 0 and e <= allowed_errors(len(self.terms[self.number[t]])):
+                return self.number[t], e
         return None
 
     def hits(self, chunks: list[str]) -> list[tuple[int, int, int]]:
@@ -213,37 +252,79 @@ def train_rows(docs: DataFrame, labels: DataFrame, label_col: str, max_train: in
     return docs.select(F.col("doc_id").alias("_id"), "text").join(F.broadcast(picked), "_id").select("text", "y")  # max_train ids at most
 
 
-def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", max_train: int = MAX_TRAIN, least_docs: int = 4, least_odds: float = 2.5) -> Model:
-    words = pa.schema([("word", pa.string()), ("y", pa.int32())])
-    rows = train_rows(docs, labels, label_col, max_train)
-
-    def each(cols: dict[str, list]) -> dict[str, list]:
-        w: list[str] = []
-        y: list[int] = []
-        for text, label in zip(cols["text"], cols["y"], strict=True):
-            own = {p for p in _INNER.findall((text or "").lower()) if 2 < len(p) <= 40}
-            w += own
-            y += [label] * len(own)
-        return {"word": w, "y": y}
-
-    counts = rows.mapInArrow(arrow_rows(each, words), "word string, y int").groupBy("word").agg(F.sum("y").alias("bad"), F.count("*").alias("n")).cache()
+def _units(word: str) -> list[str]:
+    """What a word can be evidence for: itself and its stems."""
+    return [word, *(word[:n] + "-" for n in STEMS if n < len(word))]
+
+
+def _chosen(found: list, n_bad: int, n_good: int, good: dict[str, int], least_odds: float) -> tuple[list[str], list[float]]:
+    """Terms from candidate rows (unit, docs, contexts): the shortest stems that do, or the one word behind a stem."""
+    odds = {r.unit: math.log((r.docs + 0.5) / (n_bad + 1)) - math.log((good.get(r.unit, 0) + 0.5) / (n_good + 1)) for r in found}
+    rows = {r.unit: r for r in found if odds[r.unit] >= least_odds and good.get(r.unit, 0) * 10 <= r.docs}
+    taken: dict[str, float] = {}
+    for u in sorted(rows, key=lambda u: (len(u.rstrip("-")), u)):
+        if any(u.startswith(u[:n]) and u[:n] + "-" in taken for n in STEMS if n < len(u.rstrip("-"))):
+            continue
+        taken[u] = odds[u]
+    for stem in [u for u in taken if u[-1] == "-"]:
+        under = [u for u in rows if u[-1] != "-" and u.startswith(stem[:-1])]
+        top = max(under, key=lambda u: (rows[u].contexts, u), default=None)
+        if top is not None and rows[top].contexts >= 0.7 * rows[stem].contexts:
+            del taken[stem]
+            taken[top] = odds[top]
+    order = sorted(taken, key=lambda u: (-rows[u].contexts, u))[:MAX_TERMS]
+    return order, [min(8.0, taken[u]) for u in order]
+
+
+def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", max_train: int = MAX_TRAIN, least_contexts: int = 8, least_odds: float = 2.5) -> Model:
+    rows = train_rows(docs, labels, label_col, max_train).cache()  # max_train texts at most
     total = rows.groupBy("y").count().collect()
     n_bad, n_good = (sum(r["count"] for r in total if r["y"] == k) for k in (1, 0))
     if not n_bad or not n_good:
         share = n_bad / max(1, n_bad + n_good)
         return Model(Lexicon([], []), [0.0] * (N_FEATURES - 1) + [math.log((share + 1e-9) / (1 - share + 1e-9))])
-    odds = F.log((F.col("bad") + 0.5) / (n_bad + 1)) - F.log((F.col("n") - F.col("bad") + 0.5) / (n_good + 1))
-    found = counts.withColumn("odds", odds).where((F.col("bad") >= least_docs) & (F.col("odds") >= least_odds)).orderBy(F.desc("odds"), F.desc("bad"), "word").limit(MAX_TERMS).collect()
-    lexicon = Lexicon([r.word for r in found], [r.odds for r in found])
-    near = pa.schema([("word", pa.string()), ("n", pa.int64())])
+    seen = pa.schema([("unit", pa.string()), ("context", pa.int64()), ("fresh", pa.int32())])
+
+    def evidence(cols: dict[str, list]) -> dict[str, list]:
+        from xxhash import xxh3_64_intdigest
+
+        out: dict[str, list] = {"unit": [], "context": [], "fresh": []}
+        for text in cols["text"]:
+            words, own = ["", *_INNER.findall((text or "").lower()), ""], {}
+            for before, w, after in zip(words, words[1:], words[2:], strict=False):
+                if 2 < len(w) <= 40:
+                    c = xxh3_64_intdigest(f"{before} {after}") >> 1
+                    for u in _units(w):
+                        own.setdefault((u, c), None)
+            fresh = set()
+            for u, c in own:
+                out["unit"].append(u)
+                out["context"].append(c)
+                out["fresh"].append(int(u not in fresh))
+                fresh.add(u)
+        return out
 
-    def neighbours(cols: dict[str, list]) -> dict[str, list]:
-        kept = [i for i, w in enumerate(cols["word"]) if (lexicon.match(w) or (0, 0))[1] > 0]
-        return {c: [cols[c][i] for i in kept] for c in ("word", "n")}
+    bad = rows.where("y = 1").mapInArrow(arrow_rows(evidence, seen, 64), "unit string, context long, fresh int")
+    bad = bad.groupBy("unit", "context").agg(F.sum("fresh").alias("fresh")).groupBy("unit").agg(F.sum("fresh").alias("docs"), F.count("*").alias("contexts"))
+    found = bad.where(f"docs >= 4 and contexts >= {least_contexts} and contexts * 4 >= docs").orderBy(F.desc("docs"), "unit").limit(MAX_CANDIDATES).collect()
+    units = {r.unit for r in found}
+    counted = pa.schema([("unit", pa.string())])
+
+    def clean_units(cols: dict[str, list]) -> dict[str, list]:
+        return {"unit": [u for t in cols["text"] for u in {u for w in set(_INNER.findall((t or "").lower())) for u in _units(w)} & units]}
 
-    innocent = counts.where((F.col("n") - F.col("bad") >= 1) & (F.col("bad") * 4 <= F.col("n") * 3)).select("word", "n").mapInArrow(arrow_rows(neighbours, near, 4096), "word string, n long").orderBy(F.desc("n"), "word").limit(MAX_INNOCENT).collect()
-    lexicon.innocent = frozenset(r.word for r in innocent)
-    counts.unpersist()
+    good = rows.where("y = 0").mapInArrow(arrow_rows(clean_units, counted), "unit string").groupBy("unit").count().collect()
+    lexicon = Lexicon(*_chosen(found, n_bad, n_good, {r["unit"]: r["count"] for r in good}, least_odds))
+
+    def neighbours(cols: dict[str, list]) -> dict[str, list]:
+        out = set()
+        for t in cols["text"]:
+            chunks = (t or "").split()
+            out |= {_EDGE.sub("", chunks[i].lower()) for i, _, e in lexicon.hits(chunks) if e}
+        return {"unit": list(out)}
+
+    near = rows.where("y = 0").mapInArrow(arrow_rows(neighbours, counted), "unit string").groupBy("unit").count().orderBy(F.desc("count"), "unit").limit(MAX_INNOCENT).collect()
+    lexicon.innocent = frozenset(r["unit"] for r in near)
     table = pa.schema([(f"f{i}", pa.float64()) for i in range(N_FEATURES)] + [("y", pa.int32())])
 
     def measure(cols: dict[str, list]) -> dict[str, list]:
@@ -251,8 +332,9 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", max_train:
         return {f"f{i}": [r[i] for r in f] for i in range(N_FEATURES)} | {"y": cols["y"]}
 
     got = np.array(rows.mapInArrow(arrow_rows(measure, table), ", ".join(f"f{i} double" for i in range(N_FEATURES)) + ", y int").collect(), float)
+    rows.unpersist()
     beta = logistic(got[:, :-1], got[:, -1])
-    beta[1] = max(beta[1], 0.5 * beta[0])  # a misspelled term is still a term where clean texts are no evidence
+    beta[1] = max(beta[1], 0.8 * beta[0])  # clean texts hold no misspelled terms to learn from
     return Model(lexicon, beta.tolist())
 
 
@@ -265,3 +347,15 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
         return {"doc_id": cols["doc_id"], "score": [model.score(t) for t in cols["text"]]}
 
     return src.mapInArrow(arrow_rows(each, schema), "doc_id long, score double").withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
+
+
+def reject(docs: DataFrame, model: Model) -> DataFrame:
+    """``docs`` without the rows that the model predicts toxic; columns as they are."""
+
+    def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                yield part.filter(pa.array([model.score(t) < 0.5 for t in part.column("text").to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(clean, docs.schema)

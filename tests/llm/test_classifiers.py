@@ -37,7 +37,9 @@ def test_automaton_and_trie_equal_edit_distance():
 
 
 def test_misspellings_and_quotation():
-    lex = toxicity.Lexicon(["idiot", "worthless"], [5.0, 4.0], frozenset(["worthles"]))
+    lex = toxicity.Lexicon(["idiot", "worthless", "lowei-"], [5.0, 4.0, 6.0], frozenset(["worthles"]))
+    assert lex.match("Loweichen,") == (2, 0)
+    assert lex.match("lowe") is None
     assert lex.match("IDIOT!!") == (0, 0)
     assert lex.match("id1ot,") == (0, 1)
     assert lex.match("idi0t.") == (0, 1)

@@ -12,7 +12,6 @@ rows are encoded each on its own; extra columns aren't touched.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -25,6 +24,8 @@ from .vocab import ranks_of
 
 #: Distinct pre-tokens that a worker remembers. A memo only: a full one starts anew.
 MEMO_ENTRIES = 700_000
+#: Characters of texts that are held in pieces at a time, or one text.
+PART_CHARS = 1_500_000
 
 
 class RankQueue:
@@ -50,6 +51,10 @@ class RankQueue:
             self.mid[b] |= 1 << (a & 63)
         self.low[a] |= 1 << (rank & 63)
 
+    def push_all(self, rank: int, positions: list[int]) -> None:
+        self.push(rank, positions[0])
+        self.buckets[rank] += positions[1:]
+
     def pop(self) -> tuple[int, list[int]]:
         """The least rank that has entries, and its positions from left to right."""
         b = (self.top & -self.top).bit_length() - 1
@@ -77,69 +82,120 @@ class Encoder:
         self.token = [b""] * (max(ranks.values(), default=0) + 1)
         for t, i in ranks.items():
             self.token[i] = t
+        self.byte_ids = np.array([ranks.get(bytes([b]), -1) for b in range(256)])
+        #: Rank by the ids of a pair's tokens, and by two bytes for the first look.
+        self.pairs = {ranks[t[:c]] << 16 | ranks[t[c:]]: i for t, i in ranks.items() for c in range(1, len(t)) if t[:c] in ranks and t[c:] in ranks}
+        self.byte_pairs = np.array([ranks.get(bytes([b >> 8, b & 255]), -1) for b in range(65536)])
         self.memo: dict[str, bytes] = {}
 
-    def merge(self, piece: bytes) -> list[int]:
-        """Ids of one pre-token: the lowest rank first, the leftmost among equals."""
-        rank_of = self.ranks.get
-        whole = rank_of(piece)
-        if whole is not None:
-            return [whole]
-        n = len(piece)
-        part: list[bytes | None] = [piece[i : i + 1] for i in range(n)]
-        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        pair = [-1] * (n + 1)
-        queue = self.queue
-        push = queue.push
-        for i in range(n - 1):
-            r = rank_of(piece[i : i + 2])
-            if r is not None:
-                pair[i] = r
-                push(r, i)
+    def merge(self, pieces: list[bytes]) -> list[bytes]:
+        """Ids of pre-tokens that aren't empty: in each the lowest rank first, the leftmost among equals.
+
+        All of them share one queue: pairs never reach over the end of a pre-token, so
+        the order of ranks over all is the right order in each. A merged token's id is
+        the rank that was popped, so ranks of pairs are looked up by two ids.
+        """
+        if not pieces:
+            return []
+        raw = np.frombuffer(b"".join(pieces), np.uint8).astype(np.int64)
+        ends = np.cumsum(np.fromiter(map(len, pieces), np.int64, len(pieces)))
+        starts = np.append(0, ends[:-1])
+        n = len(raw)
+        first = np.full(n, -1)
+        first[:-1] = self.byte_pairs[raw[:-1] * 256 + raw[1:]]
+        first[ends - 1] = -1
+        after, before = np.arange(1, n + 1), np.arange(-1, n - 1)
+        after[ends - 1] = before[starts] = -1
+        part, pair, after, before = self.byte_ids[raw].tolist(), first.tolist(), after.tolist(), before.tolist()
+        queue, rank_of = self.queue, self.pairs.get
+        found = np.flatnonzero(first >= 0)
+        found = found[np.argsort(first[found], kind="stable")]
+        cuts = np.flatnonzero(np.diff(first[found], prepend=-1))
+        for lo, hi in zip(cuts.tolist(), [*cuts[1:].tolist(), len(found)], strict=True):
+            queue.push_all(int(first[found[lo]]), found[lo:hi].tolist())
+        buckets, push = queue.buckets, queue.push
         while queue.top:
             rank, bucket = queue.pop()
+            above = rank << 16
             for k, i in enumerate(bucket):
                 if pair[i] != rank:  # stale: the pair has changed or gone
                     continue
                 j = after[i]
-                merged = part[i] + part[j]
-                part[i], part[j], pair[j] = merged, None, -1
+                part[i] = rank
+                part[j] = pair[i] = pair[j] = -1
                 nxt = after[i] = after[j]
                 lower = False
-                pair[i] = -1
-                if nxt < n:
+                if nxt >= 0:
                     before[nxt] = i
-                    r = rank_of(merged + part[nxt])
+                    r = rank_of(above | part[nxt])
                     if r is not None:
                         pair[i] = r
-                        push(r, i)
+                        if r in buckets:
+                            buckets[r].append(i)
+                        else:
+                            push(r, i)
                         lower = r < rank
                 h = before[i]
                 if h >= 0:
-                    r = rank_of(part[h] + merged)
-                    pair[h] = -1 if r is None else r
-                    if r is not None:
-                        push(r, h)
+                    r = rank_of(part[h] << 16 | rank)
+                    if r is None:
+                        pair[h] = -1
+                    else:
+                        pair[h] = r
+                        if r in buckets:
+                            buckets[r].append(h)
+                        else:
+                            push(r, h)
                         lower = lower or r < rank
                 if lower and k + 1 < len(bucket):
-                    for p in bucket[k + 1 :]:
-                        push(rank, p)
+                    queue.push_all(rank, bucket[k + 1 :])
                     break
-        return [self.ranks[p] for p in part if p is not None]
+        left = np.array(part)
+        alive = left >= 0
+        data = left[alive].astype("<u4").tobytes()
+        at = np.append(0, 4 * np.cumsum(np.add.reduceat(alive, starts, dtype=np.int64))).tolist()
+        return [data[x:y] for x, y in zip(at, at[1:], strict=False)]
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        """Ids of texts as little-endian unsigned 32-bit integers."""
+        out: list[bytes] = []
+        at = 0
+        while at < len(texts):
+            cut, size = at, 0
+            while cut < len(texts) and (cut == at or size + len(texts[cut]) <= PART_CHARS):
+                size += len(texts[cut])
+                cut += 1
+            split = [self.split(t) for t in texts[at:cut]]
+            out += self._joined(split)
+            at = cut
+        return out
+
+    def _joined(self, split: list[list[str]]) -> list[bytes]:
+        memo = self.memo
+        wanted = set().union(*split)
+        missing = wanted.difference(memo)
+        if len(memo) + len(missing) > MEMO_ENTRIES:
+            memo.clear()
+            missing = wanted
+        hard, raw = [], []
+        for piece in missing:
+            b = piece.encode()
+            whole = self.ranks.get(b)
+            if whole is None:
+                hard.append(piece)
+                raw.append(b)
+            else:
+                memo[piece] = whole.to_bytes(4, "little")
+        for piece, ids in zip(hard, self.merge(raw), strict=True):
+            memo[piece] = ids
+        out = [b"".join(map(memo.__getitem__, pieces)) for pieces in split]
+        for piece in hard:
+            if len(piece) >= 200:
+                del memo[piece]
+        return out
 
     def encode(self, text: str) -> bytes:
-        """Ids of a text as little-endian unsigned 32-bit integers."""
-        memo, out = self.memo, []
-        for piece in self.split(text):
-            ids = memo.get(piece)
-            if ids is None:
-                ids = np.array(self.merge(piece.encode()), "<u4").tobytes()
-                if len(memo) >= MEMO_ENTRIES:
-                    memo.clear()
-                if len(piece) < 200:
-                    memo[piece] = ids
-            out.append(ids)
-        return b"".join(out)
+        return self.encode_all([text])[0]
 
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.token.__getitem__, np.frombuffer(ids, "<u4").tolist()))
@@ -156,8 +212,7 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id
     schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.binary())])
 
     def each(rows: dict[str, list]) -> dict[str, list]:
-        code = encoder(ranks_path, pattern).encode
-        return {"doc_id": rows["doc_id"], "ids": [code(t) for t in rows["text"]]}
+        return {"doc_id": rows["doc_id"], "ids": encoder(ranks_path, pattern).encode_all(rows["text"])}
 
     out = src.mapInArrow(arrow_rows(each, schema), "doc_id long, ids binary")
     return out.withColumn("n_tokens", (F.octet_length("ids") / 4).cast("long"))

@@ -38,7 +38,7 @@ def test_rank_queue_takes_lower_ranks_that_appear_meanwhile():
     piece = b"ababcabcabab"
     queue = bpe.Encoder(ranks, r".+")
     library = tiktoken.Encoding("t", pat_str=r".+", mergeable_ranks=ranks | {bytes([b]): 600 + b for b in range(256) if b not in b"abc"}, special_tokens={})
-    assert queue.merge(piece) == library.encode_ordinary(piece.decode())
+    assert [np.frombuffer(x, "<u4").tolist() for x in queue.merge([piece, b"abc" * 5])] == [library.encode_ordinary(piece.decode()), library.encode_ordinary("abc" * 5)]
 
 
 def test_op10(spark, small):

@@ -179,9 +179,9 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_i
     n_asked = asked.groupBy("dim").agg(F.ceil(F.count("*") / CHUNK_ROWS).alias("chunks"))
     chunked = asked.join(F.broadcast(n_asked), "dim").withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks")))
     chunked = chunked.groupBy("dim", "chunk").agg(F.collect_list(F.struct("vec_id", "v")).alias("asked"))  # CHUNK_ROWS queries or so in each
-    chunked = scratch.keep(chunked.withColumn("part", F.floor(F.col("chunk") / CHUNKS_PER_TASK)), "chunks")
-    parts = chunked.select("dim", "part").distinct()
-    nodes = pages.withColumn("dim", F.floor(F.col("block") / F.lit(2**36)).cast("int")).join(F.broadcast(parts), "dim")
+    chunked = scratch.keep(chunked.withColumn("part", F.floor(F.col("chunk") / CHUNKS_PER_TASK).cast("long")), "chunks")
+    parts = chunked.groupBy("dim").agg(F.max("part").alias("last"))  # a row for each length of vectors
+    nodes = pages.withColumn("dim", F.floor(F.col("block") / F.lit(2**36)).cast("int")).join(F.broadcast(parts), "dim").withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("last"))))
     nodes = nodes.select("block", "part", F.lit(0).alias("kind"), F.struct("node", "parent", "leaf", "route", "radius", "to_parent", "ids", "vectors", "spread").alias("page"), F.lit(None).cast("array<struct<vec_id:bigint,v:array<bigint>>>").alias("asked"))
     to_blocks = chunked.join(F.broadcast(sizes.select("dim", "blocks")), "dim").withColumn("b", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     to_blocks = to_blocks.select((F.col("dim") * F.lit(2**36).cast("long") + F.col("b")).alias("block"), "part", F.lit(1).alias("kind"), F.lit(None).cast(nodes.schema["page"].dataType).alias("page"), "asked")

@@ -81,19 +81,33 @@ def test_forward_and_backward_sum_all_segmentations():
     rng = np.random.default_rng(0)
     size = 32_000
     p = rng.random((size, 2)) * 1e-2
-    words = ["the", "ñandú", "straße", "x", "漢字"]
+    words = ["the", "ñandú", "straße", "x", "漢字", "ꙮꙮ"]
+
+    pieces, longest, byte = language_id.pieces_of(PATH)
 
     def total(w, at, k):
-        if at == len(w) + 1:
+        if at == len(w):
             return 1.0
-        return sum(math.prod(p[list(ids), k]) * total(w, e, k) for s, e, ids in language_id.edges_of(w, PATH) if s == at)
+        out = 0.0
+        for e in range(at + 1, min(len(w), at + longest) + 1):
+            if w[at:e] in pieces:
+                out += p[pieces[w[at:e]], k] * total(w, e, k)
+            elif e == at + 1:
+                out += math.prod(p[[byte[b] for b in w[at].encode()], k]) * total(w, e, k)
+        return out
 
     net = language_id.Lattice(words, PATH)
+    known = {(i, s, e): ids for i, s, e, ids in net.edges()}
+    for i, w in enumerate(words):
+        w = "▁" + w
+        want = {(i, s, e): (pieces[w[s:e]],) for s in range(len(w)) for e in range(s + 1, min(len(w), s + longest) + 1) if w[s:e] in pieces}
+        want |= {(i, s, s + 1): tuple(byte[b] for b in w[s].encode()) for s in range(len(w)) if w[s] not in pieces}
+        assert {k: v for k, v in known.items() if k[0] == i} == want
     got = net.pass_over(net.weights(p))[np.arange(len(words)), net.length]
     back = net.pass_over(net.weights(p), True)[:, 0]
     for i, w in enumerate(words):
         for k in range(2):
-            want = total(w, 0, k)
+            want = total("▁" + w, 0, k)
             assert abs(got[i, k] / want - 1) < 1e-9 and abs(back[i, k] / want - 1) < 1e-9
         assert np.allclose(language_id.long_word(w, p, PATH), np.log(got[i]))
 

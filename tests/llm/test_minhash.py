@@ -96,3 +96,43 @@ def test_components(spark):
     got = components(spark.createDataFrame(edges, "u long, v long"), Scratch(spark, "test")).collect()
     assert {r.node: r.component for r in got} == {x: find(x) for x in parent}
     assert len(got) == len(parent)
+
+
+def test_a_crowd_near_the_threshold(spark, monkeypatch):
+    """Hundreds of variants of one text, many of them just below or above the threshold to each other."""
+    monkeypatch.setattr(minhash, "GROUP_ROWS", 60)
+    monkeypatch.setattr(minhash, "BLOCK_ROWS", 40)
+    rng = random.Random(11)
+    base = [f"b{i}" for i in range(70)]
+    rows = {}
+    for i in range(420):
+        words = list(base)
+        for j in range(rng.choice([1, 2, 2, 3, 4])):
+            words[rng.randrange(70)] = f"e{i}x{j}"
+        rows[1000 + (i * 7919) % 5000] = " ".join(words)
+    docs = spark.createDataFrame(list(rows.items()), "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash.near_duplicates(docs, k=4).collect()}
+    want = brute(rows, 4)
+    assert got == want
+    assert len({c for _, c in want.values()}) > 3
+
+
+def test_spanning_links_join_what_all_pairs_join():
+    rng = np.random.default_rng(6)
+    base = rng.integers(0, 2**40, 60).astype(np.uint64)
+    sets = [np.unique(np.concatenate([base[rng.random(60) < 0.9], rng.integers(0, 2**40, 4).astype(np.uint64)])) for _ in range(40)]
+    comp = np.array([i // 2 for i in range(40)])
+    side = np.array([0] * 20 + [1] * 20)
+    got = minhash.spanning_links(sets, side, comp, 80)
+    linked = lambda a, b: 100 * len(np.intersect1d(a, b)) >= 80 * len(np.union1d(a, b))
+
+    def classes(pairs):
+        parent = list(range(20))
+        find = lambda x: x if parent[x] == x else find(parent[x])
+        for a, b in pairs:
+            parent[find(comp[a])] = find(comp[b])
+        return [{i for i in range(20) if find(i) == find(k)} for k in range(20)]
+
+    all_pairs = [(a, b) for a in range(20) for b in range(20, 40) if comp[a] != comp[b] and linked(sets[a], sets[b])]
+    assert classes(got) == classes(all_pairs) and len(got) < 20
+    assert all(linked(sets[a], sets[b]) for a, b in got)

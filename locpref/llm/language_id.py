@@ -22,6 +22,7 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -36,6 +37,8 @@ PER_LANGUAGE = 2_000
 MAX_LANGUAGES = 200
 PLAIN_LENGTH = 40
 MEMO_ENTRIES = 500_000
+#: Characters of texts that are held as words at a time, or one text.
+PART_CHARS = 1_500_000
 UNKNOWN = "und"
 _LETTERS = re.compile(r"[^\W\d_]+")
 
@@ -55,38 +58,101 @@ def words_of(text: str | None) -> list[str]:
     return _LETTERS.findall((text or "").lower())
 
 
-def edges_of(word: str, path: str) -> list[tuple[int, int, tuple[int, ...]]]:
-    """All pieces in a word with its start mark: start, end, ids (several for bytes)."""
-    ids, longest, byte = pieces_of(path)
-    w, out = "▁" + word, []
-    n = len(w)
-    for s in range(n):
-        first = ids.get(w[s])
-        out.append((s, s + 1, (first,) if first is not None else tuple(byte[b] for b in w[s].encode())))
-        for e in range(s + 2, min(n, s + longest) + 1):
-            i = ids.get(w[s:e])
-            if i is not None:
-                out.append((s, e, (i,)))
-    return out
+class PieceTrie:
+    """The vocabulary's trie as one open hash table: (node, character) to child node."""
+
+    def __init__(self, path: str):
+        ids, self.longest, self.byte = pieces_of(path)
+        child: dict[int, int] = {}
+        piece = [-1]
+        for text, i in ids.items():
+            node = 0
+            for c in text[: self.longest + 1]:
+                key = node << 21 | ord(c)
+                if key not in child:
+                    child[key] = len(piece)
+                    piece.append(-1)
+                node = child[key]
+            if len(text) <= self.longest:
+                piece[node] = i
+        self.piece = np.array(piece)
+        bits = max(4, (2 * len(child)).bit_length())
+        self.shift = np.uint64(64 - bits)
+        self.keys, self.children = np.full((1 << bits) + 64, -1, np.int64), np.zeros((1 << bits) + 64, np.int64)
+        keys = np.fromiter(child, np.int64, len(child))
+        for key, slot, node in zip(child, self.slots(keys).tolist(), child.values(), strict=True):
+            while self.keys[slot] >= 0:
+                slot += 1
+            self.keys[slot], self.children[slot] = key, node
+
+    def slots(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
+
+    def step(self, node: np.ndarray, char: np.ndarray) -> np.ndarray:
+        """Child nodes, 0 where there is none."""
+        key = node << 21 | char
+        slot = self.slots(key)
+        out = np.zeros(len(key), np.int64)
+        left = np.arange(len(key))
+        while len(left):
+            held = self.keys[slot[left]]
+            hit = held == key[left]
+            out[left[hit]] = self.children[slot[left[hit]]]
+            left = left[~hit & (held >= 0)]
+            slot[left] += 1
+        return out
+
+
+@lru_cache(maxsize=2)
+def trie_of(path: str) -> PieceTrie:
+    return PieceTrie(path)
 
 
 class Lattice:
-    """The pieces of many words as arrays, ordered by end."""
+    """The pieces of many words, each with its start mark, as arrays of edges.
+
+    All positions of all words go down the trie at once; those that no piece goes on
+    from drop out.
+    """
 
     def __init__(self, words: list[str], path: str):
-        word, start, end, piece, extra = [], [], [], [], []
-        for k, w in enumerate(words):
-            for s, e, ids in edges_of(w, path):
-                if len(ids) > 1:
-                    extra.append((len(word), ids))
-                word.append(k)
-                start.append(s)
-                end.append(e)
-                piece.append(ids[0])
+        trie = trie_of(path)
+        marked = "▁" + "▁".join(words) if words else ""
+        char = np.frombuffer(marked.encode("utf-32-le"), np.uint32).astype(np.int64)
         self.n = len(words)
         self.length = np.fromiter((len(w) + 1 for w in words), np.int64, self.n)
-        self.word, self.start, self.end, self.piece = (np.array(x, np.int64) for x in (word, start, end, piece))
-        self.extra = extra
+        base = np.cumsum(self.length) - self.length
+        word_of = np.repeat(np.arange(self.n), self.length)
+        end_of = np.repeat(base + self.length, self.length)
+        at, node = np.arange(len(char)), np.zeros(len(char), np.int64)
+        found: list[tuple[np.ndarray, ...]] = []
+        bare = np.ones(len(char), bool)
+        for k in range(trie.longest):
+            inside = at + k < end_of[at]
+            at, node = at[inside], node[inside]
+            node = trie.step(node, char[at + k])
+            at, node = at[node > 0], node[node > 0]
+            if not len(at):
+                break
+            piece = trie.piece[node]
+            hit = piece >= 0
+            found.append((at[hit], np.full(int(hit.sum()), k + 1), piece[hit]))
+            if k == 0:
+                bare[at[hit]] = False
+        rest = np.flatnonzero(bare)  # characters without a piece: byte pieces
+        spelled = [[trie.byte[b] for b in chr(c).encode()] for c in char[rest].tolist()]
+        found.append((rest, np.ones(len(rest), np.int64), np.array([x[0] for x in spelled], np.int64)))
+        start, size, self.piece = (np.concatenate(x) for x in zip(*found, strict=True))
+        self.word = word_of[start]
+        self.start = start - base[self.word]
+        self.end = self.start + size
+        first = len(start) - len(rest)
+        self.extra = [(first + i, tuple(x)) for i, x in enumerate(spelled) if len(x) > 1]
+
+    def edges(self) -> list[tuple[int, int, int, tuple[int, ...]]]:
+        """Word, start, end and piece ids of every edge."""
+        more = dict(self.extra)
+        return [(w, s, e, more.get(i, (p,))) for i, (w, s, e, p) in enumerate(zip(self.word.tolist(), self.start.tolist(), self.end.tolist(), self.piece.tolist(), strict=True))]
 
     def weights(self, p: np.ndarray) -> np.ndarray:
         out = p[self.piece]
@@ -163,26 +229,37 @@ class Model:
         return out
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
-        found = [words_of(t) for t in texts]
-        missing = list({w for f in found for w in f if w not in self.memo})
+        names: list[str] = []
+        scores: list[float] = []
+        at = 0
+        while at < len(texts):  # PART_CHARS characters at a time, or one text
+            cut, size = at, 0
+            while cut < len(texts) and (cut == at or size + len(texts[cut] or "") <= PART_CHARS):
+                size += len(texts[cut] or "")
+                cut += 1
+            for name, score in self._predict([words_of(t) for t in texts[at:cut]]):
+                names.append(name)
+                scores.append(score)
+            at = cut
+        return names, scores
+
+    def _predict(self, found: list[list[str]]) -> Iterator[tuple[str, float]]:
+        wanted = set().union(*found)
+        missing = list(wanted.difference(self.memo))
         if len(self.memo) + len(missing) > MEMO_ENTRIES:
-            self.memo, self.logs = {}, self.logs[:0]
-            missing = list({w for f in found for w in f})
+            self.memo, self.logs, missing = {}, self.logs[:0], list(wanted)
         if missing:
-            self.memo.update(zip(missing, range(len(self.memo), len(self.memo) + len(missing)), strict=True))
-            self.grow(self.word_logs(missing), len(self.memo) - len(missing))
-        names, scores = [], []
+            old = len(self.memo)
+            self.memo.update(zip(missing, range(old, old + len(missing)), strict=True))
+            self.grow(self.word_logs(missing), old)
         for f in found:
             if not f or not self.languages:
-                names.append(UNKNOWN)
-                scores.append(0.0)
+                yield UNKNOWN, 0.0
                 continue
-            total = self.logs[np.fromiter(map(self.memo.__getitem__, f), np.int64, len(f))].sum(axis=0) / math.sqrt(len(f))
+            total = self.logs[list(map(self.memo.__getitem__, f))].sum(axis=0) / math.sqrt(len(f))
             e = np.exp(total - total.max())
             k = int(e.argmax())
-            names.append(self.languages[k])
-            scores.append(float(e[k] / e.sum()))
-        return names, scores
+            yield self.languages[k], float(e[k] / e.sum())
 
     def grow(self, rows: np.ndarray, at: int) -> None:
         """Append rows to the table of logs, which doubles when it is full."""

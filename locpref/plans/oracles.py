@@ -256,6 +256,22 @@ JOIN (SELECT method, round(1 - max(unknown), 6) AS known_share FROM h WHERE v >=
 s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e), w AS (SELECT user_id, k, count(*) AS n, max(ts) + INTERVAL 24 HOURS AS e FROM s GROUP BY 1, 2)
 SELECT user_id, count(*) AS sessions, sum(n)::BIGINT AS events FROM w WHERE e <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY 1""",
     }
+    draw20 = f"CASE WHEN {u('bit_flip', 'user_id', 'item_id', 'r')} < {p1!r}::DOUBLE THEN ({u('bit_coin', 'user_id', 'item_id', 'r')} < 0.5)::INT ELSE y END"
+    out |= {
+        "masked_exact": f"WITH {T} SELECT *, ({TEST} AND percent_rank() OVER (PARTITION BY user_id ORDER BY {u('mask', 'user_id', 'item_id')}, item_id) < 0.3)::INT AS held FROM t",
+        "estimator_errors": f"WITH {T}, e AS (SELECT item_id, r, avg(({draw20} - {p1 / 2!r}::DOUBLE) / {1 - p1!r}::DOUBLE) AS estimate, avg(y) AS truth FROM ({y}), (SELECT unnest(range(1, 21)) AS r) GROUP BY 1, 2) SELECT item_id, round(avg(estimate) - avg(truth), 6) AS bias, round(var_samp(estimate), 6) AS variance, count(*) AS n FROM e GROUP BY 1",
+        "survey_of_users": f"SELECT CASE WHEN {u('survey', 'user_id')} < 0.13 THEN 'survey' ELSE 'trajectory' END AS kind, count(DISTINCT user_id) AS users, count(*) AS records, count(DISTINCT place) AS places FROM ({EV}) GROUP BY 1",
+        "compare_models": plain(3) + f" SELECT item_id, {r('a.z0', 'a0')}, {r('a.z1', 'a1')}, {r('b.z0', 'z0')}, {r('b.z1', 'z1')} FROM z_1 a FULL JOIN (SELECT * FROM z_3 WHERE item_id NOT LIKE 'view%') b USING (item_id)",
+        "silent_customers": "SELECT c_mktsegment, count(*) AS n FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey) GROUP BY 1",
+        "folds_and_rest": f"WITH {T} SELECT * FROM (VALUES ('common', 0::BIGINT), ('missing', 0::BIGINT)) v(part, n) UNION ALL SELECT 'all', count(*) FROM t",
+        "measures_long": f"{SCORED}, c AS (SELECT {COUNTS} FROM scored), w AS (SELECT round(fp / (fp + tn), 6) AS fpr, round(tp / (tp + fn), 6) AS recall, round((tp + tn) / (tp + fp + tn + fn), 6) AS reconstruction FROM c) UNPIVOT w ON fpr, recall, reconstruction INTO NAME measure VALUE value",
+        "grouped_sets": f"{SCORED}, k AS (SELECT *, split_part(item_id, '@', 2) AS slot FROM scored) SELECT slot, held, count(*) AS n, round(avg(decision), 6) AS share FROM k GROUP BY GROUPING SETS ((slot), (held), ())",
+        "lateral_top": f"SELECT user_id, place, count(*) AS n FROM ({EV}) WHERE user_id < 10 GROUP BY 1, 2 QUALIFY row_number() OVER (PARTITION BY user_id ORDER BY count(*) DESC, place) <= 2",
+        "mean_vector_udaf": "SELECT label, k::INT AS k, round(avg(x), 6) AS mean FROM (SELECT label, unnest(range(len(embedding))) AS k, unnest(embedding)::DOUBLE AS x FROM embeddings) GROUP BY 1, 2",
+        "time_ladder": "SELECT w::INT AS width, (hour(ts) // w)::INT AS slot, count(*) AS n FROM events, (SELECT unnest([1, 2, 3, 4, 6, 8, 12, 24]) AS w) GROUP BY 1, 2",
+        "observed_loss": f"{START} SELECT round(avg(e * e), 6) AS data, count(*) AS rows FROM ({RES.format(a=0, b=0)})",
+        "budgeted_stream": "SELECT user_id, least(10, count(*))::BIGINT AS accepted, (count(*) - least(10, count(*)))::BIGINT AS refused FROM events GROUP BY 1",
+    }
     out |= {f"location_keys_{k}": f"SELECT {x} AS loc, count(*) AS n, count(DISTINCT user_id) AS users FROM ({src}) GROUP BY 1" for k, (x, src) in loc.items()}
     out |= {f"prefs_{k}": cells(x) for k, x in rules.items()}
     out |= {f"dense_ids_{k}": f"WITH {T} SELECT item_id, row_number() OVER (ORDER BY item_id) - 1 AS id FROM (SELECT DISTINCT item_id FROM t)" for k in ("rank", "range")}

@@ -567,6 +567,114 @@ def stream_sessions(s, d):
     return out.groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events"))
 
 
+def masked_exact(s, d):
+    t = triples(s, d)
+    return experiment.mask_unknown(t, experiment.user_folds(t).where("fold = 0"), 0.3, exact=True)
+
+
+def estimator_errors(s, d):
+    """Bias and variance of the visit estimate over twenty rounds of fresh bits."""
+    p = pv.flip_probability(1.0)
+    cells = bit_cells(s, d).crossJoin(F.broadcast(s.range(1, 21).select(F.col("id").cast("int").alias("round"))))
+    key = [F.col("user_id"), F.col("item_id"), F.col("round")]
+    bits = cells.withColumn("ybit", pv.randomize_bit(F.col("y"), p, uniform(SEED, "bit_flip", *key), uniform(SEED, "bit_coin", *key)))
+    by_round = bits.groupBy("item_id", "round").agg(F.avg(pv.bit_weight(F.col("ybit"), p)).alias("estimate"), F.avg("y").alias("truth"))
+    return metrics.estimator_error(by_round, "truth", ("item_id",)).withColumns(r6("bias", "variance"))
+
+
+def survey_of_users(s, d):
+    """Survey and trajectories from one carrier: a share of users answers, the rest is only seen."""
+    v = event_visits(s, d).withColumn("kind", F.when(uniform(SEED, "survey", F.col("user_id")) < 0.13, "survey").otherwise("trajectory"))
+    return v.groupBy("kind").agg(F.countDistinct("user_id").alias("users"), F.count("*").alias("records"), F.countDistinct("place").alias("places"))
+
+
+def compare_models(s, d):
+    """Item factors after one and three rounds side by side; a full join keeps items of either."""
+    a = fitted(rounds=1)(s, d).withColumnsRenamed({"z0": "a0", "z1": "a1"})
+    return a.join(fitted()(s, d).where("item_id not like 'view%'"), "item_id", "full")
+
+
+def silent_customers(s, d):
+    return table(s, d, "customer").join(table(s, d, "orders"), F.expr("c_custkey = o_custkey"), "left_anti").groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+
+
+def folds_and_rest(s, d):
+    """Cells of one fold and of the others: together everything, in common nothing."""
+    t = triples(s, d).join(experiment.user_folds(triples(s, d)), "user_id")
+    a, b, cells = t.where("fold = 0").drop("fold"), t.where("fold <> 0").drop("fold"), triples(s, d)
+    rows = [a.intersectAll(b).agg(F.lit("common").alias("part"), F.count("*").alias("n")), cells.exceptAll(a.unionByName(b)).agg(F.lit("missing").alias("part"), F.count("*").alias("n")), a.unionByName(b).agg(F.lit("all").alias("part"), F.count("*").alias("n"))]
+    return rows[0].unionByName(rows[1]).unionByName(rows[2])
+
+
+def measures_long(s, d):
+    """Measures as rows instead of columns."""
+    wide = metrics.rates(metrics.confusion(scored_planted(s, d)), "fpr", "recall", "reconstruction")
+    return wide.unpivot([], ["fpr", "recall", "reconstruction"], "measure", "value").withColumns(r6("value"))
+
+
+def grouped_sets(s, d):
+    cells = scored_planted(s, d).withColumn("slot", F.substring_index("item_id", "@", -1))
+    return cells.groupingSets([["slot"], ["held"], []], "slot", "held").agg(F.count("*").alias("n"), F.round(F.avg("decision"), 6).alias("share"))
+
+
+def lateral_top(s, d):
+    """The two most visited places of every user, by a lateral join."""
+    v = event_visits(s, d).groupBy("user_id", "place").agg(F.count("*").alias("n"))
+    users = s.createDataFrame([(i,) for i in range(0, 10)], "u long")
+    best = v.where(F.col("user_id") == F.col("u").outer()).orderBy(F.desc("n"), "place").limit(2)
+    return users.lateralJoin(best.select("place", "n")).select(F.col("u").alias("user_id"), "place", "n")
+
+
+def mean_vector_udaf(s, d):
+    from ..functions.sqlface import mean_vector
+
+    means = table(s, d, "embeddings").groupBy("label").agg(mean_vector()("embedding").alias("m"))
+    return means.select("label", F.posexplode("m").alias("k", "x")).select("label", F.col("k").cast("int").alias("k"), F.round("x", 6).alias("mean"))
+
+
+def time_ladder(s, d):
+    from ..functions.sqlface import register
+
+    register(s)
+    hours = event_visits(s, d).groupBy(F.hour("ts").alias("hour")).agg(F.count("*").alias("n"))
+    hours.createOrReplaceTempView("_hours")
+    return s.sql("SELECT width, slot, sum(n) AS n FROM _hours, LATERAL time_ladder(hour) GROUP BY width, slot")
+
+
+def observed_loss(s, d):
+    """Loss and rows of a pass, observed while the pass does something else."""
+    from pyspark.sql import Observation
+
+    t, X, Z = start(s, d)
+    seen = Observation("loss")
+    res = factorization.residuals(t, X, Z, D).observe(seen, F.avg(F.col("e") * F.col("e")).alias("data"), F.count(F.lit(1)).alias("rows"))
+    factorization.item_gradient(res, D).write.format("noop").mode("overwrite").save()
+    got = seen.get
+    return s.createDataFrame([(round(got["data"], 6), got["rows"])], "data double, rows long")
+
+
+def fold_in_shares(s, d):
+    """New users who give a share of their ratings: how much of the rest comes out right."""
+    cells = planted_cells(s, d)
+    new = experiment.user_folds(cells).where("fold = 0")
+    m = factorization.fit_plain(cells.join(new, "user_id", "left_anti"), factorization.FitConfig(d=3, rounds=12))
+    out = None
+    for share in (0.1, 0.3, 0.5, 0.7, 0.9):
+        own = experiment.mask_unknown(cells.join(new, "user_id", "left_semi"), new, 1 - share)
+        x = factorization.fold_in(own.where("held = 0"), m.Z, 3, 0.1)
+        asked = own.where("held = 1").select("user_id", "item_id", "truth")
+        scored = predict.score(asked, x, m.Z, 3).withColumn("decision", (F.col("score") > 0.5).cast("int"))
+        row = metrics.rates(metrics.confusion(asked.join(scored.select("user_id", "item_id", "decision"), ["user_id", "item_id"], "left").withColumn("decision", F.coalesce("decision", F.lit(0)))), "reconstruction").select(F.lit(share).alias("known_share"), "reconstruction")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def budgeted_stream(s, d):
+    """Reports accepted and refused under a budget for ten."""
+    out = _streamed(s, d, "budget", lambda e: checkins.budgeted_reports(e, 0.1, 1.0))
+    return out.groupBy("user_id").agg(F.count_if("accepted").alias("accepted"), F.count_if(~F.col("accepted")).alias("refused"))
+
+
 def queries() -> dict[str, Query]:
     out: dict[str, Query] = {f"slots_w{w}": slots(w) for w in (2, 3, 4, 6, 8, 12)}
     out |= {"day_part_counts": counted(part=g.day_part), "day_kind_counts": counted(kind=g.day_kind, name=g.day_name), "composite_time_keys": counted(key=lambda ts: g.time_key(ts, ("month", "kind", "part")))}
@@ -593,7 +701,7 @@ def queries() -> dict[str, Query]:
         "sweep_location": swept([base], places=8),
         "compare_methods": compared,
     }
-    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, privacy_audit, fold_in, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, summary, gap_pivot, choose_parameters, utility_slope, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, slot_transitions, leakage, ablation, stream_slot_counts, stream_gate, stream_sessions)
+    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, privacy_audit, fold_in, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, summary, gap_pivot, choose_parameters, utility_slope, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, slot_transitions, leakage, ablation, stream_slot_counts, stream_gate, stream_sessions, masked_exact, estimator_errors, survey_of_users, compare_models, silent_customers, folds_and_rest, measures_long, grouped_sets, lateral_top, mean_vector_udaf, time_ladder, observed_loss, fold_in_shares, budgeted_stream)
     return out | {f.__name__: f for f in named}
 
 

@@ -21,7 +21,7 @@ def _pull(edges: DataFrame, large: bool) -> DataFrame:
     least = seen.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
     moved = seen.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"), F.col("u").alias("w"))
     if large:
-        return moved.where("u > w").select("u", "v").distinct()
+        return moved.where("u > w").select("u", "v")
     own = least.select("u", F.col("m").alias("v"))
     return moved.select("u", "v").unionByName(own).where("u <> v").distinct()
 
@@ -44,3 +44,23 @@ def components(edges: DataFrame, scratch: Scratch, name: str = "cc", most_rounds
         raise RuntimeError("components didn't settle")
     leaves = now.select(F.col("u").alias("node"), F.col("v").alias("component"))
     return leaves.unionByName(leaves.select(F.col("component").alias("node"), "component").distinct())
+
+
+def forest_components(parents: DataFrame, scratch: Scratch, name: str = "forest", most_rounds: int = 60) -> DataFrame:
+    """The same for a forest (u is the one parent of v) by pointer jumping: log of the depth rounds."""
+    now = parents.select("v", "u").distinct()
+    for k in range(most_rounds):
+        above = now.select(F.col("v").alias("u"), F.col("u").alias("top"))
+        jumped = now.join(above, "u", "left").select("v", F.coalesce("top", "u").alias("u"), F.col("top").isNotNull().alias("moved"))
+        jumped = scratch.keep(jumped, f"{name}-{k}")
+        if k:
+            scratch.drop(f"{name}-{k - 1}")
+        now = jumped.select("v", "u")
+        if jumped.where("moved").isEmpty():
+            break
+    else:
+        raise RuntimeError("the forest has a cycle")
+    roots = now.select(F.col("u").alias("v"), "u").distinct()
+    nodes = now.unionByName(roots)
+    least = nodes.groupBy("u").agg(F.min("v").alias("component"))
+    return nodes.join(least, "u").select(F.col("v").alias("node"), "component")

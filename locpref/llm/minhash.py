@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import Scratch, arrow_rows
-from .components import components
+from .components import components, forest_components
 
 BANDS, ROWS = 48, 7
 #: Members of a hub that one task compares in a row; more are dealt over several.
@@ -275,7 +275,8 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, bands: int =
     starred = starred.where(f"100 * least(n, hub.n) >= {percent} * greatest(n, hub.n)")
     best = starred.groupBy("doc_id").agg(F.max(F.struct("c", "hub")).alias("b")).select((-F.col("b.hub.minus")).alias("u"), F.col("doc_id").alias("v"))
     links = scratch.keep(verified(texts, scratch.keep(best, "best"), k, percent), "links")
-    comp = components(links, scratch, "first")
+    # a hub meets more others than its members, so links to hubs form a forest
+    comp = forest_components(links, scratch, "first")
     mixed = scratch.keep(_mixed(members, comp), "mixed")
     if not mixed.isEmpty():
         more = scratch.keep(_rest_links(texts, mixed, scratch, k, percent), "more")

@@ -3,7 +3,7 @@ import random
 import numpy as np
 
 from locpref.llm import minhash
-from locpref.llm.components import components
+from locpref.llm.components import components, forest_components
 from locpref.llm.common import Scratch
 from locpref.llm.queries import op8_minhash
 
@@ -136,3 +136,17 @@ def test_spanning_links_join_what_all_pairs_join():
     all_pairs = [(a, b) for a in range(20) for b in range(20, 40) if comp[a] != comp[b] and linked(sets[a], sets[b])]
     assert classes(got) == classes(all_pairs) and len(got) < 20
     assert all(linked(sets[a], sets[b]) for a, b in got)
+
+
+def test_forest(spark):
+    rng = random.Random(7)
+    parent = {v: rng.randrange(max(0, v - 6), v) for v in range(1, 400) if v % 50}
+    relabel = rng.sample(range(10_000), 400)
+    find = lambda v: find(parent[v]) if v in parent else v
+    least = {}
+    for v in range(400):
+        least[find(v)] = min(least.get(find(v), 10**9), relabel[v])
+    nodes = set(parent) | set(parent.values())
+    got = forest_components(spark.createDataFrame([(relabel[u], relabel[v]) for v, u in parent.items()], "u long, v long"), Scratch(spark, "test"))
+    assert {r.node: r.component for r in got.collect()} == {relabel[v]: least[find(v)] for v in nodes}
+    assert got.count() == len(nodes)

@@ -23,7 +23,7 @@ from .common import arrow_rows
 from .vocab import ranks_of
 
 #: Distinct pre-tokens that a worker remembers. A memo only: a full one starts anew.
-MEMO_ENTRIES = 700_000
+MEMO_ENTRIES = 400_000
 #: Characters of texts that are held in pieces at a time, or one text.
 PART_CHARS = 1_500_000
 
@@ -79,9 +79,6 @@ class Encoder:
         self.ranks = ranks
         self.split = regex.compile(pattern).findall
         self.queue = RankQueue(max(ranks.values(), default=0) + 1)
-        self.token = [b""] * (max(ranks.values(), default=0) + 1)
-        for t, i in ranks.items():
-            self.token[i] = t
         self.byte_ids = np.array([ranks.get(bytes([b]), -1) for b in range(256)])
         #: Rank by the ids of a pair's tokens, and by two bytes for the first look.
         self.pairs = {ranks[t[:c]] << 16 | ranks[t[c:]]: i for t, i in ranks.items() for c in range(1, len(t)) if t[:c] in ranks and t[c:] in ranks}
@@ -197,6 +194,13 @@ class Encoder:
     def encode(self, text: str) -> bytes:
         return self.encode_all([text])[0]
 
+
+class Decoder:
+    def __init__(self, ranks: dict[bytes, int]):
+        self.token = [b""] * (max(ranks.values(), default=0) + 1)
+        for t, i in ranks.items():
+            self.token[i] = t
+
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.token.__getitem__, np.frombuffer(ids, "<u4").tolist()))
 
@@ -206,6 +210,11 @@ def encoder(path: str, pattern: str) -> Encoder:
     return Encoder(ranks_of(path), pattern)
 
 
+@lru_cache(maxsize=2)
+def decoder(path: str) -> Decoder:
+    return Decoder(ranks_of(path))
+
+
 def encode(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: ``doc_id``, ``ids`` (little-endian uint32) and ``n_tokens``."""
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
@@ -218,13 +227,13 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id
     return out.withColumn("n_tokens", (F.octet_length("ids") / 4).cast("long"))
 
 
-def decode(encoded: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
+def decode(encoded: DataFrame, ranks_path: str) -> DataFrame:
     """Adds ``decoded``, the bytes that the ids stand for, to what :func:`encode` returns."""
     kept = [f for f in encoded.schema.fields if f.name in ("doc_id", "ids", "n_tokens")]
     schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.binary()), ("n_tokens", pa.int64()), ("decoded", pa.binary())])
 
     def each(rows: dict[str, list]) -> dict[str, list]:
-        back = encoder(ranks_path, pattern).decode
+        back = decoder(ranks_path).decode
         return rows | {"decoded": [back(x) for x in rows["ids"]]}
 
     return encoded.select(*(f.name for f in kept)).mapInArrow(arrow_rows(each, schema), "doc_id long, ids binary, n_tokens long, decoded binary")

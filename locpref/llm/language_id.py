@@ -36,7 +36,7 @@ PER_LANGUAGE = 2_000
 #: Labelled languages that a model holds at most, the most frequent ones.
 MAX_LANGUAGES = 200
 PLAIN_LENGTH = 40
-MEMO_ENTRIES = 500_000
+MEMO_ENTRIES = 300_000
 #: Characters of texts that are held as words at a time, or one text.
 PART_CHARS = 1_500_000
 UNKNOWN = "und"

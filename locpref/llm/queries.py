@@ -155,7 +155,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .bpe import decode, encode
 
     vocabulary = p.path("byte_bpe_multi_50k.tiktoken"), p.PATTERN
-    both = decode(encode(table(spark, sf_dir, "documents"), *vocabulary), *vocabulary)
+    both = decode(encode(table(spark, sf_dir, "documents"), *vocabulary), vocabulary[0])
     return both.select("doc_id", "n_tokens", F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 

@@ -2,20 +2,24 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import os
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: ASCII white space as the contracts define it: space and \x09-\x0D.
 ASCII_SPACE = r"[\x20\x09-\x0D]+"
 
-#: Rows that an Arrow function works on at a time, whatever Spark's batch size is.
-SLICE_ROWS = 512
+#: Rows, and bytes of strings, that an Arrow function works on at a time, whatever Spark's batch size is.
+SLICE_ROWS, SLICE_BYTES = 512, 4_000_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -56,22 +60,52 @@ class Scratch:
             path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def slices(batch: pa.RecordBatch, rows: int = SLICE_ROWS) -> Iterator[pa.RecordBatch]:
+    """Cuts of ``rows`` rows and SLICE_BYTES bytes at most, or one row."""
+    size = np.zeros(batch.num_rows, np.int64)
+    for c in batch.columns:
+        if pa.types.is_string(c.type) or pa.types.is_binary(c.type):
+            size += pc.fill_null(pc.binary_length(c), 0).to_numpy(zero_copy_only=False)
+        elif pa.types.is_list(c.type):
+            size += 64 * pc.fill_null(pc.list_value_length(c), 0).to_numpy(zero_copy_only=False)
+    total, at = np.cumsum(size), 0
+    while at < batch.num_rows:
+        before = int(total[at - 1]) if at else 0
+        cut = min(at + rows, max(at + 1, int(np.searchsorted(total, before + SLICE_BYTES, "right"))))
+        yield batch.slice(at, cut - at)
+        at = cut
+
+
+def release() -> None:
+    """Give freed memory back: workers live on, and what a task leaves would add up."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def lists_of(column: pa.ListArray, *fields: str) -> tuple[np.ndarray, ...]:
+    """Offsets and flat fields of lists of structs, without a Python object for each."""
+    return column.offsets.to_numpy(), *(column.values.field(f).to_numpy(zero_copy_only=False) for f in fields)
+
+
 def arrow_rows(
-    each: Callable[[dict[str, list]], dict[str, list]], schema: pa.Schema, slice_rows: int = SLICE_ROWS
+    each: Callable[[dict[str, list]], dict[str, list]], schema: pa.Schema, slice_rows: int = SLICE_ROWS, raw: bool = False
 ) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """Make a ``mapInArrow`` function from one that maps column lists to column lists.
 
-    Batches are cut into small slices, so memory doesn't follow Spark's batch size.
+    Batches are cut into small slices, so memory doesn't follow Spark's batch size. With
+    ``raw`` the function gets the slice itself.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, slice_rows):
-                out = each(batch.slice(at, slice_rows).to_pydict())
+            for part in slices(batch, slice_rows):
+                out = each(part if raw else part.to_pydict())
                 yield pa.RecordBatch.from_arrays(
                     [v if isinstance(v, pa.Array) else pa.array(v, f.type) for f, v in zip(schema, (out[f.name] for f in schema), strict=True)],
                     schema=schema,
                 )
+        release()
 
     return run
 

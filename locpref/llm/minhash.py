@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, arrow_rows
+from .common import Scratch, arrow_rows, release
 from .components import components, forest_components
 
 BANDS, ROWS = 48, 7
@@ -150,6 +150,7 @@ def verified(texts: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFr
                         vs.append(doc)
                         break
             yield pa.RecordBatch.from_pydict({"u": pa.array(us, pa.int64()), "v": pa.array(vs, pa.int64())})
+        release()
 
     sets = texts.join(roles.hint("shuffle_hash"), "doc_id").mapInArrow(arrow_rows(to_sets, sets_schema, 128), "doc_id long, u long, part int, member int, shingles binary")
     return sets.repartition("u", "part").sortWithinPartitions("u", "part", "member").mapInArrow(compare, "u long, v long")
@@ -251,6 +252,7 @@ def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, pe
                     group, held = (cluster, i, j), []
                 held.append((doc, own, comp, np.frombuffer(raw, np.uint64)))
         yield finish()
+        release()
 
     sets = texts.join(placed.hint("shuffle_hash"), "doc_id").mapInArrow(arrow_rows(to_sets, schema, 128), "doc_id long, component long, cluster long, own int, n_tasks int, shingles binary")
     tasks = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n_tasks") - 1))).withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other")).drop("n_tasks", "other")

@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SLICE_ROWS
+from .common import release, slices
 from .vocab import byte_vocabulary
 
 PIECES = "doc_id long, start long, length long, tokens binary, doc_tokens long, sequence_id long, offset long"
@@ -44,8 +44,7 @@ def pack(docs: DataFrame, json_path: str, ranks_path: str, pattern: str, longest
         v = byte_vocabulary(json_path, ranks_path, pattern)
         sequence = TaskContext.get().partitionId() << 40
         for batch in batches:
-            for at in range(0, batch.num_rows, SLICE_ROWS):
-                cut = batch.slice(at, SLICE_ROWS).to_pydict()
+            for cut in map(pa.RecordBatch.to_pydict, slices(batch)):
                 ids_of, starts, lengths, tokens, totals = [], [], [], [], []
                 for doc, text in zip(cut["doc_id"], cut["text"], strict=True):
                     raw = np.append(v.ids(text), end_id).astype("<u4").tobytes()
@@ -60,5 +59,6 @@ def pack(docs: DataFrame, json_path: str, ranks_path: str, pattern: str, longest
                 k = len(starts)
                 yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for f, x in zip(schema, (ids_of, starts, lengths, tokens, totals, np.arange(sequence, sequence + k), np.zeros(k, np.int64)), strict=True)], schema=schema)
                 sequence += k
+        release()
 
     return src.mapInArrow(run, PIECES)

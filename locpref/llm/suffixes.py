@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, arrow_rows
+from .common import Scratch, arrow_rows, lists_of, release, slices
 from .minhash import mix
 
 LENGTH, GRAM = 50, 10
@@ -105,23 +105,23 @@ def _suffix_table(docs: DataFrame, length: int, gram: int) -> DataFrame:
 def _extended(docs: DataFrame, classes: DataFrame, length: int) -> DataFrame:
     """Content hashes of every extension of the classes' first suffixes: ``h, c, a, b, j_lo, w``."""
     schema = pa.schema([(x, pa.int64()) for x in ("h", "c", "a", "b", "j_lo")] + [("w", pa.list_(pa.int64()))])
-    spots = classes.groupBy(F.col("spot.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", "a", "b", "spot.p", "spot.j_lo", "spot.j_hi")).alias("spots"))
+    spots = classes.groupBy(F.col("spot.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", "a", "b", F.col("spot.p").cast("long").alias("p"), F.col("spot.j_lo").cast("long").alias("j_lo"), F.col("spot.j_hi").cast("long").alias("j_hi"))).alias("spots"))
 
-    def each(cols: dict[str, list]) -> dict[str, list]:
+    def each(part: pa.RecordBatch) -> dict[str, list]:
         out: dict[str, list] = {f.name: [] for f in schema}
-        for text, spots in zip(cols["text"], cols["spots"], strict=True):
+        at, h, c, a, b, p, lo, hi = lists_of(part.column("spots"), "h", "c", "a", "b", "p", "j_lo", "j_hi")
+        for row, text in enumerate(part.column("text").to_pylist()):
             r = Ranges(text)
-            for s in spots:
-                start = s["p"] - np.arange(s["j_lo"], s["j_hi"] + 1)
-                if start[-1] < 0 or start[0] + length > r.n or r.of(start[-1:], start[:1] + length).view(np.int64)[0] != s["c"]:
+            for k in range(at[row], at[row + 1]):
+                start = p[k] - np.arange(lo[k], hi[k] + 1)
+                if start[-1] < 0 or start[0] + length > r.n or r.of(start[-1:], start[:1] + length).view(np.int64)[0] != c[k]:
                     continue  # another version under this id
-                for name in ("h", "c", "a", "b", "j_lo"):
-                    out[name].append(s[name])
-                out["w"].append(r.of(start, start + length).view(np.int64))
+                for name, x in zip(out, (h[k], c[k], a[k], b[k], lo[k], r.of(start, start + length).view(np.int64)), strict=True):
+                    out[name].append(x)
         return out
 
     joined = docs.join(spots.hint("shuffle_hash"), "doc_id").select("text", "spots")
-    return joined.mapInArrow(arrow_rows(each, schema, 128), "h long, c long, a long, b long, j_lo long, w array<long>")
+    return joined.mapInArrow(arrow_rows(each, schema, 128, raw=True), "h long, c long, a long, b long, j_lo long, w array<long>")
 
 
 def _in_runs(by_j: str) -> Column:
@@ -180,10 +180,12 @@ def repeated_passages(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, i
     windows = repeated_windows(docs, length, gram, id_col, text_col)
     schema = pa.schema([("doc_id", pa.int64()), *((c, pa.int64()) for c in ("start_word", "end_word", "first_doc_id", "n_redundant")), ("redundant", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))])
 
-    def each(cols: dict[str, list]) -> dict[str, list]:
+    def each(part: pa.RecordBatch) -> dict[str, list]:
         out: dict[str, list] = {f.name: [] for f in schema}
-        for doc, items in zip(cols["doc_id"], cols["windows"], strict=True):
-            lo, hi, first = (np.array([x[c] for x in items], np.int64) for c in ("lo", "hi", "first"))
+        at, lows, highs, firsts = lists_of(part.column("windows"), "lo", "hi", "first")
+        for row, doc in enumerate(part.column("doc_id").to_pylist()):
+            cut = slice(at[row], at[row + 1])
+            lo, hi, first = lows[cut], highs[cut], firsts[cut]
             again = first < doc
             gone = _runs(lo[again], hi[again] + length)
             for s, e in _runs(lo, hi + length):
@@ -194,7 +196,7 @@ def repeated_passages(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, i
         return out
 
     grouped = windows.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "hi", "first")).alias("windows"))
-    return grouped.mapInArrow(arrow_rows(each, schema), "doc_id long, start_word long, end_word long, first_doc_id long, n_redundant long, redundant array<struct<start: long, end: long>>")
+    return grouped.mapInArrow(arrow_rows(each, schema, raw=True), "doc_id long, start_word long, end_word long, first_doc_id long, n_redundant long, redundant array<struct<start: long, end: long>>")
 
 
 def without_words(text: str, ranges: list[tuple[int, int]]) -> str:
@@ -220,8 +222,7 @@ def drop_redundant(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
 
     def rewrite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
+            for part in slices(batch):
                 k, cuts = part.schema.get_field_index("text"), part.column("_cut")
                 if cuts.null_count < part.num_rows:
                     texts = part.column(k).to_pylist()
@@ -230,5 +231,6 @@ def drop_redundant(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
                     left = [cut is None or WORD.search(t) is not None for t, cut in zip(texts, cuts.to_pylist(), strict=True)]
                     part = part.set_column(k, part.schema.field(k), pa.array(texts, part.schema.field(k).type)).filter(pa.array(left))
                 yield part.select(names)
+        release()
 
     return joined.mapInArrow(rewrite, docs.schema)

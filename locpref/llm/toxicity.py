@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, crc_mod
+from .common import arrow_rows, crc_mod, release, slices
 
 #: Labelled documents that a model is fitted on at most.
 MAX_TRAIN = 20_000
@@ -39,7 +39,7 @@ MAX_TERMS, MAX_INNOCENT, MAX_CANDIDATES = 2_000, 50_000, 100_000
 #: Lengths of stems that are looked at.
 STEMS = range(4, 9)
 WINDOW = 6
-MEMO_ENTRIES = 700_000
+MEMO_ENTRIES = 250_000
 # Reporting words, and characters that stand for letters.
 REPORTING = frozenset("said says wrote writes quoted quote quotes called calls word words term terms meaning means sagte schrieb wort nannte dit écrit mot appelé dijo escribió palabra llamó".split())
 LOOKALIKES = str.maketrans("0134578@$!", "oieastbasi")
@@ -354,8 +354,9 @@ def reject(docs: DataFrame, model: Model) -> DataFrame:
 
     def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
+            for part in slices(batch):
                 yield part.filter(pa.array([model.score(t) < 0.5 for t in part.column("text").to_pylist()], pa.bool_()))
+        model.lexicon.memo.clear()
+        release()
 
     return docs.mapInArrow(clean, docs.schema)

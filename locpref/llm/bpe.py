@@ -23,7 +23,7 @@ from .common import arrow_rows
 from .vocab import ranks_of
 
 #: Distinct pre-tokens that a worker remembers. A memo only: a full one starts anew.
-MEMO_ENTRIES = 400_000
+MEMO_ENTRIES = 600_000
 #: Characters of texts that are held in pieces at a time, or one text.
 PART_CHARS = 1_500_000
 

@@ -556,8 +556,16 @@ def stream_slot_counts(s, d):
     return out.select(F.date_format("slot_start", "yyyy-MM-dd HH:mm").alias("slot_start"), "event_type", "n")
 
 
+def gate_cells(s, d):
+    """``user_id, item, decision`` of every cell: the rating where there is one, else the recommendation."""
+    t, X, Z = fitted_model(s, d)
+    asked = preferences.unknown_cells(t.select("user_id"), t, t, "item_id")
+    made = t.select("user_id", "item_id", F.col("rating").cast("int").alias("decision")).unionByName(predict.recommend(asked, X, Z, D).select("user_id", "item_id", "decision"))
+    return made.withColumnRenamed("item_id", "item")
+
+
 def stream_gate(s, d):
-    cells = triples(s, d).select("user_id", F.col("item_id").alias("item"), F.col("rating").cast("int").alias("decision")).where("user_id % 3 <> 0")
+    cells = gate_cells(s, d)
     keyed = lambda e: checkins.gate(e.withColumn("item", preferences.item_key(F.col("event_type"), g.time_slot(F.col("ts"), WIDTH))), cells)
     return _streamed(s, d, "gate", keyed).groupBy("event_type").agg(F.count_if("released").alias("released"), F.count_if(~F.col("released")).alias("hidden"))
 

@@ -314,7 +314,7 @@ def protocol_round(s, d):
 
 
 def budget_ledger(s, d):
-    users = table(s, d, "customer").where("c_mktsegment = 'BUILDING'").select(F.col("c_custkey").alias("user_id"))
+    users = table(s, d, "customer").select(F.col("c_custkey").alias("user_id"))
     return pv.ledger(users, pv.Budget("per_item", 1.0, 0.5, rounds=4)).withColumns(r6("eps_spent", "eps_total"))
 
 
@@ -596,10 +596,14 @@ def survey_of_users(s, d):
     return v.groupBy("kind").agg(F.countDistinct("user_id").alias("users"), F.count("*").alias("records"), F.countDistinct("place").alias("places"))
 
 
+def side_by_side(first: DataFrame, second: DataFrame) -> DataFrame:
+    """Item factors of two models; a full join keeps items of either."""
+    return first.withColumnsRenamed({"z0": "a0", "z1": "a1"}).join(second, "item_id", "full")
+
+
 def compare_models(s, d):
-    """Item factors after one and three rounds side by side; a full join keeps items of either."""
-    a = fitted(rounds=1)(s, d).withColumnsRenamed({"z0": "a0", "z1": "a1"})
-    return a.join(fitted()(s, d).where("item_id not like 'view%'"), "item_id", "full")
+    """Item factors after one and three rounds side by side."""
+    return side_by_side(fitted(rounds=1)(s, d), fitted()(s, d))
 
 
 def silent_customers(s, d):

@@ -3,7 +3,7 @@
 from collections import Counter
 
 from locpref.plans import queries
-from locpref.sources.tables import event_visits
+from locpref.sources.tables import event_visits, table
 from locpref.streaming import checkins
 
 
@@ -34,3 +34,17 @@ def test_gate_takes_recommendations_and_hides_the_rest(spark, small):
     new = -1, asked[0][1]  # a user without any cell
     seen = spark.createDataFrame([*asked, new], "user_id long, item string")
     assert {(r.user_id, r.item): r.released for r in checkins.gate(seen, cells).collect()} == dict(zip([*asked, new], [True, False, True, False, False]))
+
+
+def test_ledger_has_every_customer(spark, small):
+    users = {r.c_custkey for r in table(spark, small, "customer").select("c_custkey").collect()}
+    rows = queries.budget_ledger(spark, small).collect()
+    assert {r.user_id for r in rows} == users and len(rows) == 8 * len(users)
+
+
+def test_models_side_by_side(spark, small):
+    items = {r.item_id for r in queries.triples(spark, small).collect()}
+    assert {r.item_id for r in queries.compare_models(spark, small).collect() if r.a0 is not None and r.z0 is not None} == items
+    one = spark.createDataFrame([("a", 1.0, 2.0), ("b", 3.0, 4.0)], "item_id string, z0 double, z1 double")
+    two = spark.createDataFrame([("b", 5.0, 6.0), ("c", 7.0, 8.0)], "item_id string, z0 double, z1 double")
+    assert sorted(map(tuple, queries.side_by_side(one, two).collect())) == [("a", 1.0, 2.0, None, None), ("b", 3.0, 4.0, 5.0, 6.0), ("c", None, None, 7.0, 8.0)]

@@ -8,59 +8,59 @@ from pyspark.sql import functions as F
 from ..functions.hashing import uniform
 
 
-def similarities(triples: DataFrame, side: str, sim: str = "cosine", min_common: int = 2) -> DataFrame:
-    """``a, b, s`` for pairs of one side that rated something in common."""
+def similarities(triples: DataFrame, side: str, sim: str = "cosine", min_common: int = 2, keys: tuple[str, ...] = ()) -> DataFrame:
+    """``keys, a, b, s`` for pairs of one side that rated something in common."""
     other = "item_id" if side == "user_id" else "user_id"
-    base = triples.select(side, other, "rating")
+    base = triples.select(*keys, side, other, "rating")
     if sim == "pearson":
-        mean = base.groupBy(side).agg(F.avg("rating").alias("m"))
-        base = base.join(mean, side).select(side, other, (F.col("rating") - F.col("m")).alias("rating"))
-    left = base.select(F.col(side).alias("a"), other, F.col("rating").alias("ra"))
-    right = base.select(F.col(side).alias("b"), other, F.col("rating").alias("rb"))
-    both = left.join(right, other).where("a <> b").groupBy("a", "b").agg(F.count("*").alias("common"), F.sum(F.col("ra") * F.col("rb")).alias("ab"), F.sum(F.col("ra") * F.col("ra")).alias("aa"), F.sum(F.col("rb") * F.col("rb")).alias("bb"))
+        mean = base.groupBy(*keys, side).agg(F.avg("rating").alias("m"))
+        base = base.join(mean, [*keys, side]).select(*keys, side, other, (F.col("rating") - F.col("m")).alias("rating"))
+    left = base.select(*keys, F.col(side).alias("a"), other, F.col("rating").alias("ra"))
+    right = base.select(*keys, F.col(side).alias("b"), other, F.col("rating").alias("rb"))
+    both = left.join(right, [*keys, other]).where("a <> b").groupBy(*keys, "a", "b").agg(F.count("*").alias("common"), F.sum(F.col("ra") * F.col("rb")).alias("ab"), F.sum(F.col("ra") * F.col("ra")).alias("aa"), F.sum(F.col("rb") * F.col("rb")).alias("bb"))
     if sim == "jaccard":
         s = F.expr("try_divide(ab, aa + bb - ab)")
     elif sim in ("cosine", "pearson"):
         s = F.expr("try_divide(ab, sqrt(aa) * sqrt(bb))")
     else:
         raise ValueError(f"unknown similarity {sim}")
-    return both.where(F.col("common") >= min_common).select("a", "b", s.alias("s")).where("s is not null")
+    return both.where(F.col("common") >= min_common).select(*keys, "a", "b", s.alias("s")).where("s is not null")
 
 
-def _neighbours(cells: DataFrame, triples: DataFrame, side: str, k: int, sim: str, min_common: int) -> DataFrame:
+def _neighbours(cells: DataFrame, triples: DataFrame, side: str, k: int, sim: str, min_common: int, keys: tuple[str, ...]) -> DataFrame:
     other = "item_id" if side == "user_id" else "user_id"
-    near = Window.partitionBy("a").orderBy(F.desc(F.round("s", 9)), "b")
-    top = similarities(triples, side, sim, min_common).withColumn("r", F.row_number().over(near)).where(F.col("r") <= k).select("a", "b", "s")
-    votes = cells.select("user_id", "item_id").join(top.withColumnRenamed("a", side), side).join(triples.select(F.col(side).alias("b"), other, F.col("rating").alias("vote")), ["b", other])
-    found = votes.groupBy("user_id", "item_id").agg(F.expr("try_divide(sum(s * vote), sum(abs(s)))").alias("score"))
-    return cells.join(found, ["user_id", "item_id"], "left")
+    near = Window.partitionBy(*keys, "a").orderBy(F.desc(F.round("s", 9)), "b")
+    top = similarities(triples, side, sim, min_common, keys).withColumn("r", F.row_number().over(near)).where(F.col("r") <= k).select(*keys, "a", "b", "s")
+    votes = cells.select(*keys, "user_id", "item_id").join(top.withColumnRenamed("a", side), [*keys, side]).join(triples.select(*keys, F.col(side).alias("b"), other, F.col("rating").alias("vote")), [*keys, "b", other])
+    found = votes.groupBy(*keys, "user_id", "item_id").agg(F.expr("try_divide(sum(s * vote), sum(abs(s)))").alias("score"))
+    return cells.join(found, [*keys, "user_id", "item_id"], "left")
 
 
-def cf_user(cells: DataFrame, triples: DataFrame, k: int = 20, sim: str = "cosine", min_common: int = 2) -> DataFrame:
+def cf_user(cells: DataFrame, triples: DataFrame, k: int = 20, sim: str = "cosine", min_common: int = 2, keys: tuple[str, ...] = ()) -> DataFrame:
     """Mean rating of the k most similar users, weighted by similarity; null without neighbours."""
-    return _neighbours(cells, triples, "user_id", k, sim, min_common)
+    return _neighbours(cells, triples, "user_id", k, sim, min_common, keys)
 
 
-def cf_item(cells: DataFrame, triples: DataFrame, k: int = 20, sim: str = "cosine", min_common: int = 2) -> DataFrame:
-    return _neighbours(cells, triples, "item_id", k, sim, min_common)
+def cf_item(cells: DataFrame, triples: DataFrame, k: int = 20, sim: str = "cosine", min_common: int = 2, keys: tuple[str, ...] = ()) -> DataFrame:
+    return _neighbours(cells, triples, "item_id", k, sim, min_common, keys)
 
 
 def constant(cells: DataFrame, decision: int) -> DataFrame:
     return cells.withColumn("score", F.lit(float(decision))).withColumn("decision", F.lit(int(decision)))
 
 
-def majority(cells: DataFrame, triples: DataFrame, by: str = "global") -> DataFrame:
+def majority(cells: DataFrame, triples: DataFrame, by: str = "global", keys: tuple[str, ...] = ()) -> DataFrame:
     """Share of positive ratings: global, by item, by user, or user and item bias together."""
-    overall = triples.agg(F.avg("rating").alias("g"))
-    item = triples.groupBy("item_id").agg(F.avg("rating").alias("i"))
-    user = triples.groupBy("user_id").agg(F.avg("rating").alias("u"))
-    joined = cells.crossJoin(F.broadcast(overall))  # one row
+    overall = triples.groupBy(*keys).agg(F.avg("rating").alias("g"))
+    item = triples.groupBy(*keys, "item_id").agg(F.avg("rating").alias("i"))
+    user = triples.groupBy(*keys, "user_id").agg(F.avg("rating").alias("u"))
+    joined = cells.join(F.broadcast(overall), list(keys), "left") if keys else cells.crossJoin(F.broadcast(overall))  # a row for each run
     if by == "global":
         return joined.withColumn("score", F.col("g")).drop("g")
     if by in ("item", "bias"):
-        joined = joined.join(item, "item_id", "left")
+        joined = joined.join(item, [*keys, "item_id"], "left")
     if by in ("user", "bias"):
-        joined = joined.join(user, "user_id", "left")
+        joined = joined.join(user, [*keys, "user_id"], "left")
     i, u = (F.coalesce(c, "g") for c in ("i", "u")) if by == "bias" else (None, None)
     score: Column = u + i - F.col("g") if by == "bias" else F.coalesce({"item": "i", "user": "u"}[by], "g")
     return joined.withColumn("score", score).drop("g", "i", "u")

@@ -14,6 +14,8 @@ from ..functions.hashing import hash_bits, uniform
 from ..operators import baselines, dataset, factorization, metrics, predict, preferences, private
 from ..sources.rounds import Rounds
 
+SETTING = ("method", "width", "eps", "unknown")
+
 
 def user_folds(users: DataFrame, folds: int = 10, seed: int = 42, exact: bool = False) -> DataFrame:
     """``fold`` by hash of the user, or of equal sizes by order of the hash (one task)."""
@@ -88,17 +90,19 @@ def sweep(visits: DataFrame, grid: list[dict], folds: int = 10, runs: int = 1, r
                 model = private.fit_runs(known, eps_of, private.PrivateConfig(d=d, rounds=rounds, seed=seed), m == "central")
             scored = predict.decide(predict.score(asked, model.X, model.Z, d, ("run",)), predict.mean_threshold(model.X, model.Z, d, ("run",)))
         else:
-            scored = None
-            for r, _ in eps_of:  # neighbours have no rounds to share
-                own, rated = asked.where(F.col("run") == r), known.where(F.col("run") == r).select("user_id", "item_id", "rating")
-                one = {"cf_user": baselines.cf_user, "cf_item": baselines.cf_item, "majority": lambda c, t: baselines.majority(c, t, "bias")}[m](own, rated)
-                one = one.select("run", "user_id", "item_id", (F.coalesce("score", F.lit(0.0)) > 0.5).cast("int").alias("decision"))
-                scored = one if scored is None else scored.unionByName(one)
+            rated, keys = known.select("run", "user_id", "item_id", "rating"), ("run",)
+            one = {"cf_user": lambda: baselines.cf_user(asked, rated, keys=keys), "cf_item": lambda: baselines.cf_item(asked, rated, keys=keys), "majority": lambda: baselines.majority(asked, rated, "bias", keys)}[m]()
+            scored = one.select("run", "user_id", "item_id", (F.coalesce("score", F.lit(0.0)) > 0.5).cast("int").alias("decision"))
         rows = evaluate(cells, scored, m)
         out = rows if out is None else out.unionByName(rows)
     return out.join(F.broadcast(settings), "run").select("method", "width", "eps", "unknown", "run", "fpr", "recall", "reconstruction")
 
 
+def averaged(rows: DataFrame) -> DataFrame:
+    """Mean, spread and interval of every method and setting over all its runs."""
+    return metrics.summarise(rows, SETTING, ("fpr", "recall", "reconstruction"))
+
+
 def best_width(rows: DataFrame, by: str = "reconstruction") -> DataFrame:
     return rows.groupBy("method", "width").agg(F.avg(by).alias("u")).groupBy("method").agg(F.max_by("width", F.struct("u", -F.col("width"))).alias("best_width"))
 
@@ -120,3 +124,8 @@ def utility_slope(rows: DataFrame, by: str = "reconstruction") -> DataFrame:
     mean = rows.groupBy("method", "eps").agg(F.avg(by).alias("u"))
     w = Window.partitionBy("method").orderBy("eps")
     return mean.withColumn("slope", F.expr("try_divide(u - lag(u) OVER (PARTITION BY method ORDER BY eps), eps - lag(eps) OVER (PARTITION BY method ORDER BY eps))")).withColumn("step", F.row_number().over(w))
+
+
+def choice(widths: DataFrame, levels: DataFrame, shares: DataFrame, tol: float, target: float, by: str = "reconstruction_mean") -> DataFrame:
+    """Width, eps and known share by method, each from the sweep that varies it; null where no share reaches the target."""
+    return best_width(widths, by).join(smallest_eps(levels, tol, by), "method", "left").join(needed_known_share(shares, target, by), "method", "left")

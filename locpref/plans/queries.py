@@ -19,6 +19,9 @@ from . import experiment
 SEED, D, WIDTH = 42, 2, 6
 PLAIN = factorization.FitConfig(d=D, rounds=3, norm="ratings")
 PRIVATE = private.PrivateConfig(d=D, rounds=2, eps=2.0)
+#: Repetitions of the whole cross validation over users, and its folds.
+REPEATS, FOLDS = 100, 10
+BASE = {"eps": 0.01, "unknown": 0.1, "width": 6}
 Query = Callable[[SparkSession, str], DataFrame]
 
 
@@ -522,11 +525,30 @@ def leakage(s, d):
 
 
 def swept(grid: list[dict], **how) -> Query:
-    return lambda s, d: experiment.sweep(event_visits(s, d), grid, **({"runs": 2, "rounds": 6} | how))
+    """A setting's measures, averaged over all repetitions of all folds."""
+    return lambda s, d: experiment.averaged(experiment.sweep(event_visits(s, d), grid, **({"folds": FOLDS, "runs": FOLDS * REPEATS, "rounds": 6} | how)))
 
 
-def compared(s, d):
-    return experiment.sweep(event_visits(s, d), [{"width": 6, "eps": 10.0, "unknown": 0.1}], runs=1, rounds=6, methods=("plain", "central", "cf_user", "cf_item", "majority"))
+SWEEPS: dict[str, Query] = {
+    "sweep_width": swept([BASE | {"width": w} for w in (2, 3, 4, 6, 8, 12)], hourly=True),
+    "sweep_eps": swept([BASE | {"eps": e} for e in (0.0001, 0.0003, 0.001, 0.003, 0.005, 0.01, 1.0, 10.0, 100.0)]),
+    "sweep_unknown": swept([BASE | {"unknown": h / 10} for h in range(1, 10)]),
+    "sweep_location": swept([BASE], places=8),
+    "compare_methods": swept([BASE | {"eps": 10.0}], methods=("plain", "central", "cf_user", "cf_item", "majority")),
+}
+
+
+def sweep_choice(s, d):
+    """The choice of parameters, made on the sweeps themselves."""
+    return experiment.choice(*(SWEEPS[f"sweep_{k}"](s, d) for k in ("width", "eps", "unknown")), 0.03, 0.55)
+
+
+def sweep_gap(s, d):
+    return metrics.gap(SWEEPS["sweep_unknown"](s, d), ("unknown",), "reconstruction_mean")
+
+
+def sweep_slope(s, d):
+    return experiment.utility_slope(SWEEPS["sweep_eps"](s, d), "reconstruction_mean").select("method", "eps", "u", "slope")
 
 
 def ablation(s, d):
@@ -705,15 +727,8 @@ def queries() -> dict[str, Query]:
     out |= {"cf_user": cf("user"), "cf_item": cf("item"), "cf_user_pearson": cf("user", "pearson"), "cf_item_jaccard": cf("item", "jaccard")}
     out |= {f"majority_{b}": majority(b) for b in ("global", "item", "user", "bias")}
     out |= {"constant_hide": constant(0), "constant_publish": constant(1)}
-    base = {"eps": 0.01, "unknown": 0.1, "width": 6}
-    out |= {
-        "sweep_width": swept([base | {"width": w} for w in (2, 3, 4, 6, 8, 12)], hourly=True),
-        "sweep_eps": swept([base | {"eps": e} for e in (0.0001, 0.0003, 0.001, 0.003, 0.005, 0.01, 1.0, 10.0, 100.0)]),
-        "sweep_unknown": swept([base | {"unknown": h / 10} for h in range(1, 10)]),
-        "sweep_location": swept([base], places=8),
-        "compare_methods": compared,
-    }
-    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, privacy_audit, fold_in, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, summary, gap_pivot, choose_parameters, utility_slope, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, slot_transitions, leakage, ablation, stream_slot_counts, stream_gate, stream_sessions, masked_exact, estimator_errors, survey_of_users, compare_models, silent_customers, folds_and_rest, measures_long, grouped_sets, lateral_top, mean_vector_udaf, time_ladder, observed_loss, fold_in_shares, budgeted_stream)
+    out |= SWEEPS
+    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, privacy_audit, fold_in, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, summary, gap_pivot, choose_parameters, utility_slope, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, slot_transitions, leakage, sweep_choice, sweep_gap, sweep_slope, ablation, stream_slot_counts, stream_gate, stream_sessions, masked_exact, estimator_errors, survey_of_users, compare_models, silent_customers, folds_and_rest, measures_long, grouped_sets, lateral_top, mean_vector_udaf, time_ladder, observed_loss, fold_in_shares, budgeted_stream)
     return out | {f.__name__: f for f in named}
 
 

@@ -7,9 +7,9 @@ Entropy: candidates are long runs of token characters with a digit. A window sli
 over each; a count per character class member is raised for the character that comes
 in and lowered for the one that goes out, and the sum of c*log2(c) follows both, so
 each step costs the same. The highest window entropy is held against the threshold of
-the candidate's class (hex digits, or the 64-letter alphabet). Candidates on the
-allow-list (placeholders, identifiers of well-known form, paths) and those that touch
-a pattern's span are left out.
+the candidate's class (hex digits, one case with digits, or the 64-letter alphabet).
+Candidates on the allow-list (placeholders, identifiers of well-known form, paths whose
+segments all look like words) and those that touch a pattern's span are left out.
 
 Defined cases: null text counts as empty; a row per input row, repeated rows too; ids
 may be null; other columns stay out of it.
@@ -31,7 +31,12 @@ CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
 WINDOW = 20
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_-="
 #: Least entropy of a window in bits, by class; no window of 20 has exactly these.
-HEX_BITS, BASE64_BITS = 3.05, 3.95
+HEX_BITS, LOWER_BITS, UPPER_BITS, BASE64_BITS = 3.05, 3.66, 3.56, 3.95
+#: In order, the first that fits: hex digits, lower case and digits, upper case and digits (base32 too, with its padding).
+CLASSES = ((r"^[0-9a-fA-F]+$", HEX_BITS), (r"^[a-z0-9]+$", LOWER_BITS), (r"^[A-Z0-9]+=*$", UPPER_BITS))
+# Part of a path's segment: shorter than a window, digits, then up to three words, then digits.
+_PART = r"(?![A-Za-z0-9]{20})[0-9]{0,8}(?:[A-Z]?[a-z]+|[A-Z]+){0,3}[0-9]{0,8}"
+_SEGMENT = rf"{_PART}(?:[_-]{_PART})*"
 ALLOW = (
     r"^[0-9]+$",
     r"^[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}$",
@@ -41,6 +46,9 @@ ALLOW = (
     r"^[0-9]{4}-[0-9]{2}-[0-9]{2}",
 )
 
+#: The same for ``find_secrets``, with paths told by their segments; the SQL keeps the count of slashes.
+ALLOWED = tuple(p for p in ALLOW if "/" not in p) + (rf"^{_SEGMENT}/{_SEGMENT}/{_SEGMENT}(?:/{_SEGMENT})+$",)
+
 _SPANS = "array<struct<start:bigint,kind:int,end:bigint,word:string>>"
 
 
@@ -90,9 +98,11 @@ def window_entropy(word: Column, window: int = WINDOW, alphabet: str = ALPHABET)
 
 def _random_looking(word: Column) -> Column:
     allowed = F.lit(False)
-    for p in ALLOW:
+    for p in ALLOWED:
         allowed = allowed | word.rlike(p)
-    bits = F.when(word.rlike("^[0-9a-fA-F]+$"), F.lit(HEX_BITS)).otherwise(F.lit(BASE64_BITS))
+    bits = F.lit(BASE64_BITS)
+    for p, least in reversed(CLASSES):
+        bits = F.when(word.rlike(p), F.lit(least)).otherwise(bits)
     return word.rlike("[0-9]") & ~allowed & (window_entropy(word) >= bits)
 
 

@@ -75,3 +75,26 @@ def test_op3(spark):
     for r in op3_secrets(spark, d).collect():
         spans = ",".join(f"{secrets.KINDS[k]}:{s}:{e}" for s, k, e in brute(texts[r.doc_id]))
         assert r.base_sha256 == hashlib.sha256(spans.encode()).hexdigest()
+
+
+def _share_found(spark, words):
+    docs = spark.createDataFrame(list(enumerate(f"x {w} y" for w in words)), "doc_id long, text string")
+    return sum(len(r.found) == 1 and r.found[0].start == 2 and r.found[0].end == 2 + len(words[r.doc_id]) for r in secrets.find_secrets(docs).collect()) / len(words)
+
+
+def test_long_keys_with_slashes_are_found(spark):
+    rng = random.Random(3)
+    for n in (88, 200, 400):
+        words = ["".join(rng.choice(secrets.ALPHABET[:64]) for _ in range(n)) for _ in range(60)]
+        assert sum(w.count("/") > 2 for w in words) > 5 and _share_found(spark, words) == 1
+
+
+def test_keys_of_one_case_are_found(spark):
+    rng = random.Random(4)
+    for letters in (string.ascii_lowercase + string.digits, string.ascii_uppercase + "234567"):
+        assert _share_found(spark, ["".join(rng.choice(letters) for _ in range(32)) for _ in range(200)]) > 0.95
+
+
+def test_paths_and_words_are_left_alone(spark):
+    assert _share_found(spark, ["usr/local/share/doc/python3", "/home/user/MyProject/src/main/app2/Index", "/var/log/2024/01/31/web-server_01/access1", "internationalization2024", "productionenvironmentserver01"]) == 0
+    assert _share_found(spark, ["/home/user/keys/Zq8vN3kLw0Rt7YbXc2MpAf"]) == 1

@@ -14,6 +14,8 @@ from ..functions.hashing import hash_bits, uniform
 from ..operators import baselines, dataset, factorization, metrics, predict, preferences, private
 from ..sources.rounds import Rounds
 
+#: What the private methods protect; ``central`` adds its noise to exact sums instead.
+PROTECT = {"private": ("bits", "grads"), "both": ("bits", "grads"), "bits": ("bits",), "grads": ("grads",), "none": (), "central": ("bits", "grads")}
 SETTING = ("method", "width", "eps", "unknown")
 
 
@@ -83,11 +85,11 @@ def sweep(visits: DataFrame, grid: list[dict], folds: int = 10, runs: int = 1, r
     settings = spark.createDataFrame(named, "run int, width int, eps double, unknown double")
     out = None
     for m in methods:
-        if m in ("plain", "private", "central"):
+        if m == "plain" or m in PROTECT:
             if m == "plain":
                 model = factorization.fit_plain(known, factorization.FitConfig(d=d, rounds=rounds, max_norm=2.0, seed=seed), ("run",))
             else:
-                model = private.fit_runs(known, eps_of, private.PrivateConfig(d=d, rounds=rounds, seed=seed), m == "central")
+                model = private.fit_runs(known, eps_of, private.PrivateConfig(d=d, rounds=rounds, seed=seed, protect=PROTECT[m]), m == "central")
             scored = predict.decide(predict.score(asked, model.X, model.Z, d, ("run",)), predict.mean_threshold(model.X, model.Z, d, ("run",)))
         else:
             rated, keys = known.select("run", "user_id", "item_id", "rating"), ("run",)

@@ -552,16 +552,8 @@ def sweep_slope(s, d):
 
 
 def ablation(s, d):
-    """Reconstruction error of the item step by what is protected."""
-    from dataclasses import replace
-
-    t = triples(s, d)
-    out = None
-    for name, kinds in (("bits", ("bits",)), ("grads", ("grads",)), ("both", ("bits", "grads")), ("none", ())):
-        Z = private.fit_private(t, replace(PRIVATE, rounds=1, protect=kinds)).Z
-        row = Z.agg(F.lit(name).alias("protect"), F.round(F.avg("z0"), 6).alias("mean"), F.round(F.stddev_samp("z0"), 6).alias("sd"))
-        out = row if out is None else out.unionByName(row)
-    return out
+    """Measures by what is protected, on planted cells with the sweeps' masks and rounds."""
+    return swept([BASE | {"eps": PRIVATE.eps}], methods=("bits", "grads", "both", "none", "central"))(s, d)
 
 
 def _streamed(s, d, name: str, make, mode: str = "append") -> DataFrame:

@@ -6,12 +6,17 @@ buckets that aren't empty, so the next rank is three find-first-set steps away.
 entry whose pair has changed since is stale and skipped. Work is O(n) bucket entries
 for n bytes, so one pre-token of megabytes is no problem.
 
+Texts are cut by a pattern. Code points that the pattern's engine and the library's
+engine class differently (newer tables of characters) are cut as the library does.
+
 Defined cases: a null text counts as empty; an empty text gives zero ids; repeated
 rows are encoded each on its own; extra columns aren't touched.
 """
 
 from __future__ import annotations
 
+import itertools
+import sys
 from functools import lru_cache
 
 import numpy as np
@@ -72,12 +77,36 @@ class RankQueue:
         return rank, bucket
 
 
+#: Classes that pre-token patterns use, and a character that stands for each; the last for none.
+STAND_INS = ((r"\p{L}", "\u02b0"), (r"\p{N}", "\u00bc"), (r"\s", "\u2003"), ("", "\u00a4"))
+
+
+@lru_cache(maxsize=1)
+def told_apart() -> dict[int, str]:
+    """Code points whose class differs between the two regular expression engines, with a stand-in of the library's class.
+
+    The engines follow different versions of the Unicode tables.
+    """
+    import regex
+    import tiktoken
+
+    every = "".join(map(chr, (*range(0xD800), *range(0xE000, sys.maxunicode + 1))))
+    single = {bytes([b]): b for b in range(256)}
+    ours, theirs = {}, {}
+    for k, (name, _) in enumerate(STAND_INS[:-1]):
+        ours |= dict.fromkeys(regex.findall(name, every), k)
+        library = tiktoken.Encoding("class", pat_str=name, mergeable_ranks=single, special_tokens={})
+        theirs |= dict.fromkeys(library.decode_bytes(library.encode_ordinary(every)).decode(), k)
+    return {ord(c): STAND_INS[theirs.get(c, -1)][1] for c in ours.keys() | theirs.keys() if ours.get(c, -1) != theirs.get(c, -1)}
+
+
 class Encoder:
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         import regex
 
         self.ranks = ranks
-        self.split = regex.compile(pattern).findall
+        self.pattern = regex.compile(pattern)
+        self.odd = frozenset(map(chr, told_apart()))
         self.queue = RankQueue(max(ranks.values(), default=0) + 1)
         self.byte_ids = np.array([ranks.get(bytes([b]), -1) for b in range(256)])
         #: Rank by the ids of a pair's tokens, and by two bytes for the first look.
@@ -85,6 +114,12 @@ class Encoder:
         self.byte_pairs = np.array([ranks.get(bytes([b >> 8, b & 255]), -1) for b in range(65536)])
         self.memo: dict[str, bytes] = {}
 
+    def split(self, text: str) -> list[str]:
+        """Pre-tokens as the library would cut them."""
+        if text.isascii() or self.odd.isdisjoint(set(text)):
+            return self.pattern.findall(text)
+        return [text[m.start() : m.end()] for m in self.pattern.finditer(text.translate(told_apart()))]
+
     def merge(self, pieces: list[bytes]) -> list[bytes]:
         """Ids of pre-tokens that aren't empty: in each the lowest rank first, the leftmost among equals.
 
@@ -107,8 +142,8 @@ class Encoder:
         queue, rank_of = self.queue, self.pairs.get
         found = np.flatnonzero(first >= 0)
         found = found[np.argsort(first[found], kind="stable")]
-        cuts = np.flatnonzero(np.diff(first[found], prepend=-1))
-        for lo, hi in zip(cuts.tolist(), [*cuts[1:].tolist(), len(found)], strict=True):
+        cuts = [*np.flatnonzero(np.diff(first[found], prepend=-1)).tolist(), len(found)]  # one edge alone where no pair has a rank
+        for lo, hi in itertools.pairwise(cuts):
             queue.push_all(int(first[found[lo]]), found[lo:hi].tolist())
         buckets, push = queue.buckets, queue.push
         while queue.top:

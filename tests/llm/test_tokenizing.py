@@ -117,3 +117,28 @@ def test_boundary_rules(rule, want):
     share, inside, crossing = token_counts.attribute(np.array([0, 2, 6]), np.array([2, 6, 7]), np.array([0, 3]), 7, rule)
     assert share.tolist() == want
     assert (inside.tolist(), crossing.tolist()) == ([1, 1], [1, 1])
+
+
+def _library():
+    return tiktoken.Encoding("t", pat_str=P.PATTERN, mergeable_ranks=ranks_of(P.path("byte_bpe_multi_50k.tiktoken")), special_tokens={})
+
+
+def test_slices_without_a_mergeable_pair(spark):
+    path, theirs = P.path("byte_bpe_multi_50k.tiktoken"), _library()
+    ours = bpe.Encoder(ranks_of(path), P.PATTERN)
+    for t in ("Zq", "qzx", "\x00\x01", "", "Zq", "Zq qzx", "a", "Zq"):  # later ones meet a warm memo
+        assert np.frombuffer(ours.encode(t), "<u4").tolist() == theirs.encode_ordinary(t)
+    for rows in ([(1, "Zq")], [(1, "")], [(1, None)], []):
+        df = spark.createDataFrame(rows, "doc_id long, text string")
+        got = bpe.decode(bpe.encode(df, path, P.PATTERN), path).collect()
+        assert [(r.doc_id, bytes(r.decoded)) for r in got] == [(i, (t or "").encode()) for i, t in rows]
+
+
+def test_every_code_point_is_cut_as_the_library_does():
+    ours, theirs = bpe.Encoder(ranks_of(P.path("byte_bpe_multi_50k.tiktoken")), P.PATTERN), _library()
+    odd = sorted(bpe.told_apart())
+    assert odd  # the two engines follow different tables
+    every = [c for c in range(0x3000) if not 0xD800 <= c < 0xE000] + list(range(0x3000, 0x110000, 97)) + odd
+    texts = [t for c in every if not 0xD800 <= c < 0xE000 for t in (chr(c), f"{chr(c)}a 1{chr(c)}  {chr(c)}")]
+    for t, ids in zip(texts, ours.encode_all(texts)):
+        assert np.frombuffer(ids, "<u4").tolist() == theirs.encode_ordinary(t)

@@ -7,12 +7,14 @@ probabilities. Characters without a piece fall back to the vocabulary's byte pie
 The piece probabilities are fitted by expectation maximisation: forward and backward
 passes give expected piece counts.
 
-Texts are cut into runs of letters, lower-cased. Passes run over all distinct words
-of a slice at once, edges sorted by the position they end at; words too long for plain
-products are summed on their own with rescaling.
-
-Training: a bounded sample (``per_language`` documents of each language, by hash of
-the id). Defined cases: a null text or one without letters is ``und`` with score 0;
+Texts are cut into runs of letters (category L; number forms and enclosed digits
+aren't letters), lower-cased. Passes run over all distinct words of a slice at once,
+edges sorted by the position they end at; words too long for plain products are summed
+on their own with rescaling, in training too.
+
+Training: a bounded sample (``per_language`` documents of each language, those with the
+least hashes of their ids). Every labelled language is learned: the model has a column
+for each. Defined cases: a null text or one without letters is ``und`` with score 0;
 so is every text when no labelled document is there; repeated rows are scored each on
 its own.
 """
@@ -20,7 +22,6 @@ its own.
 from __future__ import annotations
 
 import math
-import re
 from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
@@ -32,15 +33,14 @@ from pyspark.sql import functions as F
 
 from .common import arrow_rows, crc_mod
 
+#: Documents of a language that the model learns from.
 PER_LANGUAGE = 2_000
-#: Labelled languages that a model holds at most, the most frequent ones.
-MAX_LANGUAGES = 200
+#: Longer words are summed with rescaling, where plain products could underflow.
 PLAIN_LENGTH = 40
 MEMO_ENTRIES = 300_000
 #: Characters of texts that are held as words at a time, or one text.
 PART_CHARS = 1_500_000
 UNKNOWN = "und"
-_LETTERS = re.compile(r"[^\W\d_]+")
 
 
 @lru_cache(maxsize=2)
@@ -51,11 +51,18 @@ def pieces_of(path: str) -> tuple[dict[str, int], int, list[int]]:
     m = sentencepiece.SentencePieceProcessor(model_file=path)
     ids = {m.id_to_piece(i): i for i in range(m.get_piece_size()) if not m.is_control(i) and not m.is_unknown(i) and not m.is_byte(i)}
     byte = [m.piece_to_id(f"<0x{b:02X}>") for b in range(256)]
-    return ids, min(16, max(map(len, ids))), byte
+    return ids, max(map(len, ids)), byte
+
+
+@lru_cache(maxsize=1)
+def _letters():
+    import regex
+
+    return regex.compile(r"\p{L}+")
 
 
 def words_of(text: str | None) -> list[str]:
-    return _LETTERS.findall((text or "").lower())
+    return _letters().findall((text or "").lower())
 
 
 class PieceTrie:
@@ -203,6 +210,35 @@ def long_word(word: str, p: np.ndarray, path: str) -> np.ndarray:
     return log
 
 
+def long_counts(word: str, p: np.ndarray, path: str) -> dict[int, float]:
+    """Expected counts of the pieces in one long word, by forward and backward sums rescaled at every position."""
+    ids, longest, byte = pieces_of(path)
+    w = "▁" + word
+    n = len(w)
+    spelled = {c: [byte[b] for b in c.encode()] for c in set(w) if c not in ids}
+    edges: list[list[tuple[int, float, list[int]]]] = [[] for _ in range(n + 1)]  # by end: start, weight, pieces
+    for s in range(n):
+        for e in range(s + 1, min(n, s + longest) + 1):
+            i = ids.get(w[s:e])
+            if i is not None:
+                edges[e].append((s, p[i], [i]))
+            elif e == s + 1:
+                edges[e].append((s, float(np.prod(p[spelled[w[s]]])), spelled[w[s]]))
+    scale = np.ones(n + 1)  # the sum up to a position is the product of the scales up to it
+    for e in range(1, n + 1):
+        scale[e] = sum(x / np.prod(scale[s + 1 : e]) for s, x, _ in edges[e])
+    b = np.zeros(n + 1)
+    b[n] = 1
+    out: dict[int, float] = {}
+    for e in range(n, 0, -1):
+        for s, x, pieces in edges[e]:
+            share = x * b[e] / np.prod(scale[s + 1 : e + 1])
+            b[s] += share
+            for i in pieces:
+                out[i] = out.get(i, 0.0) + share
+    return out
+
+
 class Model:
     def __init__(self, languages: list[str], p: np.ndarray, path: str):
         self.languages, self.p, self.path = languages, p, path
@@ -276,15 +312,30 @@ def _maximised(counts: np.ndarray, prior: float = 200.0) -> np.ndarray:
     return (counts + prior * base) / (total + prior)
 
 
+def sampled_ids(train: DataFrame, n_of: dict[str, int], per_language: int) -> DataFrame:
+    """``doc_id, lang`` of the documents with a language's ``per_language`` least hashes of the id.
+
+    A language's size gives a bound that about twice as many hashes are under, so only
+    those are dealt out and sorted, whatever the language's share of all rows.
+    """
+    spark = train.sparkSession
+    reach = [(k, min(1.0, (2 * per_language + 200) / n)) for k, n in n_of.items()]
+    bound = spark.createDataFrame([(k, int(x * 2.0**63) if x < 1 else 2**63 - 1) for k, x in reach], "lang string, bound long")
+    hashed = train.select("doc_id", "lang", F.xxhash64("doc_id").bitwiseAND(F.lit(2**63 - 1)).alias("_h"))
+    near = hashed.join(F.broadcast(bound), "lang").where("_h <= bound").select("doc_id", "lang", "_h").distinct()  # a row for each language
+    by_hash = Window.partitionBy("lang").orderBy("_h", "doc_id")
+    return near.withColumn("_r", F.row_number().over(by_hash)).where(F.col("_r") <= per_language).select("doc_id", "lang")
+
+
 def fit(docs: DataFrame, path: str, per_language: int = PER_LANGUAGE, rounds: int = 3) -> Model:
     """Fit on documents with a language whose id isn't in the held-out part."""
     train = docs.where((crc_mod("doc_id", 3) != 1) & F.col("lang").isNotNull())
-    by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    languages = sorted(r.lang for r in train.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES).collect())
-    size = len(pieces_of(path)[0]) + 1000
+    found = train.groupBy("lang").agg(F.count("*").alias("n")).collect()  # a row for each language
+    languages = sorted(r.lang for r in found)
+    size = max(max(pieces_of(path)[0].values()), max(pieces_of(path)[2])) + 1
     if not languages:
         return Model([], np.zeros((size, 0)), path)
-    ids = train.where(F.col("lang").isin(languages)).select("doc_id", "lang").withColumn("_r", F.row_number().over(by_hash)).where(f"_r <= {per_language}").select("doc_id", "lang").distinct()
+    ids = sampled_ids(train, {r.lang: r.n for r in found}, per_language)
     sample = docs.select("doc_id", "lang", "text").join(F.broadcast(ids), ["doc_id", "lang"])  # per_language * languages ids at most
     number = {x: i for i, x in enumerate(languages)}
     counted = pa.schema([("lang", pa.int32()), ("word", pa.string()), ("n", pa.int64())])
@@ -293,18 +344,19 @@ def fit(docs: DataFrame, path: str, per_language: int = PER_LANGUAGE, rounds: in
         c: Counter = Counter()
         for lang, text in zip(cols["lang"], cols["text"], strict=True):
             k = number[lang]
-            c.update((k, w) for w in words_of(text) if len(w) <= PLAIN_LENGTH)
+            c.update((k, w) for w in words_of(text))
         return {"lang": [k for k, _ in c], "word": [w for _, w in c], "n": list(c.values())}
 
     words = sample.mapInArrow(arrow_rows(count, counted), "lang int, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n")).cache()
     expected = pa.schema([("lang", pa.int32()), ("piece", pa.int32()), ("c", pa.float64())])
-    size = max(max(pieces_of(path)[0].values()), max(pieces_of(path)[2])) + 1
     p = np.full((size, len(languages)), 1.0 / size)
     for _ in range(rounds):
 
         def expect(cols: dict[str, list], p: np.ndarray = p) -> dict[str, list]:
-            net = Lattice(cols["word"], path)
-            lang, n = np.array(cols["lang"], np.int64), np.array(cols["n"], float)
+            long = [i for i, x in enumerate(cols["word"]) if len(x) > PLAIN_LENGTH]
+            short = [i for i, x in enumerate(cols["word"]) if len(x) <= PLAIN_LENGTH]
+            net = Lattice([cols["word"][i] for i in short], path)
+            lang, n = np.array([cols["lang"][i] for i in short], np.int64), np.array([cols["n"][i] for i in short], float)
             w = net.weights(p)[np.arange(len(net.word)), lang[net.word]][:, None]
             a, b = net.pass_over(w), net.pass_over(w, True)
             whole = a[np.arange(net.n), net.length, 0]
@@ -313,6 +365,11 @@ def fit(docs: DataFrame, path: str, per_language: int = PER_LANGUAGE, rounds: in
             for at, ids in net.extra:
                 key = np.append(key, lang[net.word[at]] * size + np.array(ids[1:]))
                 c = np.append(c, np.full(len(ids) - 1, c[at]))
+            for i in long:
+                k = cols["lang"][i]
+                own = long_counts(cols["word"][i], p[:, k], path)
+                key = np.append(key, k * size + np.fromiter(own, np.int64, len(own)))
+                c = np.append(c, cols["n"][i] * np.fromiter(own.values(), float, len(own)))
             keys, place = np.unique(key, return_inverse=True)
             return {"lang": keys // size, "piece": keys % size, "c": np.bincount(place, c)}
 

@@ -5,15 +5,18 @@ clean ones, with their log odds as weights. Evidence counts once per context (th
 beside it), so copies of one document don't make its words into terms. Each distinct
 chunk of a text is matched against the lexicon's trie by walking it together with a
 Levenshtein automaton of the chunk: a bit set of chunk positions for every number of
-errors. A branch ends when no bit is left. Words that clean documents use are innocent
-neighbours, not misspellings.
+errors. A branch ends when no bit is left. How many errors count is up to the term, not
+to the misspelled word. Chunks joined by punctuation are matched whole and part by part.
+Words that clean documents use are innocent neighbours, not misspellings. Stems match
+exactly: a stem is no word that one could misspell.
 
 A hit's window of words tells quotation from abuse: quotation marks around it or a
 reporting word near it move its weight to a quoted sum. A logistic model over the sums
 gives the score.
 
 Labels: a bounded sample (``max_train``, by hash of the id) of labelled rows; nothing
-but the text enters a score. Defined cases: a null or empty text has no hits and gets
+but the text enters a score. The lexicon holds every term that passes the thresholds on
+those rows, whatever its length. Defined cases: a null or empty text has no hits and gets
 the model's base score; repeated rows are scored each on its own; without labelled
 rows of both kinds every score is the share of toxic labels (0 if there are none).
 """
@@ -34,8 +37,6 @@ from .common import arrow_rows, crc_mod, release, slices
 
 #: Labelled documents that a model is fitted on at most.
 MAX_TRAIN = 20_000
-#: Terms in the lexicon, and innocent neighbours that are remembered, at most.
-MAX_TERMS, MAX_INNOCENT, MAX_CANDIDATES = 2_000, 50_000, 100_000
 #: Lengths of stems that are looked at.
 STEMS = range(4, 9)
 WINDOW = 6
@@ -50,9 +51,15 @@ _EDGE = re.compile(r"^[\W_]+|[\W_]+$")
 
 
 def allowed_errors(length: int) -> int:
+    """Errors that a term of this length may have."""
     return 0 if length < 5 else 1 if length < 8 else 2
 
 
+def reachable_errors(length: int) -> int:
+    """The most errors by which a word of this length can be some term."""
+    return max(allowed_errors(n) for n in range(max(0, length - 2), length + 3) if abs(n - length) <= allowed_errors(n))
+
+
 def letters_of(word: str) -> int:
     """The set of a word's characters as bits, some of which share one."""
     out = 0
@@ -75,8 +82,8 @@ class Trie:
                 at = self.child[at][c]
             self.term[at] = i
 
-    def near(self, word: str, errors: int) -> tuple[int, int]:
-        """Term with the least edit distance to the word, at most ``errors``; (-1, 0) if there is none."""
+    def near(self, word: str, errors: int, bounds: list[int] | None = None) -> tuple[int, int]:
+        """Term with the least edit distance to the word, at most ``errors`` and the term's own bound; (-1, 0) if there is none."""
         mask: dict[str, int] = {}
         for i, c in enumerate(word):
             mask[c] = mask.get(c, 0) | 1 << i
@@ -90,7 +97,7 @@ class Trie:
             node, state = stack.pop()
             t = self.term[node]
             if t >= 0:
-                for e in range(min(best, errors + 1)):
+                for e in range(min(best, (errors if bounds is None else min(errors, bounds[t])) + 1)):
                     if state[e] & accept:
                         best, found = e, t
                         break
@@ -123,6 +130,7 @@ class Lexicon:
         self.lengths = sorted({len(t) for t in self.stems})
         self.number = list(self.words.values())
         self.trie = Trie(list(self.words))
+        self.bounds = [allowed_errors(len(t)) for t in self.words]
         self.letters: dict[int, list[int]] = {}
         for t in self.words:
             self.letters.setdefault(len(t), []).append(letters_of(t))
@@ -148,6 +156,8 @@ class Lexicon:
         """Whether a term of about this length lacks no more of the word's letters than errors can explain."""
         missing = ~letters_of(word)
         for n in range(len(word) - errors, len(word) + errors + 1):
+            if abs(n - len(word)) > allowed_errors(n):
+                continue
             for term in self.letters.get(n, ()):
                 if (term & missing).bit_count() <= errors:
                     return True
@@ -162,17 +172,26 @@ class Lexicon:
             found = self.exact(part)
             if found is not None:
                 return found, 0
-        if low in self.innocent or len(low) > 40 or not self.words:
+        if not self.words:
+            return None
+        for part in (low,) if low.isalnum() else (low, *_INNER.findall(low)):
+            found = self.misspelled(part)
+            if found is not None:
+                return found
+        return None
+
+    def misspelled(self, low: str) -> tuple[int, int] | None:
+        if low in self.innocent:
             return None
         plain = low.translate(LOOKALIKES)
         if not plain.isalpha():
             plain = "".join(c for c in plain if c.isalnum() or c == "*")
         if plain in self.words:
             return self.words[plain], 1
-        errors = allowed_errors(len(plain))
+        errors = reachable_errors(len(plain))
         if errors and self.possible(plain, errors):
-            t, e = self.trie.near(plain, errors)
-            if t >= 0 and e <= allowed_errors(len(self.terms[self.number[t]])):
+            t, e = self.trie.near(plain, errors, self.bounds)
+            if t >= 0:
                 return self.number[t], e
         return None
 
@@ -272,7 +291,7 @@ def _chosen(found: list, n_bad: int, n_good: int, good: dict[str, int], least_od
         if top is not None and rows[top].contexts >= 0.7 * rows[stem].contexts:
             del taken[stem]
             taken[top] = odds[top]
-    order = sorted(taken, key=lambda u: (-rows[u].contexts, u))[:MAX_TERMS]
+    order = sorted(taken, key=lambda u: (-rows[u].contexts, u))
     return order, [min(8.0, taken[u]) for u in order]
 
 
@@ -281,6 +300,7 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", max_train:
     total = rows.groupBy("y").count().collect()
     n_bad, n_good = (sum(r["count"] for r in total if r["y"] == k) for k in (1, 0))
     if not n_bad or not n_good:
+        rows.unpersist()
         share = n_bad / max(1, n_bad + n_good)
         return Model(Lexicon([], []), [0.0] * (N_FEATURES - 1) + [math.log((share + 1e-9) / (1 - share + 1e-9))])
     seen = pa.schema([("unit", pa.string()), ("context", pa.int64()), ("fresh", pa.int32())])
@@ -292,7 +312,7 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", max_train:
         for text in cols["text"]:
             words, own = ["", *_INNER.findall((text or "").lower()), ""], {}
             for before, w, after in zip(words, words[1:], words[2:], strict=False):
-                if 2 < len(w) <= 40:
+                if len(w) > 2:
                     c = xxh3_64_intdigest(f"{before} {after}") >> 1
                     for u in _units(w):
                         own.setdefault((u, c), None)
@@ -306,7 +326,7 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", max_train:
 
     bad = rows.where("y = 1").mapInArrow(arrow_rows(evidence, seen, 64), "unit string, context long, fresh int")
     bad = bad.groupBy("unit", "context").agg(F.sum("fresh").alias("fresh")).groupBy("unit").agg(F.sum("fresh").alias("docs"), F.count("*").alias("contexts"))
-    found = bad.where(f"docs >= 4 and contexts >= {least_contexts} and contexts * 4 >= docs").orderBy(F.desc("docs"), "unit").limit(MAX_CANDIDATES).collect()
+    found = bad.where(f"docs >= 4 and contexts >= {least_contexts} and contexts * 4 >= docs").collect()  # units that recur in max_train texts
     units = {r.unit for r in found}
     counted = pa.schema([("unit", pa.string())])
 
@@ -320,10 +340,13 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", max_train:
         out = set()
         for t in cols["text"]:
             chunks = (t or "").split()
-            out |= {_EDGE.sub("", chunks[i].lower()) for i, _, e in lexicon.hits(chunks) if e}
+            for i, _, e in lexicon.hits(chunks):
+                if e:
+                    low = _EDGE.sub("", chunks[i].lower())
+                    out |= {low} if low.isalnum() else {low, *_INNER.findall(low)}
         return {"unit": list(out)}
 
-    near = rows.where("y = 0").mapInArrow(arrow_rows(neighbours, counted), "unit string").groupBy("unit").count().orderBy(F.desc("count"), "unit").limit(MAX_INNOCENT).collect()
+    near = rows.where("y = 0").mapInArrow(arrow_rows(neighbours, counted), "unit string").distinct().collect()  # words of max_train texts
     lexicon.innocent = frozenset(r["unit"] for r in near)
     table = pa.schema([(f"f{i}", pa.float64()) for i in range(N_FEATURES)] + [("y", pa.int32())])
 

@@ -132,3 +132,155 @@ def test_language_edges(spark):
     assert {(r.doc_id, r.lang_pred, r.score) for r in got if r.doc_id in (1, 2)} == {(1, "und", 0.0), (2, "und", 0.0)}
     empty = language_id.fit(docs.limit(0), PATH)
     assert {r.lang_pred for r in language_id.predict(docs, empty).collect()} == {"und"}
+
+
+def test_deletions_joined_parts_and_long_words():
+    lex = toxicity.Lexicon(["idiot", "worthless", "trash", "donaudampfschifffahrtsgesellschaftskapitaensmuetze"], [5.0, 4.0, 3.0, 2.0], frozenset(["tras"]))
+    assert lex.match("idot") == (0, 1)  # the term's length decides, not the misspelled word's
+    assert lex.match("trsh") == (2, 1) and lex.match("tras") is None
+    assert lex.match("you,idi0t") == (0, 1) and lex.match("oh/idiiot/no") == (0, 1)
+    assert lex.match("ido") is None and lex.match("wrthles") == (1, 2)
+    assert lex.match("donaudampfschiffahrtsgesellschaftskapitaensmuetze") == (3, 1)
+    assert lex.match("x" * 200_000) is None
+
+
+def brute_match(lex, chunk):
+    """By edit distances to every term, no automaton and no filter."""
+    low = toxicity._EDGE.sub("", chunk.lower())
+    parts = [low] if low.isalnum() else [low, *toxicity._INNER.findall(low)]
+    for p in parts:
+        if p in lex.words:
+            return lex.words[p], 0
+        for n in range(1, len(p) + 1):
+            if p[:n] in lex.stems:
+                return lex.stems[p[:n]], 0
+    for p in parts:
+        if p in lex.innocent:
+            continue
+        plain = p.translate(toxicity.LOOKALIKES)
+        if not plain.isalpha():
+            plain = "".join(c for c in plain if c.isalnum() or c == "*")
+        if plain in lex.words:
+            return lex.words[plain], 1
+        near = [(distance(plain, t), i) for t, i in lex.words.items() if abs(len(t) - len(plain)) <= toxicity.allowed_errors(len(t))]
+        near = [(e, i) for e, i in near if e <= toxicity.allowed_errors(len(lex.terms[i]))]
+        if near:
+            return min(near)[0]
+    return None
+
+
+def test_op7_rows_equal_brute_force(spark, small):
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    rows = {r.doc_id: r for r in op7_toxicity(spark, small).collect()}
+    model = toxicity.fit(docs, spark.read.parquet(f"{small}/labels.parquet"))
+    lex, known = model.lexicon, {}
+
+    def hit(chunk):
+        if chunk not in known:
+            known[chunk] = brute_match(lex, chunk) if toxicity._EDGE.sub("", chunk.lower()) else None
+        return known[chunk]
+
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    assert rows.keys() == texts.keys()
+    for i, t in texts.items():
+        chunks = (t or "").split()
+        found = [(k, hit(c)) for k, c in enumerate(chunks)]
+        for k, h in found:
+            m = lex.match(chunks[k])
+            assert (m is None) == (h is None)
+            if m is not None:
+                assert m == h if isinstance(h, tuple) else m[1] == h  # several terms can be as near
+        sums = [0.0, 0.0, 0.0, 0.0]
+        for k, h in found:
+            if h is None:
+                continue
+            term, e = lex.match(chunks[k])
+            w, q = lex.weights[term], toxicity.quotation(chunks, k)
+            sums[2] += w * q
+            sums[1 if e else 0] += w * (1 - q) / max(e, 1)
+            sums[3] = max(sums[3], 0 if e else w * (1 - q))
+        hits = sum(h is not None for _, h in found)
+        f = [*map(math.log1p, sums[:3]), sums[3], min(1.0, 100 * hits / (len(chunks) + 50)), 1.0]
+        z = sum(a * b for a, b in zip(f, model.beta))
+        want = 1 / (1 + math.exp(-max(-40.0, min(40.0, z))))
+        assert abs(rows[i].score - want) < 1e-9 and rows[i].predicted == int(rows[i].score >= 0.5)
+        assert rows[i].held_out == (zlib.crc32(str(i).encode()) % 5 == 0)
+
+
+def test_number_forms_are_no_letters(spark):
+    docs = spark.createDataFrame([(1, "½ ² ① Ⅷ ៣", "en"), (2, "der die das", "de"), (3, "the and of", "en"), (6, "a½b", "en")], "doc_id long, text string, lang string")
+    model = language_id.fit(docs, PATH)
+    got = {r.doc_id: r for r in language_id.predict(docs, model).collect()}
+    assert (got[1].lang_pred, got[1].score) == ("und", 0.0) and got[6].lang_pred in ("de", "en")
+
+
+def test_expected_counts_of_long_words():
+    rng = np.random.default_rng(1)
+    pieces, _, byte = language_id.pieces_of(PATH)
+    p = rng.random((max(max(pieces.values()), max(byte)) + 1, 1)) * 1e-2
+    words = ["straße", "international", "漢字x", "ꙮꙮ", "aaaaaaaaaa"]
+    net = language_id.Lattice(words, PATH)
+    w = net.weights(p)
+    a, b = net.pass_over(w), net.pass_over(w, True)
+    c = a[net.word, net.start, 0] * w[:, 0] * b[net.word, net.end, 0] / a[net.word, net.length[net.word], 0]
+    for i, x in enumerate(words):
+        want = {}
+        for (k, _, _, ids), v in zip(net.edges(), c):
+            for q in ids if k == i else ():
+                want[q] = want.get(q, 0.0) + v
+        got = language_id.long_counts(x, p[:, 0], PATH)
+        assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-9 for k in want)
+    assert sum(language_id.long_counts("ab" * 2000, p[:, 0], PATH).values()) > 200
+
+
+def test_many_languages_and_long_words_are_learned(spark):
+    rows = [(9 * i, f"mot{i}uno " * 30 + f"q{i}" * 30, f"l{i:03}") for i in range(230)]
+    rows = [r for r in rows if zlib.crc32(str(r[0]).encode()) % 3 != 1]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language_id.fit(docs, PATH, rounds=1)
+    assert model.languages == sorted(r[2] for r in rows) and model.p.shape[1] == len(rows)
+
+
+def test_sampled_ids_are_the_least_hashes(spark):
+    docs = spark.range(3000).selectExpr("id % 2800 AS doc_id", "case when id % 10 = 0 then 'b' else 'a' end AS lang", "'x' AS text")
+    got = language_id.sampled_ids(docs, {"a": 2700, "b": 300}, 40)
+    want = docs.selectExpr("doc_id", "lang", f"xxhash64(doc_id) & {2**63 - 1} AS h").distinct().collect()
+    for lang in "ab":
+        ids = [r.doc_id for r in sorted((r for r in want if r.lang == lang), key=lambda r: (r.h, r.doc_id))[:40]]
+        assert sorted(r.doc_id for r in got.where(f"lang = '{lang}'").collect()) == sorted(ids)
+
+
+def test_op9_rows_equal_brute_force(spark, small):
+    """Scores by a plain sum over segmentations of every word, with the fitted piece probabilities."""
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    model = language_id.fit(docs, PATH)
+    pieces, longest, byte = language_id.pieces_of(PATH)
+    import regex
+
+    known = {}
+
+    def word_log(w):
+        if w not in known:
+            marked, rows, log = "▁" + w, [np.ones(model.p.shape[1])], np.zeros(model.p.shape[1])
+            for e in range(1, len(marked) + 1):
+                total = np.zeros(model.p.shape[1])
+                for s in range(max(0, e - longest), e):
+                    i = pieces.get(marked[s:e])
+                    x = model.p[i] if i is not None else np.prod(model.p[[byte[b] for b in marked[s].encode()]], axis=0) if e == s + 1 else 0.0
+                    total = total + rows[s] * x
+                log, rows = log + np.log(total), [r / total for r in rows] + [np.ones(model.p.shape[1])]
+            known[w] = log
+        return known[w]
+
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    rows = op9_language(spark, small).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        words = regex.findall(r"\p{L}+", (texts[r.doc_id] or "").lower())
+        assert r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 3 == 1)
+        if not words:
+            assert (r.lang_pred, r.score) == ("und", 0.0)
+            continue
+        total = sum(word_log(w) for w in words) / math.sqrt(len(words))
+        e = np.exp(total - total.max())
+        assert r.lang_pred == model.languages[int(e.argmax())] and abs(r.score - e.max() / e.sum()) < 1e-6

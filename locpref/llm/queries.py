@@ -64,6 +64,8 @@ def op3_sql() -> str:
     quoted = lambda p: "'" + p.replace("'", "''") + "'"
     kind = lambda k, p, group, least: f"SELECT r, {k} AS k, string_split_regex(t, {quoted(p)}) AS g, regexp_extract_all(t, {quoted(p)}, 0) AS a, regexp_extract_all(t, {quoted(p)}, {group}) AS p, {least} AS least FROM d"
     allow = " OR ".join(f"regexp_matches(word, {quoted(p)})" for p in s.ALLOW)
+    path = f"length(word) - length(replace(word, '/', '')) >= {s.PATH_SLASHES} AND NOT regexp_matches(word, '[^A-Za-z0-9/_-]') AND len(list_filter(string_split_regex(word, '{s.PATH_CUT}'), lambda x: length(x) >= {s.WINDOW} OR NOT regexp_matches(x, {quoted(s.PATH_PART)}))) = 0"
+    bits = "CASE " + " ".join(f"WHEN regexp_matches(word, {quoted(p)}) THEN {least}" for p, least in s.CLASSES) + f" ELSE {s.BASE64_BITS} END"
     return f"""
 WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t FROM documents),
 m AS ({kind(0, s.ASSIGN, 2, 6)} UNION ALL {kind(1, s.ACCESS, 0, 0)} UNION ALL {kind(2, s.HEX, 0, 0)} UNION ALL {kind(3, s.CANDIDATE, 0, 0)}),
@@ -74,12 +76,12 @@ placed AS (
 ), base AS (SELECT r, k, s::BIGINT AS s, (s + n)::BIGINT AS e FROM placed WHERE k < 3),
 cand AS (
   SELECT c.r, c.k, c.s::BIGINT AS s, (c.s + c.n)::BIGINT AS e, c.word FROM placed c
-  WHERE k = 3 AND regexp_matches(word, '[0-9]') AND NOT ({allow}) AND NOT EXISTS (SELECT 1 FROM base b WHERE b.r = c.r AND b.s < c.s + c.n AND c.s < b.e)
+  WHERE k = 3 AND regexp_matches(word, '[0-9]') AND NOT ({allow}) AND NOT ({path}) AND NOT EXISTS (SELECT 1 FROM base b WHERE b.r = c.r AND b.s < c.s + c.n AND c.s < b.e)
 ), cut AS (SELECT *, substr(word, (unnest(range(1, length(word) - {s.WINDOW - 2})))::BIGINT, {s.WINDOW}) AS w FROM cand),
 bits AS (
   SELECT r, k, s, e, word, max(log2({s.WINDOW}) - list_sum(list_transform(list_distinct(string_split(w, '')), lambda x: ({s.WINDOW} - length(replace(w, x, ''))) * log2({s.WINDOW} - length(replace(w, x, ''))))) / {s.WINDOW}) AS h
   FROM cut GROUP BY ALL
-), extra AS (SELECT r, k, s, e FROM bits WHERE h >= CASE WHEN regexp_matches(word, '^[0-9a-fA-F]+$') THEN {s.HEX_BITS} ELSE {s.BASE64_BITS} END),
+), extra AS (SELECT r, k, s, e FROM bits WHERE h >= {bits}),
 named AS (SELECT *, ['assign', 'access', 'hex', 'entropy'][k + 1] || ':' || s || ':' || e AS x FROM (FROM base UNION ALL FROM extra)),
 summed AS (
   SELECT r, count(*) FILTER (k = 0) AS a, count(*) FILTER (k = 1) AS b, count(*) FILTER (k = 2) AS c, count(*) FILTER (k = 3) AS n,

@@ -1,15 +1,17 @@
 """Secret scans: fixed patterns, and strings of high entropy in a sliding window.
 
-Only DataFrame functions. A pattern's matches and the text between them give all
-positions by running sums of lengths, so a text is cut once per pattern that it holds.
+Only DataFrame functions, and none whose work grows with the square of a text: a
+pattern's matches and the text between them give all positions by running sums, which
+are made in doubling steps (each adds the array to itself, moved by a power of two).
 
 Entropy: candidates are long runs of token characters with a digit. A window slides
-over each; a count per character class member is raised for the character that comes
-in and lowered for the one that goes out, and the sum of c*log2(c) follows both, so
-each step costs the same. The highest window entropy is held against the threshold of
-the candidate's class (hex digits, one case with digits, or the 64-letter alphabet).
-Candidates on the allow-list (placeholders, identifiers of well-known form, paths whose
-segments all look like words) and those that touch a pattern's span are left out.
+over each. Counts of the window's characters sit in the bit fields of a few numbers:
+one field goes up by one for the character that comes in, one goes down for the one
+that goes out, and the sum of c*log2(c) follows both by a table, so each step costs the
+same. The highest window entropy is held against the threshold of the candidate's class
+(hex digits, one case with digits, or the 64-letter alphabet). Candidates on the
+allow-list (placeholders, identifiers of well-known form, paths whose segments all look
+like words) and those that touch a pattern's span are left out.
 
 Defined cases: null text counts as empty; a row per input row, repeated rows too; ids
 may be null; other columns stay out of it.
@@ -17,6 +19,9 @@ may be null; other columns stay out of it.
 
 from __future__ import annotations
 
+import math
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -34,76 +39,100 @@ ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_-="
 HEX_BITS, LOWER_BITS, UPPER_BITS, BASE64_BITS = 3.05, 3.66, 3.56, 3.95
 #: In order, the first that fits: hex digits, lower case and digits, upper case and digits (base32 too, with its padding).
 CLASSES = ((r"^[0-9a-fA-F]+$", HEX_BITS), (r"^[a-z0-9]+$", LOWER_BITS), (r"^[A-Z0-9]+=*$", UPPER_BITS))
-# Part of a path's segment: shorter than a window, digits, then up to three words, then digits.
-_PART = r"(?![A-Za-z0-9]{20})[0-9]{0,8}(?:[A-Z]?[a-z]+|[A-Z]+){0,3}[0-9]{0,8}"
-_SEGMENT = rf"{_PART}(?:[_-]{_PART})*"
+#: In any order: digits, UUIDs, placeholders, runs, dates.
 ALLOW = (
     r"^[0-9]+$",
     r"^[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}$",
     r"[eE][xX][aA][mM][pP][lL][eE]|[sS][aA][mM][pP][lL][eE]|[dD][uU][mM][mM][yY]|[pP][lL][aA][cC][eE][hH][oO][lL][dD]",
     r"0123456789|abcdefgh|ABCDEFGH|xxxxx|XXXXX",
-    r"^[^/]*/[^/]*/.*/",
     r"^[0-9]{4}-[0-9]{2}-[0-9]{2}",
 )
-
-#: The same for ``find_secrets``, with paths told by their segments; the SQL keeps the count of slashes.
-ALLOWED = tuple(p for p in ALLOW if "/" not in p) + (rf"^{_SEGMENT}/{_SEGMENT}/{_SEGMENT}(?:/{_SEGMENT})+$",)
+#: A path has this many slashes, and each part between separators is shorter than a window: digits, up to three words, digits.
+PATH_SLASHES, PATH_CUT, PATH_PART = 3, "[/_-]", r"^[0-9]{0,8}(?:[A-Z]?[a-z]+|[A-Z]+){0,3}[0-9]{0,8}$"
 
 _SPANS = "array<struct<start:bigint,kind:int,end:bigint,word:string>>"
+#: Code points of a text's blocks; a position is looked up in its block, not from the start of the text.
+BLOCK = 2048
+#: Bits of one count in a window's bit fields, and counts in a number.
+FIELD, FIELDS = 5, 12
 
 
-def _matches(text: Column, pattern: str, kind: int, group: int = 0, least: int = 0) -> Column:
-    """Spans of the leftmost matches that don't overlap, whose ``group`` has ``least`` characters."""
-    p = F.lit(pattern)
-    parts = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), F.regexp_extract_all(text, p, F.lit(0)).alias("all"), F.regexp_extract_all(text, p, F.lit(group)).alias("part"))
-    first = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast(_SPANS).alias("out"))
+def _bound(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use`` of a value that is evaluated once; an expression that is named twice is evaluated twice."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def _running(values: Column, join: Callable[[Column, Column], Column]) -> Column:
+    """Running sums (or maxima) of an array, itself included, in as many doubling steps as its length has bits."""
+
+    def step(acc: Column, by: Column) -> Column:
+        moved = F.zip_with(F.slice(acc, by + 1, F.size(acc) - by), F.slice(acc, F.lit(1), F.size(acc) - by), join)
+        return F.concat(F.slice(acc, F.lit(1), by), moved)
+
+    powers = F.array(*(F.lit(1 << k) for k in range(30)))
+    return _bound(values, lambda v: F.aggregate(F.filter(powers, lambda by: by < F.size(v)), v, step))
 
-    def step(acc: Column, x: Column) -> Column:
-        start = acc["at"] + F.length(x["gap"])
-        end = start + F.coalesce(F.length(x["all"]), F.lit(0))
-        span = F.struct(start.cast("bigint").alias("start"), F.lit(kind).alias("kind"), end.cast("bigint").alias("end"), x["part"].alias("word"))
-        good = x["all"].isNotNull() & (F.length(x["part"]) >= least)
-        return F.struct(end.cast("bigint").alias("at"), F.when(good, F.array_append(acc["out"], span)).otherwise(acc["out"]).alias("out"))
 
-    return F.when(text.rlike(pattern), F.aggregate(parts, first, step, lambda a: a["out"])).otherwise(F.array().cast(_SPANS))
+def _matches(text: Column, pattern: str, kind: int, group: int = 0, least: int = 0) -> Column:
+    """Spans of the leftmost matches that don't overlap, whose ``group`` has ``least`` characters."""
+    whole = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
+    parts = F.regexp_extract_all(text, F.lit(pattern), F.lit(group)) if group else whole
+    gaps = F.transform(F.split(text, pattern, -1), lambda x: F.length(x).cast("bigint"))
+    sizes = F.transform(whole, lambda x: F.length(x).cast("bigint"))
 
+    def spans(x: Column) -> Column:
+        one = lambda w, i: F.struct(F.get(x["at"], 2 * i).alias("start"), F.lit(kind).alias("kind"), F.get(x["at"], 2 * i + 1).alias("end"), w.alias("word"))
+        return F.filter(F.transform(x["part"], one), lambda s: F.length(s["word"]) >= least)
 
-def _clogc(c: Column) -> Column:
-    return F.when(c > 1, c * F.log2(c)).otherwise(F.lit(0.0))
+    # lengths in turn of a gap and a match, the last gap without one; their sums are starts and ends
+    at = _running(F.flatten(F.zip_with(gaps, sizes, lambda g, m: F.array(g, F.coalesce(m, F.lit(0).cast("bigint"))))), lambda a, b: a + b)
+    return F.when(text.rlike(pattern), _bound(F.struct(at.alias("at"), parts.alias("part")), spans)).otherwise(F.array().cast(_SPANS))
 
 
 def window_entropy(word: Column, window: int = WINDOW, alphabet: str = ALPHABET) -> Column:
-    """Highest entropy in bits of ``window`` characters in a row; characters outside count as one."""
-    n = len(alphabet) + 1
-    chars = F.split(word, "")
-    steps = F.arrays_zip(chars.alias("new"), F.concat(F.array_repeat(F.lit(None).cast("string"), window), F.split(word, "")).alias("old"))
-    state = F.struct(F.array_repeat(F.lit(0), n).alias("count"), F.lit(0.0).alias("s"), F.lit(0).alias("n"), F.lit(0.0).alias("best"))
+    """Highest entropy in bits of ``window`` characters (31 at most) in a row; characters outside count as one."""
+    if not 0 < window < 1 << FIELD:
+        raise ValueError(f"a window has 1 to {(1 << FIELD) - 1} characters")
+    words = len(alphabet) // FIELDS + 1
+    clogc = F.array(*(F.lit(c * math.log2(c) if c else 0.0) for c in range(window + 2)))
+    unit = F.array(*(F.lit(1 << FIELD * i).cast("bigint") for i in range(FIELDS)))
+    zero = F.lit(0).cast("bigint")
+
+    def placed(chars: Column) -> Column:
+        """The number that holds a character's count, and one unit of that count."""
+        at = F.transform(F.split(chars, ""), lambda c: F.instr(F.lit(alphabet), c))
+        return F.transform(at, lambda i: F.struct(F.floor(i / FIELDS).cast("int").alias("k"), F.get(unit, i % FIELDS).alias("u")))
+
+    kind = "struct<k:int,u:bigint>"
+    left = placed(F.substring(word, F.lit(1), F.greatest(F.length(word) - window, F.lit(0))))
+    steps = F.zip_with(placed(word), F.concat(F.array_repeat(F.lit(None).cast(kind), window), left), lambda new, old: F.struct(new.alias("new"), old.alias("old")))
+    steps = F.slice(steps, F.lit(1), F.length(word))
+    state = F.struct(F.array(*([zero] * words)).alias("w"), F.lit(0.0).alias("s"), F.lit(0).alias("n"), F.lit(0.0).alias("best"))
 
     def step(acc: Column, x: Column) -> Column:
-        # positions past the end bring nothing in; a window still short lets nothing out
-        new = F.when(x["new"].isNotNull(), F.instr(F.lit(alphabet), x["new"])).otherwise(-1)
-        old = F.when(x["old"].isNotNull() & x["new"].isNotNull(), F.instr(F.lit(alphabet), x["old"])).otherwise(-1)
-        c_new = F.coalesce(F.get(acc["count"], new), F.lit(0))
-        c_old = F.coalesce(F.get(acc["count"], old), F.lit(0)) + F.when((old == new) & (old >= 0), 1).otherwise(0)
-        up = F.when(new >= 0, _clogc(c_new + 1) - _clogc(c_new)).otherwise(0.0)
-        down = F.when(old >= 0, _clogc(c_old - 1) - _clogc(c_old)).otherwise(0.0)
-        s = acc["s"] + up + down
-        n_now = acc["n"] + (new >= 0).cast("int")
-        count = F.transform(acc["count"], lambda c, i: c + (i == new).cast("int") - (i == old).cast("int"))
-        best = F.when((n_now >= window) & (new >= 0), F.greatest(acc["best"], F.log2(F.lit(float(window))) - s / window)).otherwise(acc["best"])
-        return F.struct(count.alias("count"), s.alias("s"), n_now.alias("n"), best.alias("best"))
+        new, old = x["new"], x["old"]
+        count = lambda c: F.floor(F.get(acc["w"], c["k"]) / c["u"]).cast("bigint").bitwiseAND(F.lit((1 << FIELD) - 1)).cast("int")
+        w = F.transform(acc["w"], lambda v, i: v + F.when(i == new["k"], new["u"]).otherwise(zero) - F.when(i == old["k"], old["u"]).otherwise(zero))
+        up = F.get(clogc, count(new) + 1) - F.get(clogc, count(new))
+        down = F.coalesce(F.get(clogc, count(old) - 1) - F.get(clogc, count(old)), F.lit(0.0))
+        s = acc["s"] + F.when(F.coalesce(new == old, F.lit(False)), 0.0).otherwise(up + down)
+        n = acc["n"] + 1
+        best = F.when(n >= window, F.greatest(acc["best"], F.lit(math.log2(window)) - s / window)).otherwise(acc["best"])
+        return F.struct(w.alias("w"), s.alias("s"), n.alias("n"), best.alias("best"))
 
     return F.aggregate(steps, state, step, lambda a: a["best"])
 
 
 def _random_looking(word: Column) -> Column:
     allowed = F.lit(False)
-    for p in ALLOWED:
+    for p in ALLOW:
         allowed = allowed | word.rlike(p)
+    short = lambda x: F.when(F.length(x) < WINDOW, x.rlike(PATH_PART)).otherwise(False)
+    path = (F.length(word) - F.length(F.replace(word, F.lit("/"))) >= PATH_SLASHES) & F.forall(F.split(word, PATH_CUT, -1), short) & ~word.rlike("[^A-Za-z0-9/_-]")
     bits = F.lit(BASE64_BITS)
     for p, least in reversed(CLASSES):
         bits = F.when(word.rlike(p), F.lit(least)).otherwise(bits)
-    return word.rlike("[0-9]") & ~allowed & (window_entropy(word) >= bits)
+    return word.rlike("[0-9]") & ~allowed & ~path & (window_entropy(word) >= bits)
 
 
 def find_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -111,10 +140,21 @@ def find_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     src = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     text = F.col("text")
     base = F.concat(_matches(text, ASSIGN, 0, 2, 6), _matches(text, ACCESS, 1), _matches(text, HEX, 2))
-    both = src.withColumn("base", F.array_sort(base)).withColumn("candidates", _matches(text, CANDIDATE, 3))
-    apart = lambda s: ~F.exists("base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
-    extra = F.when(F.size("candidates") > 0, F.filter("candidates", lambda s: apart(s) & _random_looking(s["word"]))).otherwise(F.col("candidates"))
-    return both.withColumn("found", F.array_sort(F.concat("base", extra))).drop("candidates")
+    out = src.withColumn("base", F.array_sort(base)).withColumn("candidates", F.filter(_matches(text, CANDIDATE, 3), lambda s: s["word"].rlike("[0-9]")))
+    extra = F.when(F.size("candidates") > 0, F.filter(_apart(F.array_sort(F.concat("base", "candidates"))), lambda s: _random_looking(s["word"]))).otherwise(F.col("candidates"))
+    return out.withColumn("found", F.array_sort(F.concat("base", extra))).select("doc_id", "text", "base", "found")
+
+
+def _apart(spans: Column) -> Column:
+    """The candidates among spans in order of starts that no pattern's span overlaps.
+
+    The patterns' spans before a candidate must end, and those after it must start, outside.
+    """
+    none, far = F.lit(0).cast("bigint"), F.lit(2**62).cast("bigint")
+    ends = lambda v: _running(F.transform(v, lambda s: F.when(s["kind"] < 3, s["end"]).otherwise(none)), lambda a, b: F.greatest(a, b))
+    starts = lambda v: F.reverse(_running(F.reverse(F.transform(v, lambda s: F.when(s["kind"] < 3, s["start"]).otherwise(far))), lambda a, b: F.least(a, b)))
+    outside = lambda x: F.filter(x["v"], lambda s, i: (s["kind"] == 3) & (F.get(x["ends"], i) <= s["start"]) & (F.get(x["starts"], i) >= s["end"]))
+    return _bound(spans, lambda v: _bound(F.struct(v.alias("v"), ends(v).alias("ends"), starts(v).alias("starts")), outside))
 
 
 def listed(spans: str) -> Column:
@@ -127,16 +167,26 @@ def count_kind(spans: str, kind: int) -> Column:
     return F.size(F.filter(spans, lambda s: s["kind"] == kind)).cast("long")
 
 
-def redact(docs: DataFrame, mark: str = "[secret]") -> DataFrame:
-    """``docs`` with every found span of ``text`` replaced by ``mark``; null texts stay null."""
-    named = docs.select(F.struct(*docs.columns).alias("row"), "text").select("row", F.col("row").getField("text").alias("text"))
-    found = find_secrets(named, "row")
-    state = F.struct(F.lit(0).cast("bigint").alias("at"), F.lit("").alias("out"))
+def _cut(blocks: Column, start: Column, end: Column) -> Column:
+    """Code points start to end (exclusive) of a text in blocks."""
+    first = F.floor(start / BLOCK).cast("int")
+    held = F.array_join(F.slice(blocks, first + 1, F.floor(end / BLOCK).cast("int") - first + 1), "")
+    return F.substring(held, (start - first * BLOCK + 1).cast("int"), F.greatest(end - start, F.lit(0)).cast("int"))
 
-    def step(acc: Column, s: Column) -> Column:
-        gap = F.substring(F.col("text"), acc["at"] + 1, F.greatest(s["start"] - acc["at"], F.lit(0).cast("bigint")))
-        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(s["start"] >= acc["at"], F.concat(acc["out"], gap, F.lit(mark))).otherwise(acc["out"]).alias("out"))
 
-    clean = F.when(F.size("found") > 0, F.aggregate("found", state, step, lambda a: F.concat(a["out"], F.substring(F.col("text"), a["at"] + 1, F.length("text"))))).otherwise(F.col("doc_id.text"))
-    kept = found.withColumn("clean", clean)
-    return kept.select(*(F.col("clean").alias(c) if c == "text" else F.col("doc_id").getField(c).alias(c) for c in docs.columns))
+def redact(docs: DataFrame, mark: str = "[secret]") -> DataFrame:
+    """``docs`` with every found span of ``text`` replaced by ``mark``, overlapping ones by one mark; null texts stay null."""
+    named = docs.select(F.struct(*docs.columns).alias("row"), "text").select("row", F.col("row").getField("text").alias("text"))
+    out = find_secrets(named, "row")
+    ends = _running(F.transform("found", lambda s: s["end"]), lambda a, b: F.greatest(a, b))
+    blocks = F.regexp_extract_all("text", F.lit(f"(?s).{{1,{BLOCK}}}"), F.lit(0))
+
+    def clean(x: Column) -> Column:
+        at = lambda i: F.coalesce(F.get(x["ends"], i - 1), F.lit(0).cast("bigint"))
+        fresh = F.filter(F.transform(x["found"], lambda s, i: F.struct(at(i).alias("at"), s["start"].alias("start"))), lambda g: g["start"] >= g["at"])
+        marked = F.array_join(F.transform(fresh, lambda g: F.concat(_cut(x["blocks"], g["at"], g["start"]), F.lit(mark))), "")
+        return F.concat(marked, _cut(x["blocks"], F.element_at(x["ends"], -1), x["n"]))
+
+    held = F.struct(F.col("found"), ends.alias("ends"), blocks.alias("blocks"), F.length("text").cast("bigint").alias("n"))
+    out = out.withColumn("clean", F.when(F.size("found") > 0, _bound(held, clean)).otherwise(F.col("doc_id.text")))
+    return out.select(*(F.col("clean").alias(c) if c == "text" else F.col("doc_id").getField(c).alias(c) for c in docs.columns))

@@ -98,3 +98,42 @@ def test_keys_of_one_case_are_found(spark):
 def test_paths_and_words_are_left_alone(spark):
     assert _share_found(spark, ["usr/local/share/doc/python3", "/home/user/MyProject/src/main/app2/Index", "/var/log/2024/01/31/web-server_01/access1", "internationalization2024", "productionenvironmentserver01"]) == 0
     assert _share_found(spark, ["/home/user/keys/Zq8vN3kLw0Rt7YbXc2MpAf"]) == 1
+
+
+def _seconds(df):
+    import time
+
+    began = time.time()
+    df.write.format("noop").mode("overwrite").save()
+    return time.time() - began
+
+
+def test_time_follows_the_length_of_a_text(spark):
+    """Thousands of matches in one text: four times the text may take eight times as long, not sixteen."""
+    rng = random.Random(5)
+    key = lambda: "".join(rng.choice(secrets.ALPHABET[:62]) for _ in range(30))
+    lines = [rng.choice(["token = 'abcdef1'", f"x {key()} y", "AKIA" + "B" * 16, "0f" * 14]) for _ in range(32_000)]
+    took = {}
+    for n in (1000, 8000, 32_000):
+        docs = spark.createDataFrame([(1, "\n".join(lines[:n]))], "doc_id long, text string")
+        for f in (secrets.find_secrets, secrets.redact):
+            took[n, f.__name__] = _seconds(f(docs))
+    for name in ("find_secrets", "redact"):
+        assert took[32_000, name] < 8 * took[8000, name] + 2
+    row = secrets.find_secrets(spark.createDataFrame([(1, "\n".join(lines[:1500]))], "doc_id long, text string")).collect()[0]
+    assert [(s.start, s.kind, s.end) for s in row.base] == brute(row.text)
+    one = spark.createDataFrame([(1, "z" + "".join(rng.choice(secrets.ALPHABET[:62]) for _ in range(60_000)))], "doc_id long, text string")
+    assert _seconds(secrets.find_secrets(one)) < 20
+
+
+def test_overlaps_and_blocks(spark):
+    """Spans of several kinds over one another, and spans over the edges of blocks."""
+    text = "é\U0001f600" * 1500 + " secret = " + "0a" * 40 + " " + "w " * 900 + "AKIA" + "Q" * 3000 + " token: " + "0f" * 1200 + "\n\U0001f600end"
+    docs = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    got = secrets.redact(docs).collect()[0].text
+    at, want = 0, ""
+    for s, _, e in brute(text):
+        if s >= at:
+            want += text[at:s] + "[secret]"
+        at = max(at, e)
+    assert got == want + text[at:]

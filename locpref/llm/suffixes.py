@@ -6,16 +6,24 @@ positions: the leftmost least hash among the word ``gram``-grams of some window
 hold equal suffixes at equal places, and a suffix stands for the run of windows that
 picked it: it extends ``j`` words to the left for j in a range, and the rest right.
 
-Suffixes that start with the same gram are neighbours of one bucket of the sorted
-array. Neighbours with the whole context in common are one class, whatever their
-number. Classes of a bucket are then told apart by extending them left and right
-word by word: for every left length the extended content is compared, again between
-neighbours in key order. Spark's partial aggregation does these comparisons of equal
-neighbours, so that a passage in a third of all documents is merged before it is
-dealt out; no task holds a bucket.
+Suffixes with the whole context in common are one class, whatever their number: they
+are merged by partial aggregation, so a passage in a third of all documents is one
+entry. Classes whose gram no other class has need no comparison. All others are sorted
+by gram and by the words after it. Neighbours in that order are compared word by word;
+the lengths they have in common cut the order into runs, for every length that a window
+needs to the right. Inside a run, the words to the left are compared, length by length.
+So every class learns with which others it shares a window, and their least document.
+
+A gram with so many classes that one task shouldn't hold them is dealt out by the whole
+extended content instead, for every left length: equal content meets again in one
+place, already merged on the way there. Grams and classes with many suffixes are found
+by their counts; there are at most MOST_HOT of them by construction, so the rows of
+these stay where they are and the rest is joined.
 
 A window repeats if two documents hold it; its first document is the least id. Words
-that a repeated window of another first document covers are redundant.
+that a repeated window of another first document covers are redundant. A passage that
+only one document repeats isn't one of these: inside a document, repetition is a matter
+of its quality (``quality`` counts it), and cutting it would tear up refrains and tables.
 
 Defined cases: null ids, null texts and texts of fewer words have no passages and
 stay as they are; rows that share an id are one document; other columns are kept.
@@ -35,6 +43,10 @@ from .common import Scratch, arrow_rows, lists_of, release, slices
 from .minhash import mix
 
 LENGTH, GRAM = 50, 10
+#: Classes of a gram that one task sorts; a gram with more is dealt out by content.
+SORTED_CLASSES = 20_000
+#: Keys that count as hot are at most so many, as each has that part of all rows, and LEAST_HOT rows at least.
+MOST_HOT, LEAST_HOT = 10_000, 2_000
 _BASE = 0x9E3779B97F4A7C15 | 1
 _BACK = pow(_BASE, -1, 2**64)
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -54,7 +66,7 @@ class Ranges:
 
         words = text.encode().split()
         self.n = n = len(words)
-        w = mix(np.fromiter(map(xxh3_64_intdigest, words), np.uint64, n))
+        self.words = w = mix(np.fromiter(map(xxh3_64_intdigest, words), np.uint64, n))
         self.sums = np.zeros(n + 1, np.uint64)
         np.add.accumulate(w * _powers(_BASE, n), out=self.sums[1:])
         self.back = _powers(_BACK, n + 1)
@@ -102,9 +114,17 @@ def _suffix_table(docs: DataFrame, length: int, gram: int) -> DataFrame:
     return docs.mapInArrow(arrow_rows(each, schema), "h long, c long, doc_id long, p int, j_lo short, j_hi short")
 
 
-def _extended(docs: DataFrame, classes: DataFrame, length: int) -> DataFrame:
-    """Content hashes of every extension of the classes' first suffixes: ``h, c, a, b, j_lo, w``."""
-    schema = pa.schema([(x, pa.int64()) for x in ("h", "c", "a", "b", "j_lo")] + [("w", pa.list_(pa.int64()))])
+def _extended(docs: DataFrame, classes: DataFrame, length: int, gram: int, whole: bool) -> DataFrame:
+    """The content around the classes' first suffixes.
+
+    ``whole``: ``w``, a hash of the window for every left length. Else ``words``, the
+    hashes of the words after the gram as bytes whose order is theirs, and ``before``,
+    a hash of the words to the left for every left length.
+    """
+    names = ("h", "c", "a", "b", "j_lo")
+    fields = [("w", pa.list_(pa.int64()))] if whole else [("words", pa.binary()), ("before", pa.list_(pa.int64()))]
+    schema = pa.schema([*((x, pa.int64()) for x in names), *fields])
+    ddl = ", ".join(f"{x} long" for x in names) + (", w array<long>" if whole else ", words binary, before array<long>")
     spots = classes.groupBy(F.col("spot.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", "a", "b", F.col("spot.p").cast("long").alias("p"), F.col("spot.j_lo").cast("long").alias("j_lo"), F.col("spot.j_hi").cast("long").alias("j_hi"))).alias("spots"))
 
     def each(part: pa.RecordBatch) -> dict[str, list]:
@@ -116,16 +136,95 @@ def _extended(docs: DataFrame, classes: DataFrame, length: int) -> DataFrame:
                 start = p[k] - np.arange(lo[k], hi[k] + 1)
                 if start[-1] < 0 or start[0] + length > r.n or r.of(start[-1:], start[:1] + length).view(np.int64)[0] != c[k]:
                     continue  # another version under this id
-                for name, x in zip(out, (h[k], c[k], a[k], b[k], lo[k], r.of(start, start + length).view(np.int64)), strict=True):
+                found = (h[k], c[k], a[k], b[k], lo[k])
+                if whole:
+                    found += (r.of(start, start + length).view(np.int64),)
+                else:
+                    ahead = np.zeros(length - gram, ">u8")  # zeros where the text ends
+                    own = r.words[p[k] + gram : p[k] + length]
+                    ahead[: len(own)] = own
+                    found += (ahead.tobytes(), r.of(start, np.full(len(start), p[k])).view(np.int64))
+                for name, x in zip(out, found, strict=True):
                     out[name].append(x)
         return out
 
     joined = docs.join(spots.hint("shuffle_hash"), "doc_id").select("text", "spots")
-    return joined.mapInArrow(arrow_rows(each, schema, 128, raw=True), "h long, c long, a long, b long, j_lo long, w array<long>")
+    return joined.mapInArrow(arrow_rows(each, schema, 128, raw=True), ddl)
+
+
+def shared_windows(h: np.ndarray, words: np.ndarray, before: np.ndarray, lowest: np.ndarray, a: np.ndarray, b: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, ...]:
+    """Row, left length and first document of every window that two documents hold.
+
+    Rows are suffixes in sorted order (by gram, then by ``words``, a row for each).
+    ``before[i, k]`` is the hash of the ``lowest[i] + k`` words to the left, where it
+    has one (``before`` is masked elsewhere).
+    """
+    n = len(h)
+    same = np.zeros(n, np.int64)  # words after the gram that a suffix has in common with the one before it
+    if n > 1:
+        differ = words[1:] != words[:-1]
+        same[1:] = np.where(differ.any(axis=1), differ.argmax(axis=1), words.shape[1])
+        same[1:][h[1:] != h[:-1]] = -1
+    out = []
+    for j in range(length - gram + 1):
+        k = j - lowest
+        held = np.flatnonzero((k >= 0) & (k < before.shape[1]))
+        held = held[~np.ma.getmaskarray(before)[held, k[held]]]
+        if len(held) == 0:
+            continue
+        run = np.cumsum((same < length - gram - j) | (np.arange(n) == 0))[held]
+        left = before.data[held, k[held]]
+        order = np.lexsort((left, run))
+        held, run, left = held[order], run[order], left[order]
+        new = np.flatnonzero(np.append(True, (run[1:] != run[:-1]) | (left[1:] != left[:-1])))
+        first, last = np.minimum.reduceat(a[held], new), np.maximum.reduceat(b[held], new)
+        sizes = np.diff(np.append(new, len(held)))
+        first, twice = np.repeat(first, sizes), np.repeat(first != last, sizes)
+        out.append((held[twice], np.full(int(twice.sum()), j), first[twice]))
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.empty(0, np.int64),) * 3
+
+
+def _neighbours_compared(parts: DataFrame, length: int, gram: int) -> DataFrame:
+    """``h, c, runs`` from classes in suffix order: Spark sorts, a task walks its part of the sorted array."""
+    schema = pa.schema([("h", pa.int64()), ("c", pa.int64()), ("runs", pa.list_(pa.struct([("j", pa.int64()), ("k", pa.int64()), ("first", pa.int64())])))])
+
+    def compare(rows: list[tuple]) -> pa.RecordBatch:
+        h, c, a, b, lowest = (np.array(x, np.int64) for x in list(zip(*rows, strict=True))[:5])
+        words = np.frombuffer(b"".join(r[5] for r in rows), ">u8").reshape(len(rows), -1) if length > gram else np.zeros((len(rows), 0), np.uint64)
+        wide = max(len(r[6]) for r in rows)
+        before = np.ma.masked_all((len(rows), wide), np.int64)
+        for i, r in enumerate(rows):
+            before[i, : len(r[6])] = r[6]
+        at, j, first = shared_windows(h, words, before, lowest, a, b, length, gram)
+        order = np.lexsort((j, at))
+        at, j, first = at[order], j[order], first[order]
+        runs: dict[int, list[dict]] = {}
+        for i, x, f in zip(at.tolist(), j.tolist(), first.tolist(), strict=True):
+            own = runs.setdefault(i, [])
+            if own and own[-1]["k"] + 1 == x and own[-1]["first"] == f:
+                own[-1]["k"] = x
+            else:
+                own.append({"j": x, "k": x, "first": f})
+        found = list(runs)
+        return pa.RecordBatch.from_arrays([pa.array(h[found], pa.int64()), pa.array(c[found], pa.int64()), pa.array(list(runs.values()), schema.field("runs").type)], schema=schema)
+
+    def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
+        for batch in batches:
+            for row in zip(*(batch.column(x).to_pylist() for x in ("h", "c", "a", "b", "j_lo", "words", "before")), strict=True):
+                if len(held) >= 4096 and held[-1][0] != row[0]:  # cut between grams
+                    yield compare(held)
+                    held = []
+                held.append(row)
+        if held:
+            yield compare(held)
+        release()
+
+    return parts.repartition("h").sortWithinPartitions("h", "words").mapInArrow(walk, "h long, c long, runs array<struct<j: long, k: long, first: long>>")
 
 
 def _in_runs(by_j: str) -> Column:
-    """Left lengths (j, first) in order as runs (j, k, first) of one first document each."""
+    """Left lengths (j, first) in order as runs (j, k, first) of one first document each; there are ``length`` at most."""
     kind = "array<struct<j:bigint,k:bigint,first:bigint>>"
 
     def step(acc: Column, x: Column) -> Column:
@@ -138,25 +237,49 @@ def _in_runs(by_j: str) -> Column:
     return F.aggregate(F.array_sort(by_j), F.array().cast(kind), step)
 
 
-def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _met(rows: DataFrame, found: DataFrame, keys: list[str], hot: Column) -> DataFrame:
+    """``rows`` joined with ``found`` on ``keys``, which are unique in ``found``; ``hot`` marks MOST_HOT of them at most."""
+    few = F.broadcast(found.where(hot))  # MOST_HOT rows at most, each with a bounded list
+    many = rows.join(F.broadcast(found.where(hot).select(keys)), keys, "left_anti").join(found.where(~hot), keys)
+    return rows.join(few, keys).unionByName(many)
+
+
+def _by_content(classes: DataFrame, src: DataFrame, length: int, gram: int) -> DataFrame:
+    """``h, c, runs`` of classes whose grams have too many: windows of every left length meet by their content."""
+    parts = _extended(src, classes, length, gram, True)
+    each = parts.select("h", "c", "a", "b", "j_lo", F.posexplode("w").alias("k", "w")).select("h", "c", "a", "b", (F.col("j_lo") + F.col("k")).alias("j"), "w")
+    same = each.groupBy("h", "j", "w").agg(F.min("a").alias("first"), F.max("b").alias("last")).where("first <> last").select("h", "j", "w", "first")
+    return each.select("h", "c", "j", "w").join(same, ["h", "j", "w"]).groupBy("h", "c").agg(F.collect_set(F.struct("j", "first")).alias("by_j")).select("h", "c", _in_runs("by_j").alias("runs"))
+
+
+def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", scratch: Scratch | None = None) -> DataFrame:
     """``doc_id, lo, hi, first``: runs of window starts that repeat, by first document."""
-    scratch = Scratch(docs.sparkSession, "suffixes")
+    scratch = scratch or Scratch(docs.sparkSession, "suffixes")
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null and text is not null")
     suffixes = scratch.keep(_suffix_table(src, length, gram), "all")
-    several = suffixes.groupBy("h").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a <> b").select("h")
-    suffixes = scratch.keep(suffixes.join(several, "h"), "shared")
-    scratch.drop("all")
-    classes = suffixes.groupBy("h", "c").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.min(F.struct("doc_id", "p", "j_lo", "j_hi")).alias("spot"))
+    floor = max(LEAST_HOT, suffixes.count() // MOST_HOT)
+    several = suffixes.groupBy("h").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.count("*").alias("n")).where("a <> b").select("h", "n")
+    several = scratch.keep(several, "several")
+    suffixes = scratch.keep(_met(suffixes, several, ["h"], F.col("n") > floor).drop("n"), "shared")
+    scratch.drop("all", "several")
+    classes = suffixes.groupBy("h", "c").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.count("*").alias("n"), F.min(F.struct("doc_id", "p", "j_lo", "j_hi")).alias("spot"))
     classes = scratch.keep(classes, "classes")
-    mixed = classes.groupBy("h").agg(F.count("*").alias("k")).where("k > 1").select("h")
-    alone = classes.where("a <> b").join(mixed, "h", "left_anti").select("h", "c", F.array(F.struct(F.col("spot.j_lo").cast("long").alias("j"), F.col("spot.j_hi").cast("long").alias("k"), F.col("a").alias("first"))).alias("runs"))
-    # classes that share a gram with others are told apart by every extension
-    parts = scratch.keep(_extended(src, classes.join(mixed, "h", "left_semi"), length), "parts")
-    each = parts.select("h", "c", "a", "b", "j_lo", F.posexplode("w").alias("k", "w")).select("h", "c", "a", "b", (F.col("j_lo") + F.col("k")).alias("j"), "w")
-    same = each.groupBy("h", "j", "w").agg(F.min("a").alias("first"), F.max("b").alias("last")).where("first <> last").select("h", "j", "w", "first")
-    split = each.select("h", "c", "j", "w").join(same, ["h", "j", "w"]).groupBy("h", "c").agg(F.collect_set(F.struct("j", "first")).alias("by_j")).select("h", "c", _in_runs("by_j").alias("runs"))
-    runs = suffixes.join(alone.unionByName(split), ["h", "c"]).select("doc_id", "p", F.explode("runs").alias("x"))
-    return runs.select("doc_id", (F.col("p") - F.col("x.k")).alias("lo"), (F.col("p") - F.col("x.j")).alias("hi"), F.col("x.first").alias("first"))
+    mixed = scratch.keep(classes.groupBy("h").agg(F.count("*").alias("k")), "grams")
+    placed = scratch.keep(_met(classes, mixed, ["h"], F.col("k") > floor), "placed")
+    alone = placed.where("k = 1 and a <> b").select("h", "c", F.array(F.struct(F.col("spot.j_lo").cast("long").alias("j"), F.col("spot.j_hi").cast("long").alias("k"), F.col("a").alias("first"))).alias("runs"))
+    # classes that share a gram with others are told apart by what stands around it
+    found = alone.unionByName(_neighbours_compared(_extended(src, placed.where(f"k > 1 and k <= {SORTED_CLASSES}"), length, gram, False), length, gram))
+    large = placed.where(f"k > {SORTED_CLASSES}")
+    if not large.isEmpty():
+        found = found.unionByName(_by_content(large, src, length, gram))
+    found = scratch.keep(found, "found")
+    counted = classes.where(F.col("n") > floor).select("h", "c", "n")
+    found = found.join(F.broadcast(counted), ["h", "c"], "left")  # MOST_HOT classes at most
+    found = scratch.keep(found, "counted")
+    runs = _met(suffixes, found, ["h", "c"], F.col("n").isNotNull()).select("doc_id", "p", F.explode("runs").alias("x"))
+    out = scratch.keep(runs.select("doc_id", (F.col("p") - F.col("x.k")).alias("lo"), (F.col("p") - F.col("x.j")).alias("hi"), F.col("x.first").alias("first")), "windows")
+    scratch.drop("shared", "classes", "grams", "placed", "found", "counted")
+    return out
 
 
 def _runs(starts: np.ndarray, ends: np.ndarray) -> list[tuple[int, int]]:

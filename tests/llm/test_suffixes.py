@@ -69,3 +69,42 @@ def test_interleaved_passages_and_cuts(spark):
 def test_words_are_cut_in_place():
     assert suffixes.without_words("a b\nc d  e", [(1, 3)]) == "a  d  e"
     assert suffixes.without_words("a b", [(0, 2)]) == ""
+
+
+def test_hot_grams_and_classes_take_another_way(spark, monkeypatch):
+    """Grams with too many classes meet by content, hot keys by a broadcast: the same windows."""
+    rng = random.Random(4)
+    common = " ".join(f"c{i}" for i in range(9))
+    texts = {i: " ".join([*(f"w{rng.randrange(30)}" for _ in range(6)), common, *(f"w{rng.randrange(4)}" for _ in range(8))]) for i in range(80)}
+    texts |= {100 + i: texts[3] for i in range(30)}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    want = brute(texts, 12)
+    for most, least in ((10_000, 2000), (5, 2)):
+        monkeypatch.setattr(suffixes, "MOST_HOT", most)
+        monkeypatch.setattr(suffixes, "LEAST_HOT", least)
+        monkeypatch.setattr(suffixes, "SORTED_CLASSES", 20_000 if most > 5 else 3)
+        got = {(r.doc_id, r.start_word, r.end_word, r.first_doc_id, r.n_redundant) for r in suffixes.repeated_passages(docs, 12, 4).collect()}
+        assert got == want
+
+
+def test_neighbours_in_suffix_order_share_windows():
+    """Against all pairs of suffixes of one gram: window length 6, gram 2."""
+    rng = np.random.default_rng(8)
+    left, right = rng.integers(0, 2, (200, 4)), rng.integers(0, 2, (200, 4))
+    order = np.lexsort(right.T[::-1])
+    left, right = left[order], right[order]
+    before = np.ma.masked_all((200, 5), np.int64)
+    lowest = rng.integers(0, 2, 200)
+    for i in range(200):
+        for j in range(lowest[i], 5):
+            before[i, j - lowest[i]] = hash(tuple(left[i, 4 - j :].tolist()))
+    a = rng.integers(0, 20, 200)
+    got = set(zip(*(x.tolist() for x in suffixes.shared_windows(np.zeros(200, np.int64), right.astype(np.uint64), before, lowest, a, a, 6, 2))))
+    want = set()
+    for j in range(5):
+        rows = [i for i in range(200) if lowest[i] <= j]
+        for i in rows:
+            same = [a[k] for k in rows if (left[k, 4 - j :] == left[i, 4 - j :]).all() and (right[k, : 4 - j] == right[i, : 4 - j]).all()]
+            if min(same) != max(same):
+                want.add((i, j, int(min(same))))
+    assert got == want

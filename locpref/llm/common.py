@@ -12,7 +12,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: ASCII white space as the contracts define it: space and \x09-\x0D.
@@ -27,9 +27,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def checkpoint_root(spark: SparkSession) -> str:
-    """The shared folder the cluster names; a folder of our own only where it is unset."""
+    """The shared folder the cluster names; a folder of our own only where it is unset and all runs on one machine."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         root = f"file://{tempfile.gettempdir()}/checkpoints"
         os.makedirs(root[7:], exist_ok=True)
     return root
@@ -39,7 +41,8 @@ class Scratch:
     """Tables written to the shared checkpoint folder to cut lineage between rounds.
 
     A table stays readable if an executor is lost. ``drop`` removes what no later
-    plan reads; tables behind a returned DataFrame stay until the folder is cleaned.
+    plan reads, ``last`` all but the table it writes; tables behind a returned DataFrame
+    stay until the folder is cleaned.
     """
 
     def __init__(self, spark: SparkSession, name: str):
@@ -53,6 +56,11 @@ class Scratch:
         self.made[name] = path
         return self.spark.read.schema(df.schema).parquet(path)
 
+    def last(self, df: DataFrame, name: str) -> DataFrame:
+        out = self.keep(df, name)
+        self.drop(*(n for n in list(self.made) if n != name))
+        return out
+
     def drop(self, *names: str) -> None:
         jvm = self.spark._jvm
         for name in names:
@@ -60,6 +68,25 @@ class Scratch:
             path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+#: Keys that count as hot are at most so many, as each has that part of all rows, and LEAST_HOT rows at least.
+MOST_HOT, LEAST_HOT = 10_000, 2_000
+
+
+def hot_floor(rows: int) -> int:
+    """A key with more of the ``rows`` than this is hot; there can't be more than MOST_HOT of them."""
+    return max(LEAST_HOT, rows // MOST_HOT)
+
+
+def met(rows: DataFrame, found: DataFrame, keys: list[str], hot: Column) -> DataFrame:
+    """``rows`` joined with ``found`` on ``keys``, unique in it; ``hot`` marks MOST_HOT of its rows at most.
+
+    Rows of hot keys stay where they are: a broadcast meets them. The others are joined.
+    """
+    few = F.broadcast(found.where(hot))  # MOST_HOT rows at most, each of a bounded size
+    rest = rows.join(F.broadcast(found.where(hot).select(keys)), keys, "left_anti").join(found.where(~hot), keys)
+    return rows.join(few, keys).unionByName(rest)
+
+
 def slices(batch: pa.RecordBatch, rows: int = SLICE_ROWS) -> Iterator[pa.RecordBatch]:
     """Cuts of ``rows`` rows and SLICE_BYTES bytes at most, or one row."""
     size = np.zeros(batch.num_rows, np.int64)

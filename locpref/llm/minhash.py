@@ -10,8 +10,10 @@ Texts with equal shingle sets are one class from the start. In every bucket the
 that meets most others over all its buckets is the hub; each class is first checked
 against the hub it shares most buckets with. What these links join is contracted.
 Components that still meet in a bucket are then compared block against block, so a
-class is never left out because of the hub it got. Every link is confirmed on the
-full shingle sets.
+class is never left out because of the hub it got: either in the cluster of all buckets
+that hang together, each row once with every block, or, where chains of buckets make a
+cluster so large that this would move more rows, bucket by bucket. Every link is
+confirmed on the full shingle sets.
 
 Defined cases: a null or empty text, or one without words, has no shingles and links
 with nothing. Repeated rows give repeated result rows. Rows that share a ``doc_id``
@@ -28,14 +30,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, arrow_rows, release
+from .common import Scratch, arrow_rows, hot_floor, met, release
 from .components import components, forest_components
 
 BANDS, ROWS = 48, 7
-#: Members of a hub that one task compares in a row; more are dealt over several.
-GROUP_ROWS = 500
 #: A block of rows that one task compares with another block: rows, and shingles.
 BLOCK_ROWS, BLOCK_SHINGLES = 400, 2_000_000
+#: Rows moved for buckets count so much against rows moved for clusters.
+BUCKET_WEIGHT = 1.0
 _EMPTY = np.uint64(2**64 - 1)
 _STEP, _MULT, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93), np.uint64(0xFF51AFD7ED558CCD)
 _VALUE_BITS = np.uint64(50)
@@ -115,15 +117,15 @@ def signatures(docs: DataFrame, k: int, bands: int, rows: int, id_col: str = "do
     return src.mapInArrow(arrow_rows(each, schema, 256), "doc_id long, n long, fp binary, bands array<long>")
 
 
-def verified(texts: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
+def verified(texts: DataFrame, pairs: DataFrame, k: int, percent: int, scratch: Scratch) -> DataFrame:
     """Those ``pairs`` (u, v) with 100 * intersection >= percent * union of the full sets.
 
-    Every u is a hub: its set and those of its partners meet in groups of bounded
-    size, the hub's set once in each.
+    Every u is a hub. Its partners are dealt out in ranges of (u, v), so a hub with many
+    spans several parts; its set goes to each of them once.
     """
-    size = pairs.groupBy("u").agg(F.count("*").alias("c")).select("u", F.ceil(F.col("c") / GROUP_ROWS).cast("int").alias("parts"))
-    members = pairs.join(size, "u").select(F.col("v").alias("doc_id"), "u", F.pmod(F.xxhash64("v"), F.col("parts")).cast("int").alias("part"), F.lit(1).alias("member"))
-    hubs = size.select(F.col("u").alias("doc_id"), "u", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("member"))
+    dealt = scratch.keep(pairs.repartitionByRange("u", "v").withColumn("part", F.spark_partition_id()), "dealt")
+    members = dealt.select(F.col("v").alias("doc_id"), "u", "part", F.lit(1).alias("member"))
+    hubs = dealt.select("u", "part").distinct().select(F.col("u").alias("doc_id"), "u", "part", F.lit(0).alias("member"))
     roles = members.unionByName(hubs)
     sets_schema = pa.schema([("doc_id", pa.int64()), ("u", pa.int64()), ("part", pa.int32()), ("member", pa.int32()), ("shingles", pa.binary())])
 
@@ -202,34 +204,53 @@ def spanning_links(sets: list[np.ndarray], side: np.ndarray, comp: np.ndarray, p
     return out
 
 
-def _mixed(members: DataFrame, comp: DataFrame) -> DataFrame:
-    """``key, doc_id, n, component`` of buckets that hold several components."""
+def _mixed(members: DataFrame, comp: DataFrame, floor: int, scratch: Scratch) -> DataFrame:
+    """``key, doc_id, n, component, least`` of buckets that hold several components."""
     placed = members.join(comp.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("component"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("least"), F.max("component").alias("b")).where("least <> b").select("key", "least")
-    return placed.join(mixed, "key")
+    placed = scratch.keep(placed, "in-components")
+    several = placed.groupBy("key").agg(F.min("component").alias("least"), F.max("component").alias("b"), F.count("*").alias("c")).where("least <> b").select("key", "least", "c")
+    return met(placed, scratch.keep(several, "several"), ["key"], F.col("c") > floor).drop("c")
 
 
-def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, percent: int) -> DataFrame:
-    """Links between components that meet in buckets, none left out.
+def _dealt(rows: DataFrame, floor: int, scratch: Scratch, name: str) -> DataFrame:
+    """Rows of groups (kind, g) with their own block and the number of blocks that they meet.
 
-    Components that meet are gathered in clusters. The rows outside a cluster's
-    largest component are compared with each other and with that component, block
-    against block; a task holds two blocks of bounded size and returns a forest.
+    The rows outside a group's largest component meet all blocks, the others only theirs.
     """
-    cluster = components(mixed.select(F.col("component").alias("u"), F.col("least").alias("v")), scratch, "clusters").withColumnRenamed("component", "cluster")
-    rows = mixed.groupBy("doc_id").agg(F.max("n").alias("n"), F.max("component").alias("component")).join(cluster.withColumnRenamed("node", "component"), "component")
-    rows = scratch.keep(rows, "cluster-rows")
-    parts = rows.groupBy("cluster", "component").agg(F.count("*").alias("c"), F.max("n").alias("n"))
-    whole = parts.groupBy("cluster").agg(F.max(F.struct("c", "component")).alias("major"), F.sum("c").alias("c"), F.max("n").alias("n"))
+    parts = rows.groupBy("kind", "g", "component").agg(F.count("*").alias("c"), F.max("n").alias("n"))
+    whole = parts.groupBy("kind", "g").agg(F.max(F.struct("c", "component")).alias("major"), F.sum("c").alias("c"), F.max("n").alias("n"))
     block = F.greatest(F.lit(8), F.least(F.lit(BLOCK_ROWS), F.floor(BLOCK_SHINGLES / F.col("n"))))
-    whole = whole.select("cluster", F.col("major.component").alias("major"), F.ceil((F.col("c") - F.col("major.c")) / block).cast("int").alias("k"), F.ceil(F.col("major.c") / block).cast("int").alias("l"))
+    whole = whole.select("kind", "g", "c", F.col("major.component").alias("major"), F.ceil((F.col("c") - F.col("major.c")) / block).cast("int").alias("k"), F.ceil(F.col("major.c") / block).cast("int").alias("l"))
     minor = F.col("component") != F.col("major")
     own = F.when(minor, F.pmod(F.xxhash64("doc_id"), F.col("k"))).otherwise(F.col("k") + F.pmod(F.xxhash64("doc_id"), F.col("l"))).cast("int")
-    placed = rows.join(whole, "cluster").withColumn("own", own).select("doc_id", "component", "cluster", "own", F.when(minor, F.col("k") + F.col("l")).otherwise(F.col("k")).alias("n_tasks"))
-    schema = pa.schema([("doc_id", pa.int64()), ("component", pa.int64()), ("cluster", pa.int64()), ("own", pa.int32()), ("n_tasks", pa.int32()), ("shingles", pa.binary())])
+    placed = met(rows, scratch.keep(whole, f"{name}-whole"), ["kind", "g"], F.col("c") > floor)
+    return placed.withColumn("own", own).select("doc_id", "component", "cluster", "kind", "g", "own", F.when(minor, F.col("k") + F.col("l")).otherwise(F.col("k")).alias("n_tasks"))
+
+
+def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, percent: int) -> DataFrame:
+    """Links between components that meet in buckets, none left out.
+
+    A cluster holds the components that hang together by buckets. Its rows are compared
+    in the cluster or in its buckets, whichever moves fewer rows; buckets with the same
+    rows count as one. A task holds two blocks of bounded size and returns a forest.
+    """
+    floor = hot_floor(mixed.count())
+    cluster = components(mixed.select(F.col("component").alias("u"), F.col("least").alias("v")), scratch, "clusters").withColumnRenamed("component", "cluster")
+    cluster = scratch.keep(cluster.withColumnRenamed("node", "component"), "cluster-of")
+    rows = mixed.groupBy("doc_id").agg(F.max("n").alias("n"), F.max("component").alias("component")).join(cluster, "component")
+    by_cluster = rows.select(F.lit(0).alias("kind"), F.col("cluster").alias("g"), "cluster", "doc_id", "n", "component")
+    sign = mixed.groupBy("key").agg(F.count("*").alias("c"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
+    once = scratch.keep(sign.groupBy("c", "x", "y").agg(F.min("key").alias("key")).select("key", "c"), "buckets")
+    buckets = met(mixed.select("key", "doc_id", "n", "component"), once, ["key"], F.col("c") > floor).join(cluster, "component")
+    by_bucket = buckets.select(F.lit(1).alias("kind"), F.col("key").alias("g"), "cluster", "doc_id", "n", "component")
+    dealt = scratch.keep(_dealt(by_cluster.unionByName(by_bucket), floor, scratch, "groups"), "groups")
+    cost = dealt.groupBy("cluster", "kind").agg(F.sum("n_tasks").alias("moved"), F.count("*").alias("c"))
+    cheap = cost.groupBy("cluster").agg(F.min_by(F.struct("kind", "c"), F.struct(F.col("moved") * F.when(F.col("kind") == 1, BUCKET_WEIGHT).otherwise(1.0), "kind")).alias("x")).select("cluster", "x.kind", "x.c")
+    placed = scratch.keep(met(dealt, scratch.keep(cheap, "ways"), ["cluster", "kind"], F.col("c") > floor).drop("c", "cluster"), "placed")
+    schema = pa.schema([("doc_id", pa.int64()), ("component", pa.int64()), ("kind", pa.int32()), ("g", pa.int64()), ("own", pa.int32()), ("n_tasks", pa.int32()), ("shingles", pa.binary())])
 
     def to_sets(cols: dict[str, list]) -> dict[str, list]:
-        return {c: cols[c] for c in ("doc_id", "component", "cluster", "own", "n_tasks")} | {"shingles": [shingle_set(t, k).tobytes() for t in cols["text"]]}
+        return {c: cols[c] for c in ("doc_id", "component", "kind", "g", "own", "n_tasks")} | {"shingles": [shingle_set(t, k).tobytes() for t in cols["text"]]}
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         group, held = None, []
@@ -237,7 +258,7 @@ def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, pe
         def finish() -> pa.RecordBatch:
             found = []
             if held and group is not None:
-                i, j = group[1:]
+                i, j = group[2:]
                 # in a block of its own every row stands on either side
                 rows = [(h, 0) for h in held if h[1] == i] + [(h, 1) for h in held if h[1] == j]
                 ids = [h[0] for h, _ in rows]
@@ -245,18 +266,18 @@ def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, pe
             return pa.RecordBatch.from_pydict({"u": pa.array([x for x, _ in found], pa.int64()), "v": pa.array([y for _, y in found], pa.int64())})
 
         for batch in batches:
-            for cluster, i, j, doc, own, comp, raw in zip(*(batch.column(c).to_pylist() for c in ("cluster", "i", "j", "doc_id", "own", "component", "shingles")), strict=True):
-                if (cluster, i, j) != group:
+            for kind, g, i, j, doc, own, comp, raw in zip(*(batch.column(c).to_pylist() for c in ("kind", "g", "i", "j", "doc_id", "own", "component", "shingles")), strict=True):
+                if (kind, g, i, j) != group:
                     if held:
                         yield finish()
-                    group, held = (cluster, i, j), []
+                    group, held = (kind, g, i, j), []
                 held.append((doc, own, comp, np.frombuffer(raw, np.uint64)))
         yield finish()
         release()
 
-    sets = texts.join(placed.hint("shuffle_hash"), "doc_id").mapInArrow(arrow_rows(to_sets, schema, 128), "doc_id long, component long, cluster long, own int, n_tasks int, shingles binary")
+    sets = texts.join(placed.hint("shuffle_hash"), "doc_id").mapInArrow(arrow_rows(to_sets, schema, 128), "doc_id long, component long, kind int, g long, own int, n_tasks int, shingles binary")
     tasks = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n_tasks") - 1))).withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other")).drop("n_tasks", "other")
-    return tasks.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j").mapInArrow(compare, "u long, v long")
+    return tasks.repartition("kind", "g", "i", "j").sortWithinPartitions("kind", "g", "i", "j").mapInArrow(compare, "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -267,29 +288,31 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, bands: int =
     marks = scratch.keep(signatures(docs, k, bands, rows, id_col, text_col), "marks")
     classes = scratch.keep(marks.where("doc_id is not null and fp is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")), "classes")
     heads = marks.join(classes.select("fp", F.col("rep").alias("doc_id")), ["fp", "doc_id"], "left_semi")
-    keyed = heads.select("doc_id", "n", F.explode("bands").alias("key"))
+    keyed = scratch.keep(heads.select("doc_id", "n", F.explode("bands").alias("key")), "keyed")
     shared = keyed.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
-    members = scratch.keep(keyed.join(shared.hint("shuffle_hash"), "key"), "members")
+    floor = hot_floor(keyed.count())
+    members = scratch.keep(met(keyed, scratch.keep(shared, "shared"), ["key"], F.col("c") > floor), "members")
+    scratch.drop("keyed", "shared")
     reach = members.groupBy("doc_id").agg(F.sum("c").alias("reach"))
-    ranked = members.join(reach, "doc_id").select("key", "doc_id", "n", F.struct("reach", (-F.col("doc_id")).alias("minus"), F.col("n").alias("n")).alias("place"))
-    hubs = ranked.groupBy("key").agg(F.max("place").alias("hub"))
-    starred = ranked.join(hubs, "key").where("hub.minus <> -doc_id").groupBy("doc_id", "n", "hub").agg(F.count("*").alias("c"))
+    ranked = scratch.keep(members.join(reach, "doc_id").select("key", "doc_id", "n", F.struct("reach", (-F.col("doc_id")).alias("minus"), F.col("n").alias("n")).alias("place")), "ranked")
+    hubs = scratch.keep(ranked.groupBy("key").agg(F.max("place").alias("hub"), F.count("*").alias("c")), "hubs")
+    starred = met(ranked, hubs, ["key"], F.col("c") > floor).where("hub.minus <> -doc_id").groupBy("doc_id", "n", "hub").agg(F.count("*").alias("c"))
     starred = starred.where(f"100 * least(n, hub.n) >= {percent} * greatest(n, hub.n)")
     best = starred.groupBy("doc_id").agg(F.max(F.struct("c", "hub")).alias("b")).select((-F.col("b.hub.minus")).alias("u"), F.col("doc_id").alias("v"))
-    links = scratch.keep(verified(texts, scratch.keep(best, "best"), k, percent), "links")
+    links = scratch.keep(verified(texts, scratch.keep(best, "best"), k, percent, scratch), "links")
     # a hub meets more others than its members, so links to hubs form a forest
     comp = forest_components(links, scratch, "first")
-    mixed = scratch.keep(_mixed(members, comp), "mixed")
+    mixed = scratch.keep(_mixed(members, comp, floor, scratch), "mixed")
     if not mixed.isEmpty():
         more = scratch.keep(_rest_links(texts, mixed, scratch, k, percent), "more")
         if not more.isEmpty():
             comp = components(links.unionByName(more), scratch, "second")
     comp = scratch.keep(comp, "components")
-    scratch.drop("members", "mixed", "best")
     labelled = classes.join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
     done = marks.where("fp is not null").select("doc_id", "n", "fp").join(labelled, "fp", "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
     bare = marks.where("fp is null").select("doc_id", "n", F.col("doc_id").alias("component_id"))
-    return done.unionByName(bare).select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    every = done.unionByName(bare).select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    return scratch.last(every, "result")
 
 
 def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
@@ -298,7 +321,7 @@ def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     Rows without shingles or without an id stay. A row that repeats the id of another
     goes too, whichever of the two it is.
     """
-    found = Scratch(docs.sparkSession, "kept").keep(near_duplicates(docs, k, percent), "rows")
+    found = near_duplicates(docs, k, percent)
     gone = found.where("not kept").select("doc_id").distinct()
     left = docs.join(gone.hint("shuffle_hash"), "doc_id", "left_anti").select(docs.columns)
     again = found.where("kept and doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")

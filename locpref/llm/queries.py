@@ -141,6 +141,23 @@ def op8_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), k=4, percent=80)
 
 
+OP8_SQL = r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents
+), sets AS MATERIALIZED (
+  SELECT DISTINCT doc_id, array_to_string(w[i : i + 3], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 2, 2))) AS i FROM words WHERE len(w) > 0)
+), sizes AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM sets GROUP BY 1),
+pairs AS (SELECT a.doc_id AS u, b.doc_id AS v, count(*) AS c FROM sets a JOIN sets b USING (s) WHERE a.doc_id < b.doc_id GROUP BY 1, 2),
+links AS MATERIALIZED (
+  SELECT u, v FROM pairs JOIN sizes x ON x.doc_id = u JOIN sizes y ON y.doc_id = v WHERE 100 * c >= 80 * (x.n + y.n - c)
+), both_ AS MATERIALIZED (SELECT u, v FROM links UNION ALL SELECT v, u FROM links),
+reached AS (SELECT u AS node, u AS root FROM both_ UNION SELECT v, root FROM reached JOIN both_ ON u = node WHERE root < v),
+least AS (SELECT node, min(root) AS root FROM reached GROUP BY 1)
+SELECT doc_id, coalesce(n, 0)::BIGINT AS n_shingles, coalesce(root, doc_id) AS component_id, coalesce(root, doc_id) = doc_id AS kept
+FROM words LEFT JOIN sizes USING (doc_id) LEFT JOIN least ON node = doc_id
+"""
+
+
 def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers as p
 
@@ -166,4 +183,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_suffix_arrays": OP2_SQL, "op3_secrets": op3_sql(), "op4_metric_tree": OP4_SQL}
+    return {"op2_suffix_arrays": OP2_SQL, "op3_secrets": op3_sql(), "op4_metric_tree": OP4_SQL, "op8_minhash": OP8_SQL}

@@ -17,7 +17,7 @@ So every class learns with which others it shares a window, and their least docu
 A gram with so many classes that one task shouldn't hold them is dealt out by the whole
 extended content instead, for every left length: equal content meets again in one
 place, already merged on the way there. Grams and classes with many suffixes are found
-by their counts; there are at most MOST_HOT of them by construction, so the rows of
+by their counts; there are at most ``common.MOST_HOT`` of them by construction, so the rows of
 these stay where they are and the rest is joined.
 
 A window repeats if two documents hold it; its first document is the least id. Words
@@ -39,14 +39,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, arrow_rows, lists_of, release, slices
+from .common import Scratch, arrow_rows, hot_floor, lists_of, met, release, slices
 from .minhash import mix
 
 LENGTH, GRAM = 50, 10
 #: Classes of a gram that one task sorts; a gram with more is dealt out by content.
 SORTED_CLASSES = 20_000
-#: Keys that count as hot are at most so many, as each has that part of all rows, and LEAST_HOT rows at least.
-MOST_HOT, LEAST_HOT = 10_000, 2_000
 _BASE = 0x9E3779B97F4A7C15 | 1
 _BACK = pow(_BASE, -1, 2**64)
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -237,13 +235,6 @@ def _in_runs(by_j: str) -> Column:
     return F.aggregate(F.array_sort(by_j), F.array().cast(kind), step)
 
 
-def _met(rows: DataFrame, found: DataFrame, keys: list[str], hot: Column) -> DataFrame:
-    """``rows`` joined with ``found`` on ``keys``, which are unique in ``found``; ``hot`` marks MOST_HOT of them at most."""
-    few = F.broadcast(found.where(hot))  # MOST_HOT rows at most, each with a bounded list
-    many = rows.join(F.broadcast(found.where(hot).select(keys)), keys, "left_anti").join(found.where(~hot), keys)
-    return rows.join(few, keys).unionByName(many)
-
-
 def _by_content(classes: DataFrame, src: DataFrame, length: int, gram: int) -> DataFrame:
     """``h, c, runs`` of classes whose grams have too many: windows of every left length meet by their content."""
     parts = _extended(src, classes, length, gram, True)
@@ -252,20 +243,20 @@ def _by_content(classes: DataFrame, src: DataFrame, length: int, gram: int) -> D
     return each.select("h", "c", "j", "w").join(same, ["h", "j", "w"]).groupBy("h", "c").agg(F.collect_set(F.struct("j", "first")).alias("by_j")).select("h", "c", _in_runs("by_j").alias("runs"))
 
 
-def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", scratch: Scratch | None = None) -> DataFrame:
+def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, lo, hi, first``: runs of window starts that repeat, by first document."""
-    scratch = scratch or Scratch(docs.sparkSession, "suffixes")
+    scratch = Scratch(docs.sparkSession, "suffixes")
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null and text is not null")
     suffixes = scratch.keep(_suffix_table(src, length, gram), "all")
-    floor = max(LEAST_HOT, suffixes.count() // MOST_HOT)
+    floor = hot_floor(suffixes.count())
     several = suffixes.groupBy("h").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.count("*").alias("n")).where("a <> b").select("h", "n")
     several = scratch.keep(several, "several")
-    suffixes = scratch.keep(_met(suffixes, several, ["h"], F.col("n") > floor).drop("n"), "shared")
+    suffixes = scratch.keep(met(suffixes, several, ["h"], F.col("n") > floor).drop("n"), "shared")
     scratch.drop("all", "several")
     classes = suffixes.groupBy("h", "c").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.count("*").alias("n"), F.min(F.struct("doc_id", "p", "j_lo", "j_hi")).alias("spot"))
     classes = scratch.keep(classes, "classes")
     mixed = scratch.keep(classes.groupBy("h").agg(F.count("*").alias("k")), "grams")
-    placed = scratch.keep(_met(classes, mixed, ["h"], F.col("k") > floor), "placed")
+    placed = scratch.keep(met(classes, mixed, ["h"], F.col("k") > floor), "placed")
     alone = placed.where("k = 1 and a <> b").select("h", "c", F.array(F.struct(F.col("spot.j_lo").cast("long").alias("j"), F.col("spot.j_hi").cast("long").alias("k"), F.col("a").alias("first"))).alias("runs"))
     # classes that share a gram with others are told apart by what stands around it
     found = alone.unionByName(_neighbours_compared(_extended(src, placed.where(f"k > 1 and k <= {SORTED_CLASSES}"), length, gram, False), length, gram))
@@ -276,10 +267,8 @@ def repeated_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id
     counted = classes.where(F.col("n") > floor).select("h", "c", "n")
     found = found.join(F.broadcast(counted), ["h", "c"], "left")  # MOST_HOT classes at most
     found = scratch.keep(found, "counted")
-    runs = _met(suffixes, found, ["h", "c"], F.col("n").isNotNull()).select("doc_id", "p", F.explode("runs").alias("x"))
-    out = scratch.keep(runs.select("doc_id", (F.col("p") - F.col("x.k")).alias("lo"), (F.col("p") - F.col("x.j")).alias("hi"), F.col("x.first").alias("first")), "windows")
-    scratch.drop("shared", "classes", "grams", "placed", "found", "counted")
-    return out
+    runs = met(suffixes, found, ["h", "c"], F.col("n").isNotNull()).select("doc_id", "p", F.explode("runs").alias("x"))
+    return scratch.last(runs.select("doc_id", (F.col("p") - F.col("x.k")).alias("lo"), (F.col("p") - F.col("x.j")).alias("hi"), F.col("x.first").alias("first")), "windows")
 
 
 def _runs(starts: np.ndarray, ends: np.ndarray) -> list[tuple[int, int]]:

@@ -1,11 +1,14 @@
 import random
 
 import numpy as np
+import pytest
 
-from locpref.llm import minhash
+from locpref.llm import common, minhash
 from locpref.llm.components import components, forest_components
 from locpref.llm.common import Scratch
-from locpref.llm.queries import op8_minhash
+from locpref.llm.queries import OP8_SQL, op8_minhash
+
+from .oracle import same
 
 
 def brute(texts, k, percent=80):
@@ -45,6 +48,11 @@ def test_op8_equals_all_pairs(spark, small):
         assert got == brute(texts, 4)
 
 
+def test_op8_equals_sql(spark):
+    d = "/root/testdata/sf0.01"
+    same(op8_minhash(spark, d), OP8_SQL, d)
+
+
 def test_near_copies_chains_and_odd_rows(spark):
     rng = random.Random(3)
     word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
@@ -98,10 +106,13 @@ def test_components(spark):
     assert len(got) == len(parent)
 
 
-def test_a_crowd_near_the_threshold(spark, monkeypatch):
-    """Hundreds of variants of one text, many of them just below or above the threshold to each other."""
-    monkeypatch.setattr(minhash, "GROUP_ROWS", 60)
+@pytest.mark.parametrize(("weight", "least"), [(1.0, 2000), (1e9, 5), (0.0, 5)])
+def test_a_crowd_near_the_threshold(spark, monkeypatch, weight, least):
+    """Hundreds of variants of one text, many of them just below or above the threshold to each other; by clusters, by buckets, with hot keys."""
+    monkeypatch.setattr(minhash, "BUCKET_WEIGHT", weight)
     monkeypatch.setattr(minhash, "BLOCK_ROWS", 40)
+    monkeypatch.setattr(common, "LEAST_HOT", least)
+    monkeypatch.setattr(common, "MOST_HOT", 10_000 if least > 5 else 50)
     rng = random.Random(11)
     base = [f"b{i}" for i in range(70)]
     rows = {}

@@ -2,7 +2,7 @@ import random
 
 import numpy as np
 
-from locpref.llm import suffixes
+from locpref.llm import common, suffixes
 from locpref.llm.queries import OP2_SQL, op2_suffix_arrays
 
 from .oracle import same
@@ -80,8 +80,8 @@ def test_hot_grams_and_classes_take_another_way(spark, monkeypatch):
     docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
     want = brute(texts, 12)
     for most, least in ((10_000, 2000), (5, 2)):
-        monkeypatch.setattr(suffixes, "MOST_HOT", most)
-        monkeypatch.setattr(suffixes, "LEAST_HOT", least)
+        monkeypatch.setattr(common, "MOST_HOT", most)
+        monkeypatch.setattr(common, "LEAST_HOT", least)
         monkeypatch.setattr(suffixes, "SORTED_CLASSES", 20_000 if most > 5 else 3)
         got = {(r.doc_id, r.start_word, r.end_word, r.first_doc_id, r.n_redundant) for r in suffixes.repeated_passages(docs, 12, 4).collect()}
         assert got == want

@@ -63,7 +63,7 @@ def laplace(u: Column, scale: Column | float) -> Column:
 
 
 @F.pandas_udf(T.DoubleType())
-def _secure_uniform(marker: pd.Series) -> pd.Series:
+def _entropy(marker: pd.Series) -> pd.Series:
     import os
 
     import numpy as np
@@ -72,18 +72,28 @@ def _secure_uniform(marker: pd.Series) -> pd.Series:
     return pd.Series((raw.astype(float) + 0.5) / 2**53)
 
 
-def laplace_secure(scale: float, marker: Column) -> Column:
-    """Noise from the system's entropy: not reproducible. Write a report before it is read twice."""
-    return laplace(_secure_uniform(marker), scale)
+#: Never folded, merged or moved: every use is a draw of its own.
+_entropy = _entropy.asNondeterministic()
+
+
+def secure_uniform(purpose: str, *parts: Column) -> Column:
+    """A uniform draw from the system's entropy: not reproducible. Write a report before it is read twice."""
+    return _entropy(F.xxhash64(F.lit(purpose), *parts))
+
+
+def laplace_secure(scale: Column | float, marker: Column, purpose: str = "lap") -> Column:
+    return laplace(secure_uniform(purpose, marker), scale)
 
 
 @dataclass(frozen=True)
 class Budget:
-    """How eps is spent over rounds, items and the two kinds of reports.
+    """How eps is spent over rounds, items and the kinds of releases.
 
     ``per_report``: eps for each report, the weakest reading. ``per_item``: eps for
     all rounds of an item, while the user vector is frozen. ``per_user``: eps for all
-    that a user ever sends, which holds for arbitrary inputs.
+    that a user ever sends, which holds for arbitrary inputs. Bits and item gradients
+    are sent for each item, a user gradient once a round; ``user_share`` of eps is for
+    the latter, and the rest is split by ``bit_share``.
     """
 
     policy: str
@@ -92,30 +102,41 @@ class Budget:
     rounds: int = 1
     items: int = 1
     permanent_bits: bool = False
+    user_share: float = 0.0
 
     def __post_init__(self) -> None:
         if self.policy not in ("per_report", "per_item", "per_user"):
             raise ValueError(f"unknown policy {self.policy}")
-        if self.eps <= 0 or not 0 <= self.bit_share <= 1:
-            raise ValueError("eps must be positive and bit_share a share")
+        if self.eps <= 0 or not 0 <= self.bit_share <= 1 or not 0 <= self.user_share < 1:
+            raise ValueError("eps must be positive, bit_share and user_share shares")
 
     def per_round(self) -> tuple[float, float]:
-        """eps of one bit and of one gradient in one round."""
+        """eps of one bit and of one item gradient in one round."""
+        rest = (1 - self.user_share) * self.eps
         rounds = {"per_report": 1, "per_item": self.rounds, "per_user": self.rounds * self.items}[self.policy]
         bits = 1 if self.permanent_bits else self.rounds
         bits = {"per_report": 1, "per_item": bits, "per_user": bits * self.items}[self.policy]
-        return self.bit_share * self.eps / bits, (1 - self.bit_share) * self.eps / rounds
+        return self.bit_share * rest / bits, (1 - self.bit_share) * rest / rounds
+
+    def user_gradient(self) -> float:
+        """eps of the one user gradient of a round."""
+        return self.user_share * self.eps / (1 if self.policy == "per_report" else self.rounds)
+
+    def releases(self) -> list[tuple[str, float, bool]]:
+        """Mechanism, what a round spends on it under the policy, and whether only the first round does."""
+        bit, grad = self.per_round()
+        times = self.items if self.policy == "per_user" else 1
+        out = [("bit", bit * times, self.permanent_bits), ("gradient", grad * times, False)]
+        return out + ([("user_gradient", self.user_gradient(), False)] if self.user_share else [])
 
 
 def ledger(users: DataFrame, budget: Budget) -> DataFrame:
     """What every user has spent after every round, by mechanism, under sequential composition."""
-    bit, grad = budget.per_round()
-    times = budget.items if budget.policy == "per_user" else 1
     spark: SparkSession = users.sparkSession
     rounds = spark.range(1, budget.rounds + 1).select(F.col("id").cast("int").alias("round"))
-    spent = F.when(F.lit(budget.permanent_bits) & (F.col("round") > 1), F.lit(0.0)).otherwise(F.lit(bit * times))
+    spent = [F.struct(F.lit(name).alias("mechanism"), F.when(F.lit(once) & (F.col("round") > 1), F.lit(0.0)).otherwise(F.lit(x)).alias("eps_spent")) for name, x, once in budget.releases()]
     rows = users.select("user_id").crossJoin(F.broadcast(rounds))  # a few rounds
-    rows = rows.select("user_id", "round", F.explode(F.array(F.struct(F.lit("bit").alias("mechanism"), spent.alias("eps_spent")), F.struct(F.lit("gradient").alias("mechanism"), F.lit(grad * times).alias("eps_spent")))).alias("x"))
+    rows = rows.select("user_id", "round", F.explode(F.array(*spent)).alias("x"))
     so_far = Window.partitionBy("user_id").orderBy("round", "mechanism").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return rows.select("user_id", "round", "x.*").withColumn("eps_total", F.sum("eps_spent").over(so_far))
 

@@ -1,8 +1,9 @@
 """Regularised matrix factorisation by gradient descent on long-form triples.
 
 Factors are tables with one column per coordinate, so residuals, gradients and steps
-are plain expressions and sums that run in generated code. Triples are laid out by
-user once; the item side's sums are combined before the shuffle. Several independent
+are plain expressions and sums that run in generated code. Triples and user factors are
+bucketed by user, so the user side of a round meets without a shuffle; the item side's
+sums are combined before theirs. Several independent
 fits (folds, repetitions, settings) run as one: ``run`` is part of every key, and a
 round is the same few jobs however many fits there are.
 """
@@ -12,11 +13,11 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass, field
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import uniform
+from ..functions.hashing import hash_bits, uniform
 from ..sources.rounds import Rounds
 
 
@@ -141,9 +142,9 @@ def weighted(triples: DataFrame, cfg: FitConfig, keys: tuple[str, ...] = ()) ->
 
 def fit_plain(triples: DataFrame, cfg: FitConfig, keys: tuple[str, ...] = ()) -> FactorModel:
     """``cfg.rounds`` rounds over (keys, user_id, item_id, rating)."""
-    scratch = Rounds(triples.sparkSession, "fit")
-    data = scratch.keep(weighted(triples.select(*keys, "user_id", "item_id", "rating"), cfg, keys).repartition("user_id"), "triples")
-    X = scratch.keep(init_factors(data.select(*keys, "user_id").distinct(), "user_id", "x", cfg.d, cfg.seed), "x-0")
+    scratch, by_user = Rounds(triples.sparkSession, "fit"), [*keys, "user_id"]
+    data = scratch.keep(weighted(triples.select(*keys, "user_id", "item_id", "rating"), cfg, keys), "triples", by_user)
+    X = scratch.keep(init_factors(data.select(*keys, "user_id").distinct(), "user_id", "x", cfg.d, cfg.seed), "x-0", by_user)
     Z = scratch.keep(init_factors(data.select(*keys, "item_id").distinct(), "item_id", "z", cfg.d, cfg.seed), "z-0")
     trace: list[dict] = []
     gamma: float | None = None
@@ -153,15 +154,16 @@ def fit_plain(triples: DataFrame, cfg: FitConfig, keys: tuple[str, ...] = ()) ->
         for b in range(cfg.blocks or 1):
             part = data
             if cfg.blocks:  # one diagonal of user and item blocks at a time
-                part = data.where(F.pmod(F.xxhash64("user_id"), F.lit(cfg.blocks)) == F.pmod(F.xxhash64("item_id") + b, F.lit(cfg.blocks)))
+                own = [F.pmod(hash_bits(cfg.seed, "block", F.col(c)), F.lit(cfg.blocks)) for c in ("user_id", "item_id")]
+                part = data.where(own[0] == F.pmod(own[1] + b, F.lit(cfg.blocks)))
             res = residuals(part, X, Z, cfg.d, keys)
             newX = step(X, user_gradient(res, cfg.d, keys, F.col("wu")), "user_id", "x", gamma, cfg.lam_x, cfg, keys)
             if cfg.order == "alternate":
-                newX = scratch.keep(newX, f"x-{t}-{b}")
+                newX = scratch.keep(newX, f"x-{t}-{b}", by_user)
                 res = residuals(part, newX, Z, cfg.d, keys)
             newZ = step(Z, item_gradient(res, cfg.d, keys, F.col("wz")), "item_id", "z", gamma, cfg.lam_z, cfg, keys)
             newZ = scratch.keep(newZ, f"z-{t}-{b}")
-            X, Z = (newX if cfg.order == "alternate" else scratch.keep(newX, f"x-{t}-{b}")), newZ
+            X, Z = (newX if cfg.order == "alternate" else scratch.keep(newX, f"x-{t}-{b}", by_user)), newZ
         if cfg.trace or cfg.tol is not None or cfg.step.kind == "bold":
             now = loss(data, X, Z, cfg, keys).agg(F.avg("loss")).first()[0]
             trace.append({"round": t, "loss": now, "gamma": gamma})
@@ -169,27 +171,36 @@ def fit_plain(triples: DataFrame, cfg: FitConfig, keys: tuple[str, ...] = ()) ->
                 break
             if cfg.tol is not None and len(trace) > 1 and abs(trace[-2]["loss"] - now) < cfg.tol:
                 break
-        if t > 1:
-            for name in ("x", "z"):
-                for b in range(cfg.blocks or 1):
-                    scratch.drop(f"{name}-{t - 1}-{b}")
+        scratch.only("triples", f"x-{t}-{(cfg.blocks or 1) - 1}", f"z-{t}-{(cfg.blocks or 1) - 1}")
+    scratch.drop("triples")
     return FactorModel(X, Z, trace, cfg)
 
 
 def fold_in(ratings: DataFrame, Z: DataFrame, d: int, lam: float = 1e-2, method: str = "ridge", rounds: int = 50, gamma: float = 0.5) -> DataFrame:
-    """User vectors for (user_id, item_id, rating) of new users, item vectors frozen."""
+    """User vectors for (user_id, item_id, rating) of new users, item vectors frozen.
+
+    A user's ratings come down to sums of products, a row of fixed width; the small
+    systems of many users are then solved in one call.
+    """
     joined = ratings.join(Z, "item_id").select("user_id", "rating", *cols("z", d))
+    pairs = [(i, j) for i in range(d) for j in range(i, d)]
+    square = [F.sum(F.col(f"z{i}") * F.col(f"z{j}")).alias(f"a{i}_{j}") for i, j in pairs]
+    sums = joined.groupBy("user_id").agg(F.count("*").cast("double").alias("n"), *square, *(F.sum(F.col("rating") * F.col(f"z{k}")).alias(f"b{k}") for k in range(d)))
 
-    def solve(rows: pd.DataFrame) -> pd.DataFrame:
+    def solve(batches):
         import numpy as np
 
-        z, r = rows[cols("z", d)].to_numpy(), rows["rating"].to_numpy()
-        if method == "ridge":
-            x = np.linalg.solve(z.T @ z + lam * len(r) * np.eye(d), z.T @ r)
-        else:
-            x = np.zeros(d)
-            for _ in range(rounds):
-                x -= gamma * (-2 * z.T @ (r - z @ x) / len(r) + 2 * lam * x)
-        return pd.DataFrame([[rows["user_id"].iloc[0], *x]], columns=["user_id", *cols("x", d)])
-
-    return joined.groupBy("user_id").applyInPandas(solve, "user_id long, " + ", ".join(f"x{k} double" for k in range(d)))
+        for rows in batches:
+            of = lambda c: rows.column(c).to_numpy(zero_copy_only=False)  # noqa: E731, B023
+            n, b, a = of("n"), np.stack([of(f"b{k}") for k in range(d)], axis=1), np.zeros((rows.num_rows, d, d))
+            for i, j in pairs:
+                a[:, i, j] = a[:, j, i] = of(f"a{i}_{j}")
+            if method == "ridge":
+                x = np.linalg.solve(a + lam * n[:, None, None] * np.eye(d), b[..., None])[..., 0]
+            else:
+                x = np.zeros((rows.num_rows, d))
+                for _ in range(rounds):
+                    x = x - gamma * (-2 * (b - (a @ x[..., None])[..., 0]) / n[:, None] + 2 * lam * x)
+            yield pa.RecordBatch.from_arrays([rows.column("user_id"), *(pa.array(x[:, k]) for k in range(d))], names=["user_id", *cols("x", d)])
+
+    return sums.mapInArrow(solve, "user_id long, " + ", ".join(f"x{k} double" for k in range(d)))

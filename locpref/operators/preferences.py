@@ -59,9 +59,21 @@ def degrees(triples: DataFrame, side: str) -> DataFrame:
     return triples.groupBy(side).agg(F.count("*").alias("degree"))
 
 
+#: Items that one row holds when a user's unrated ones are told.
+ITEM_BLOCK = 4096
+
+
 def unknown_cells(users: DataFrame, items: DataFrame, triples: DataFrame, item: str = "item") -> DataFrame:
-    """Cells without a rating for the requested users: one row per user and unrated item."""
-    all_items = items.select(F.col(item)).distinct().agg(F.collect_set(item).alias("_all"))
-    rated = triples.groupBy("user_id").agg(F.collect_set(item).alias("_own"))
-    asked = users.select("user_id").distinct().join(rated, "user_id", "left").crossJoin(F.broadcast(all_items))  # one row
-    return asked.select("user_id", F.explode(F.array_except("_all", F.coalesce("_own", F.array().cast(all_items.schema["_all"].dataType)))).alias(item))
+    """Cells without a rating for the requested users: one row per user and unrated item.
+
+    Items are dealt over blocks of about ITEM_BLOCK; each user meets each block's row
+    and keeps what isn't among their own of that block. What comes out is users times
+    items by nature; what is joined is not.
+    """
+    distinct = items.select(F.col(item)).distinct()
+    n = max(1, -(-distinct.count() // ITEM_BLOCK))
+    block = F.pmod(F.xxhash64(item), F.lit(n)).alias("_block")
+    blocks = distinct.groupBy(block).agg(F.collect_list(item).alias("_all"))
+    rated = triples.groupBy("user_id", block).agg(F.collect_set(item).alias("_own"))
+    asked = users.select("user_id").distinct().crossJoin(blocks).join(rated, ["user_id", "_block"], "left")
+    return asked.select("user_id", F.explode(F.array_except("_all", F.coalesce("_own", F.array().cast(blocks.schema["_all"].dataType)))).alias(item))

@@ -16,7 +16,8 @@ from ..sources.rounds import Rounds
 
 #: What the private methods protect; ``central`` adds its noise to exact sums instead.
 PROTECT = {"private": ("bits", "grads"), "both": ("bits", "grads"), "bits": ("bits",), "grads": ("grads",), "none": (), "central": ("bits", "grads")}
-SETTING = ("method", "width", "eps", "unknown")
+#: What tells the rows of a sweep apart, besides the run.
+SETTING = ("method", "width", "eps", "unknown", "place")
 
 
 def user_folds(users: DataFrame, folds: int = 10, seed: int = 42, exact: bool = False) -> DataFrame:
@@ -40,23 +41,28 @@ def mask_unknown(triples: DataFrame, test_users: DataFrame, share: float, seed:
 
 
 def repeat(triples: DataFrame, folds: int, repeats: int, share: float, seed: int = 42) -> DataFrame:
-    """Every cell once for each run (fold and repetition), with ``held``."""
-    runs = triples.sparkSession.range(folds * repeats).select(F.col("id").cast("int").alias("run"))
-    cells = triples.crossJoin(F.broadcast(runs))  # folds * repeats rows
-    rep = F.floor(F.col("run") / folds)
-    test = F.pmod(hash_bits(seed, "fold", F.col("user_id"), rep), F.lit(folds)) == F.pmod("run", F.lit(folds))
-    return cells.withColumn("held", (test & (uniform(seed, "mask", F.col("user_id"), F.col("item_id"), rep) < share)).cast("int"))
-
-
-def event_cells(visits: DataFrame, hours: int, places: int | None = None, hourly: bool = True, seed: int = 42) -> DataFrame:
-    """Planted ``user_id, item, item_id, rating, truth`` at a slot width; ``places`` adds a coarse place to the item."""
-    loc = F.col("category") if places is None else F.concat_ws(":", "category", F.pmod("place", F.lit(places)).cast("string"))
-    if hourly:
-        labelled = dataset.planted_hourly(visits, loc, seed=seed)
-        cells = preferences.build(labelled, loc, g.time_slot(F.col("ts"), hours)).withColumn("truth", F.col("rating").cast("int"))
+    """Every cell once for each run (fold and repetition), with ``held``. A repetition has draws of its own; its folds share them."""
+    reps = triples.sparkSession.range(repeats).select(F.col("id").alias("_rep"))
+    cells = triples.crossJoin(F.broadcast(reps))  # a row for each repetition
+    cells = cells.withColumn("_fold", F.pmod(hash_bits(seed, "fold", F.col("user_id"), F.col("_rep")), F.lit(folds)).cast("int"))
+    cells = cells.withColumn("_masked", uniform(seed, "mask", F.col("user_id"), F.col("item_id"), F.col("_rep")) < share)
+    each = cells.select("*", F.explode(F.sequence(F.lit(0), F.lit(folds - 1))).alias("_k"))
+    return each.withColumn("run", (F.col("_rep") * folds + F.col("_k")).cast("int")).withColumn("held", ((F.col("_fold") == F.col("_k")) & F.col("_masked")).cast("int")).drop("_rep", "_fold", "_masked", "_k")
+
+
+def event_cells(visits: DataFrame, width: int, places: int | None = None, hourly: bool = True, seed: int = 42, place: str = "category", unit: str = "hours") -> DataFrame:
+    """Planted ``user_id, item_id, rating, truth`` at a slot width; ``places`` adds a coarse place to the item.
+
+    ``place`` is a kind of location key. ``unit`` "months" is for carriers that have
+    dates only; their truth has no hours.
+    """
+    loc = g.location_key(place) if places is None else F.concat_ws(":", "category", F.pmod("place", F.lit(places)).cast("string"))
+    slot = g.time_slot(F.col("ts"), width) if unit == "hours" else g.month_slot(F.col("ts"), width)
+    if hourly and unit == "hours":
+        cells = preferences.build(dataset.planted_hourly(visits, loc, seed=seed), loc, slot).withColumn("truth", F.col("rating").cast("int"))
     else:
-        cells = dataset.planted(preferences.build(visits, loc, g.time_slot(F.col("ts"), hours)).select("user_id", "item"), seed=seed)
-    return cells.select("user_id", "item", F.xxhash64("item").alias("item_id"), "rating", "truth")
+        cells = dataset.planted(preferences.build(visits, loc, slot).select("user_id", "item"), seed=seed)
+    return cells.select("user_id", F.col("item").alias("item_id"), "rating", "truth")
 
 
 def evaluate(cells: DataFrame, scored: DataFrame, method: str) -> DataFrame:
@@ -67,22 +73,27 @@ def evaluate(cells: DataFrame, scored: DataFrame, method: str) -> DataFrame:
     return whole.join(held, "run", "left").select(F.lit(method).alias("method"), "run", "fpr", "recall", "reconstruction")
 
 
-def sweep(visits: DataFrame, grid: list[dict], folds: int = 10, runs: int = 1, rounds: int = 8, d: int = 3, methods: tuple[str, ...] = ("plain", "private"), seed: int = 42, places: int | None = None, hourly: bool = False) -> DataFrame:
-    """A row for every method, setting and run; settings are ``width``, ``eps``, ``unknown``.
+def sweep(visits: DataFrame, grid: list[dict], folds: int = 10, runs: int = 1, rounds: int = 8, d: int = 3, methods: tuple[str, ...] = ("plain", "private"), seed: int = 42, places: int | None = None, hourly: bool = False, unit: str = "hours") -> DataFrame:
+    """A row for every method, setting and run; settings are ``width``, ``eps``, ``unknown`` and ``place`` (a kind of location key).
 
     All settings and runs of a method are one fit; the methods see the same masks.
     """
     spark = visits.sparkSession
-    cells, eps_of, named = None, [], []
+    scratch = Rounds(spark, "sweep")
+    cells, eps_of, named, made = None, [], [], {}
     for g_no, s in enumerate(grid):
-        one = repeat(event_cells(visits, s["width"], places, hourly, seed), folds, -(-runs // folds), s["unknown"], seed).where(F.col("run") < runs).withColumn("run", F.col("run") + g_no * runs)
+        place = s.get("place", "category")
+        key = (s["width"], place)
+        if key not in made:
+            made[key] = scratch.keep(event_cells(visits, s["width"], places, hourly, seed, place, unit), f"cells-{len(made)}")
+        one = repeat(made[key], folds, -(-runs // folds), s["unknown"], seed).where(F.col("run") < runs).withColumn("run", F.col("run") + g_no * runs)
         cells = one if cells is None else cells.unionByName(one)
         for r in range(runs):
             eps_of.append((g_no * runs + r, s["eps"]))
-            named.append((g_no * runs + r, int(s["width"]), float(s["eps"]), float(s["unknown"])))
-    cells = Rounds(spark, "sweep").keep(cells.withColumn("run", F.col("run").cast("int")), "cells")
+            named.append((g_no * runs + r, int(s["width"]), float(s["eps"]), float(s["unknown"]), place))
+    cells = scratch.keep(cells.withColumn("run", F.col("run").cast("int")), "cells")
     known, asked = cells.where("held = 0"), cells.select("run", "user_id", "item_id")
-    settings = spark.createDataFrame(named, "run int, width int, eps double, unknown double")
+    settings = spark.createDataFrame(named, "run int, width int, eps double, unknown double, place string")
     out = None
     for m in methods:
         if m == "plain" or m in PROTECT:
@@ -97,7 +108,10 @@ def sweep(visits: DataFrame, grid: list[dict], folds: int = 10, runs: int = 1, r
             scored = one.select("run", "user_id", "item_id", (F.coalesce("score", F.lit(0.0)) > 0.5).cast("int").alias("decision"))
         rows = evaluate(cells, scored, m)
         out = rows if out is None else out.unionByName(rows)
-    return out.join(F.broadcast(settings), "run").select("method", "width", "eps", "unknown", "run", "fpr", "recall", "reconstruction")
+    out = out.join(F.broadcast(settings), "run").select(*SETTING, "run", "fpr", "recall", "reconstruction")  # a row for each run
+    out = scratch.keep(out, "rows")
+    scratch.only("rows")
+    return out
 
 
 def averaged(rows: DataFrame) -> DataFrame:

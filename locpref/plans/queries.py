@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -12,6 +12,7 @@ from ..functions import granularity as g
 from ..functions import privacy as pv
 from ..functions.hashing import uniform
 from ..operators import baselines, dataset, extensions, factorization, metrics, predict, preferences, private, protocol
+from ..sources.rounds import shared_root
 from ..sources.tables import event_visits, order_visits, survey_answers, table
 from ..streaming import checkins
 from . import experiment
@@ -19,8 +20,9 @@ from . import experiment
 SEED, D, WIDTH = 42, 2, 6
 PLAIN = factorization.FitConfig(d=D, rounds=3, norm="ratings")
 PRIVATE = private.PrivateConfig(d=D, rounds=2, eps=2.0)
-#: Repetitions of the whole cross validation over users, and its folds.
-REPEATS, FOLDS = 100, 10
+#: Folds of the cross validation over users, and repetitions of the whole of it: in queries on the small carrier, and on the large one.
+#: ``bench.py`` has one with a hundred.
+FOLDS, REPEATS, REPEATS_LARGE = 10, 10, 1
 BASE = {"eps": 0.01, "unknown": 0.1, "width": 6}
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -220,8 +222,10 @@ def recommend(s, d):
 
 
 def top_k(s, d):
+    """The three best unrated cells of every user."""
     t, X, Z = fitted_model(s, d)
-    scored = predict.score(t.select("user_id", "item_id"), X, Z, D).withColumn("score", F.round("score", 6))
+    cells = preferences.unknown_cells(t.select("user_id"), t, t, "item_id")
+    scored = predict.score(cells, X, Z, D).withColumn("score", F.round("score", 6))
     return predict.top_k(scored, 3).select("user_id", "item_id", "rank", "score")
 
 
@@ -232,7 +236,7 @@ def flip_probability_grid(s, d):
 
 def bit_cells(s, d):
     t = triples(s, d)
-    grid = t.select("user_id").distinct().crossJoin(F.broadcast(t.select("item_id").distinct()))
+    grid = t.select("user_id").distinct().crossJoin(t.select("item_id").distinct())
     return grid.join(t, ["user_id", "item_id"], "left").select("user_id", "item_id", F.col("rating").isNotNull().cast("int").alias("y"))
 
 
@@ -296,8 +300,6 @@ def fit_private(mode: str = "reports", **changes) -> Query:
 
     def run(s, d):
         t = triples(s, d)
-        if mode == "fast":
-            t = t.withColumn("item_id", F.xxhash64("item_id"))
         return private.fit_private(t, replace(PRIVATE, **changes), mode).Z.withColumns(r6("z0", "z1"))
 
     return run
@@ -305,9 +307,9 @@ def fit_private(mode: str = "reports", **changes) -> Query:
 
 def synthesized_noise(s, d):
     t = triples(s, d)
-    items = t.groupBy(F.xxhash64("item_id").alias("item_id")).agg(F.count("*").alias("rated")).crossJoin(t.agg(F.countDistinct("user_id").alias("n")))
+    items = t.groupBy("item_id").agg(F.count("*").alias("rated")).crossJoin(t.agg(F.countDistinct("user_id").alias("n")))
     p, scale = PRIVATE.mechanism(1)
-    return private.synthesize_noise(items.withColumns({"p": F.lit(p), "scale": F.lit(scale)}), D, SEED, 1)
+    return private.synthesize_noise(items.withColumns({"p": F.lit(p), "scale": F.lit(scale)}), D, SEED, 1).withColumns(r6("s0", "s1"))
 
 
 def protocol_round(s, d):
@@ -321,6 +323,72 @@ def budget_ledger(s, d):
     return pv.ledger(users, pv.Budget("per_item", 1.0, 0.5, rounds=4)).withColumns(r6("eps_spent", "eps_total"))
 
 
+def budget_ledger_server(s, d):
+    """The ledger with the third release, user gradients on the server's side."""
+    users = table(s, d, "customer").select(F.col("c_custkey").alias("user_id"))
+    return pv.ledger(users, pv.Budget("per_user", 1.0, 0.5, rounds=4, items=5, user_share=0.25)).withColumns(r6("eps_spent", "eps_total"))
+
+
+def ledger_totals(s, d):
+    """What a user has spent at the end under every policy that bounds it, by kind of bits and side of the user step."""
+    out = None
+    for policy in ("per_item", "per_user"):
+        for permanent in (False, True):
+            for share in (0.0, 0.25):
+                spent = pv.ledger(s.range(1).withColumnRenamed("id", "user_id"), pv.Budget(policy, 1.0, 0.5, 6, 4, permanent, share))
+                row = spent.agg(F.round(F.max("eps_total"), 6).alias("eps_total"), F.countDistinct("mechanism").alias("releases")).select(F.lit(policy).alias("policy"), F.lit(permanent).alias("permanent"), F.lit(share).alias("user_share"), "eps_total", "releases")
+                out = row if out is None else out.unionByName(row)
+    return out
+
+
+def private_round(s, d):
+    """A round of the private protocol: item factors out, noisy reports back, a step from reports alone."""
+    t, X, Z = start(s, d)
+    r = protocol.Round(PRIVATE)
+    return r.server(r.client(t, X, r.publish(X, Z)[1]), X, Z)[1].withColumns(r6("z0", "z1"))
+
+
+def sampled_reports(s, d):
+    """How many items each user reports: exactly the sample, chosen without the data."""
+    from dataclasses import replace
+
+    t, X, Z = start(s, d)
+    cfg = replace(PRIVATE, report_sample=5)
+    sent = private.client_reports(X, t, Z, cfg, 1, *cfg.mechanism(Z.count()))
+    return sent.groupBy("user_id").agg(F.count("*").alias("reports"), F.countDistinct("item_id").alias("items"))
+
+
+def aggregated_by_levels(s, d):
+    """Mean gradients from users with levels of their own, by market segment."""
+    t, X, Z = start(s, d)
+    eps = table(s, d, "customer").select(F.col("c_custkey").alias("user_id"), (1.0 + F.length("c_mktsegment") / 10).alias("eps"))
+    sent = private.client_reports(X, t, Z, PRIVATE, 1, 0.0, 0.0, levels=eps)
+    return private.aggregate_reports(sent, PRIVATE, 0.0, F.col("w")).withColumns(r6("g0", "g1"))
+
+
+def observed_traffic(s, d):
+    """Numbers and bytes that the reports of one round hold, counted on the reports themselves."""
+    out = None
+    for kind in ("pair", "product"):
+        sent = reports(kind)(s, d)[0]
+        width = 8 * D + (1 if kind == "pair" else 0)
+        row = sent.agg(F.count("*").alias("reports"), F.countDistinct("user_id").alias("users"), F.countDistinct("item_id").alias("items")).select(F.lit(kind).alias("kind"), "reports", "users", "items", (F.col("reports") * width).alias("bytes_up"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def factor_norms(s, d):
+    """Sizes of both sides' vectors after a fit."""
+    _, X, Z = fitted_model(s, d)
+    size = lambda f, p, side: f.select(F.sqrt(sum((F.col(c) * F.col(c) for c in factorization.cols(p, D)), F.lit(0.0))).alias("x")).agg(F.round(F.min("x"), 6).alias("least"), F.round(F.avg("x"), 6).alias("mean"), F.round(F.max("x"), 6).alias("most"), F.count("*").alias("n")).select(F.lit(side).alias("side"), "*")
+    return size(X, "x", "user").unionByName(size(Z, "z", "item"))
+
+
+def fold_in_descent(s, d):
+    t, _, Z = fitted_model(s, d)
+    return factorization.fold_in(t, Z, D, method="gd", rounds=2).withColumns(r6("x0", "x1"))
+
+
 def privacy_audit(s, d):
     return pv.audit(s, [0.1, 0.5, 1.0, 2.0]).withColumns(r6("bit_ratio", "laplace_ratio"))
 
@@ -333,7 +401,7 @@ def fold_in(s, d):
 def als_baseline(s, d):
     t = preferences.build(event_visits(s, d), F.col("category"), slot()).select("user_id", "item", "rating")
     ids = preferences.index(t, "item", "rank")
-    cells = t.join(F.broadcast(ids), "item").select("user_id", F.col("id").alias("item_id"), "rating")
+    cells = t.join(ids, "item").select("user_id", F.col("id").alias("item_id"), "rating")
     return baselines.als(cells, cells.select("user_id", "item_id"))
 
 
@@ -404,31 +472,6 @@ def metrics_cube(s, d):
     return cells.cube("slot", "held").agg(F.grouping_id().cast("long").alias("level"), F.count("*").alias("n"), F.count_if(F.col("decision") == F.col("truth")).alias("right"))
 
 
-# A literal result table (method, width, eps, unknown, run, reconstruction).
-LITERAL = [(m, w, e, h, r, u + 0.01 * r) for r in (0, 1) for m, w, e, h, u in [("plain", 2, 0.01, 0.1, 0.80), ("plain", 6, 0.01, 0.1, 0.84), ("plain", 8, 0.01, 0.3, 0.82), ("private", 2, 0.01, 0.1, 0.50), ("private", 6, 0.1, 0.1, 0.60), ("private", 8, 1.0, 0.5, 0.58)]]
-
-
-def literal(s) -> DataFrame:
-    return s.createDataFrame(LITERAL, "method string, width int, eps double, unknown double, run int, reconstruction double")
-
-
-def summary(s, d):
-    return metrics.summarise(literal(s), ("method",), ("reconstruction",)).withColumns(r6("reconstruction_mean", "reconstruction_sd", "reconstruction_half"))
-
-
-def gap_pivot(s, d):
-    return metrics.gap(literal(s), ("width",), "reconstruction").withColumns(r6("private", "plain", "gap"))
-
-
-def choose_parameters(s, d):
-    rows = literal(s)
-    return experiment.best_width(rows).join(experiment.smallest_eps(rows, 0.03), "method").join(experiment.needed_known_share(rows, 0.55), "method")
-
-
-def utility_slope(s, d):
-    return experiment.utility_slope(literal(s)).select("method", "eps", F.round("u", 6).alias("u"), F.round("slope", 6).alias("slope"))
-
-
 def traffic(s, d):
     return metrics.traffic(s, 319_063, 2_844_145, 8, 36_001_959, 50)
 
@@ -474,7 +517,7 @@ def range_bracket(s, d):
 
 def host_places(s, d):
     p = table(s, d, "pages").withColumn("host", F.regexp_extract("url", r"^https?://([^/]+)", 1))
-    return p.groupBy("host").agg(F.count("*").alias("n"), F.countDistinct(F.pmod("page_id", F.lit(50))).alias("users"))
+    return p.groupBy("host").agg(F.count("*").alias("n"), F.countDistinct("page_id").alias("pages"))
 
 
 def role_slot_matrix(s, d):
@@ -489,7 +532,7 @@ def sensitive_bit_estimate(s, d):
 
 
 def embedding_topk(s, d):
-    """For queries, every 50th vector, the five others of the largest product; blocks keep tasks bounded."""
+    """For a stated query set, every 50th vector, the five others of the largest product: all queries against all rows."""
     v = table(s, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
     q = v.where("vec_id % 50 = 0").select(F.col("vec_id").alias("query_id"), F.col("v").alias("q"))
     product = F.round(F.aggregate(F.zip_with("q", "v", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x), 6)
@@ -521,44 +564,63 @@ def leakage(s, d):
     n = 24 // WIDTH
     rows = [[m.get((i, j), 0.0) for j in range(n)] for i in range(n)]
     bound, worst = extensions.temporal_leakage([0.5] * 6, rows), extensions.temporal_leakage([0.5] * 6)
-    return s.createDataFrame([(k + 1, b, w) for k, (b, w) in enumerate(zip(bound, worst, strict=True))], "step int, leakage double, worst double")
+    return s.createDataFrame([(k + 1, b, w) for k, (b, w) in enumerate(zip(bound, worst, strict=True))], "step int, leakage double, worst double").withColumns(r6("leakage", "worst"))
+
+
+#: Sweeps: carrier, settings, and what differs from the rest; ``oracles`` reads the same table.
+SWEEPS: dict[str, tuple[Callable, list[dict], dict]] = {
+    "sweep_width": (event_visits, [BASE | {"width": w} for w in (2, 3, 4, 6, 8, 12)], {"hourly": True}),
+    "sweep_width_months": (order_visits, [BASE | {"width": w, "place": "area"} for w in (1, 2, 3, 4, 6, 12)], {"unit": "months"}),
+    "sweep_eps": (event_visits, [BASE | {"eps": e} for e in (0.0001, 0.0003, 0.001, 0.003, 0.005, 0.01, 1.0, 10.0, 100.0)], {}),
+    "sweep_unknown": (event_visits, [BASE | {"unknown": h / 10} for h in range(1, 10)], {}),
+    "sweep_unknown_lineitem": (order_visits, [BASE | {"unknown": h / 10, "place": "area"} for h in range(1, 10)], {"unit": "months"}),
+    "sweep_location": (order_visits, [BASE | {"place": k} for k in ("category", "area", "category_area", "place")], {"unit": "months"}),
+    "compare_methods": (event_visits, [BASE | {"eps": 10.0}], {"methods": ("plain", "private", "central", "cf_user", "cf_item", "majority")}),
+    "ablation": (event_visits, [BASE | {"eps": PRIVATE.eps}], {"methods": ("bits", "grads", "both", "none", "central")}),
+}
+SWEEP_ROUNDS, TOLERANCE, TARGET = 6, 0.03, 0.55
 
 
-def swept(grid: list[dict], **how) -> Query:
-    """A setting's measures, averaged over all repetitions of all folds."""
-    return lambda s, d: experiment.averaged(experiment.sweep(event_visits(s, d), grid, **({"folds": FOLDS, "runs": FOLDS * REPEATS, "rounds": 6} | how)))
+#: Averages of sweeps that this application has made: table by query and input files.
+_AVERAGES: dict[tuple, str] = {}
 
 
-SWEEPS: dict[str, Query] = {
-    "sweep_width": swept([BASE | {"width": w} for w in (2, 3, 4, 6, 8, 12)], hourly=True),
-    "sweep_eps": swept([BASE | {"eps": e} for e in (0.0001, 0.0003, 0.001, 0.003, 0.005, 0.01, 1.0, 10.0, 100.0)]),
-    "sweep_unknown": swept([BASE | {"unknown": h / 10} for h in range(1, 10)]),
-    "sweep_location": swept([BASE], places=8),
-    "compare_methods": swept([BASE | {"eps": 10.0}], methods=("plain", "central", "cf_user", "cf_item", "majority")),
-}
+def swept(name: str) -> Query:
+    """A setting's measures, averaged over all repetitions of all folds. Made once for each input in an application."""
 
+    def run(s, d):
+        carrier, grid, how = SWEEPS[name]
+        visits = carrier(s, d)
+        key = (s.sparkContext.applicationId, name, REPEATS, REPEATS_LARGE, tuple(sorted(visits.inputFiles())), visits.count())
+        if key not in _AVERAGES:
+            runs = FOLDS * (REPEATS if carrier is event_visits else REPEATS_LARGE)
+            out = experiment.averaged(experiment.sweep(visits, grid, folds=FOLDS, runs=runs, rounds=SWEEP_ROUNDS, **how))
+            out = out.withColumns(r6(*(c for c in out.columns if c.rpartition("_")[2] in ("mean", "sd", "half"))))
+            path = f"{shared_root(s)}/averages-{name}-{uuid.uuid4().hex}"
+            out.write.parquet(path)
+            _AVERAGES[key] = path
+        return s.read.parquet(_AVERAGES[key])
 
-def sweep_choice(s, d):
-    """The choice of parameters, made on the sweeps themselves."""
-    return experiment.choice(*(SWEEPS[f"sweep_{k}"](s, d) for k in ("width", "eps", "unknown")), 0.03, 0.55)
+    return run
 
 
-def sweep_gap(s, d):
-    return metrics.gap(SWEEPS["sweep_unknown"](s, d), ("unknown",), "reconstruction_mean")
+def choose_parameters(s, d):
+    """The choice of parameters, made on the sweeps themselves."""
+    return experiment.choice(*(swept(f"sweep_{k}")(s, d) for k in ("width", "eps", "unknown")), TOLERANCE, TARGET)
 
 
-def sweep_slope(s, d):
-    return experiment.utility_slope(SWEEPS["sweep_eps"](s, d), "reconstruction_mean").select("method", "eps", "u", "slope")
+def gap_pivot(s, d):
+    """Utility of the private method minus that of the plain one, by setting."""
+    return metrics.gap(swept("sweep_unknown")(s, d), ("unknown",), "reconstruction_mean").withColumns(r6("private", "plain", "gap"))
 
 
-def ablation(s, d):
-    """Measures by what is protected, on planted cells with the sweeps' masks and rounds."""
-    return swept([BASE | {"eps": PRIVATE.eps}], methods=("bits", "grads", "both", "none", "central"))(s, d)
+def utility_slope(s, d):
+    return experiment.utility_slope(swept("sweep_eps")(s, d), "reconstruction_mean").select("method", "eps", F.round("u", 6).alias("u"), F.round("slope", 6).alias("slope"))
 
 
 def _streamed(s, d, name: str, make, mode: str = "append") -> DataFrame:
     """A stream over a folder that holds the events, run to its end and read back."""
-    root = f"{s.conf.get('spark.checkpoint.dir', None) or 'file://' + tempfile.mkdtemp()}/{name}-{abs(hash((d, id(make))))}"
+    root = f"{shared_root(s)}/{name}-{uuid.uuid4().hex}"
     table(s, d, "events").write.mode("overwrite").parquet(f"{root}/in")
     q = make(checkins.read_events(s, f"{root}/in")).writeStream.format("parquet").option("path", f"{root}/out").option("checkpointLocation", f"{root}/state").outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
@@ -589,6 +651,41 @@ def stream_sessions(s, d):
     return out.groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events"))
 
 
+def stream_sliding(s, d):
+    """Visits by windows of six hours that start every three."""
+    out = _streamed(s, d, "sliding", lambda e: checkins.sliding(e, 6, 3))
+    return out.select(F.date_format("start", "yyyy-MM-dd HH:mm").alias("start"), "n")
+
+
+def stream_dedup(s, d):
+    """Reports that were sent twice count once."""
+    return _streamed(s, d, "dedup", lambda e: checkins.dedup(e.unionByName(e))).groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+def stream_matched(s, d):
+    """Stated answers, the even events, with the same user's check-ins of the six hours before."""
+    out = _streamed(s, d, "match", lambda e: checkins.match(e.where("event_id % 2 = 0"), e.where("event_id % 2 = 1"), "6 hours"))
+    return out.groupBy("user_id").agg(F.count("*").alias("pairs"))
+
+
+def stream_refit(s, d):
+    """The last label of every user and category, kept up by batches."""
+    root = f"{shared_root(s)}/refit-{uuid.uuid4().hex}"
+    table(s, d, "events").write.parquet(f"{root}/in")
+    seen = []
+    checkins.refit(checkins.read_events(s, f"{root}/in"), f"{root}/out", f"{root}/state", lambda df, n: seen.append(n)).awaitTermination()
+    return s.read.parquet(f"{root}/out/{seen[-1]}").groupBy("event_type").agg(F.count("*").alias("users"), F.sum("label").alias("open"))
+
+
+def stream_totals(s, d):
+    """Running totals by category, the whole table of them after every batch (complete mode)."""
+    root = f"{shared_root(s)}/totals-{uuid.uuid4().hex}"
+    table(s, d, "events").write.parquet(f"{root}/in")
+    name = f"totals_{uuid.uuid4().hex}"
+    checkins.run_to_table(checkins.read_events(s, f"{root}/in").groupBy("event_type").agg(F.count("*").alias("n")), name, f"{root}/state", "complete")
+    return s.table(name)
+
+
 def masked_exact(s, d):
     t = triples(s, d)
     return experiment.mask_unknown(t, experiment.user_folds(t).where("fold = 0"), 0.3, exact=True)
@@ -621,7 +718,9 @@ def compare_models(s, d):
 
 
 def silent_customers(s, d):
-    return table(s, d, "customer").join(table(s, d, "orders"), F.expr("c_custkey = o_custkey"), "left_anti").groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+    """Customers without an urgent order, by segment."""
+    urgent = table(s, d, "orders").where("o_orderpriority = '1-URGENT'")
+    return table(s, d, "customer").join(urgent, F.expr("c_custkey = o_custkey"), "left_anti").groupBy("c_mktsegment").agg(F.count("*").alias("n"))
 
 
 def folds_and_rest(s, d):
@@ -690,7 +789,7 @@ def fold_in_shares(s, d):
         x = factorization.fold_in(own.where("held = 0"), m.Z, 3, 0.1)
         asked = own.where("held = 1").select("user_id", "item_id", "truth")
         scored = predict.score(asked, x, m.Z, 3).withColumn("decision", (F.col("score") > 0.5).cast("int"))
-        row = metrics.rates(metrics.confusion(asked.join(scored.select("user_id", "item_id", "decision"), ["user_id", "item_id"], "left").withColumn("decision", F.coalesce("decision", F.lit(0)))), "reconstruction").select(F.lit(share).alias("known_share"), "reconstruction")
+        row = metrics.rates(metrics.confusion(asked.join(scored.select("user_id", "item_id", "decision"), ["user_id", "item_id"], "left").withColumn("decision", F.coalesce("decision", F.lit(0)))), "reconstruction").select(F.lit(share).alias("known_share"), F.round("reconstruction", 6).alias("reconstruction"))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -719,8 +818,8 @@ def queries() -> dict[str, Query]:
     out |= {"cf_user": cf("user"), "cf_item": cf("item"), "cf_user_pearson": cf("user", "pearson"), "cf_item_jaccard": cf("item", "jaccard")}
     out |= {f"majority_{b}": majority(b) for b in ("global", "item", "user", "bias")}
     out |= {"constant_hide": constant(0), "constant_publish": constant(1)}
-    out |= SWEEPS
-    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, privacy_audit, fold_in, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, summary, gap_pivot, choose_parameters, utility_slope, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, slot_transitions, leakage, sweep_choice, sweep_gap, sweep_slope, ablation, stream_slot_counts, stream_gate, stream_sessions, masked_exact, estimator_errors, survey_of_users, compare_models, silent_customers, folds_and_rest, measures_long, grouped_sets, lateral_top, mean_vector_udaf, time_ladder, observed_loss, fold_in_shares, budgeted_stream)
+    out |= {name: swept(name) for name in SWEEPS}
+    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, budget_ledger_server, ledger_totals, private_round, sampled_reports, aggregated_by_levels, observed_traffic, factor_norms, privacy_audit, fold_in, fold_in_descent, stream_sliding, stream_dedup, stream_matched, stream_refit, stream_totals, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, slot_transitions, leakage, choose_parameters, gap_pivot, utility_slope, stream_slot_counts, stream_gate, stream_sessions, masked_exact, estimator_errors, survey_of_users, compare_models, silent_customers, folds_and_rest, measures_long, grouped_sets, lateral_top, mean_vector_udaf, time_ladder, observed_loss, fold_in_shares, budgeted_stream)
     return out | {f.__name__: f for f in named}
 
 

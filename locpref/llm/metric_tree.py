@@ -1,18 +1,24 @@
-"""Exact top-k search by M-trees.
+"""Exact top-k search by an M-tree over all rows.
 
 Inner products become distances: with M the longest norm of all vectors, x gets one
 more component sqrt(M^2 - |x|^2) and a query a zero, so the largest product is the
-least Euclidean distance. Rows are dealt over blocks of bounded size whatever their
-content; a block is one M-tree. A node is a page: a routing vector, a covering radius
-and, for each entry, its vector (or child page) with its distance to the routing one.
+least Euclidean distance. Pivots, a bounded sample of rows, cut the space: a row
+belongs to the block of the nearest one, and a block with too many rows is dealt over
+several. A block is one subtree of bounded size. A node is a page: a routing vector, a
+covering radius and, for each entry, its vector (or child page) with its distance to
+the routing one. The blocks' roots are the tree's upper level.
 
-A query takes pages best first, by the least distance a page's ball allows. What the
-stored distances and the triangle inequality rule out is not computed: child pages by
-|d(q, parent) - d(child, parent)| - radius, and entries of a leaf by the same without
-radius. The search ends when the nearest page left is farther than the k-th result.
-Scores are products of integers, so they are exact; bounds keep a margin for rounding.
+A query first searches the block where it would lie itself, which gives a bound for
+its k-th result. Then it goes to those other blocks alone whose ball can hold anything
+as near. Inside a block it takes pages best first, by the least distance a page's ball
+allows. What the stored distances and the triangle inequality rule out is not computed:
+child pages by |d(q, parent) - d(child, parent)| - radius, and entries of a leaf by the
+same without radius. The search ends when the nearest page left is farther than the k-th
+result. Scores are products of integers, so they are exact; bounds keep a margin for
+rounding. ``work`` counts the distances that a search computes.
 
-Queries go to every block in chunks; the blocks' results are merged by a window.
+Roots meet queries in chunks of both, and nothing is collected but a row for each
+length of vectors and MAX_PIVOTS pivots. Results are merged by a window.
 
 Defined cases: null vectors, empty ones, ones with null or non-finite components and
 null ids take no part; vectors meet those of their own length; a query's own id is no
@@ -23,6 +29,7 @@ id is answered once, for its least vector.
 from __future__ import annotations
 
 import heapq
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,10 +37,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, arrow_rows, release
 
-BLOCK_ROWS, PAGE_ROWS, FANOUT = 8192, 256, 16
-CHUNK_ROWS, CHUNKS_PER_TASK = 512, 8
+BLOCK_ROWS, PAGE_ROWS, FANOUT = 4096, 64, 16
+#: Pivots for vectors of one length, at most; blocks of more rows are dealt over several.
+MAX_PIVOTS = 2048
+CHUNK_ROWS, CHUNKS_PER_TASK, ROOT_ROWS = 512, 8, 2048
+#: A block's number: length of vectors, pivot, share.
+_DIM, _PIVOT = 2**40, 2**24
+_ASKED = "array<struct<vec_id:bigint,v:array<bigint>,bound:bigint>>"
 
 _NODE = "block long, node int, parent int, leaf boolean, route binary, radius double, to_parent double, ids binary, vectors binary, spread binary"
 _NODE_SCHEMA = pa.schema([("block", pa.int64()), ("node", pa.int32()), ("parent", pa.int32()), ("leaf", pa.bool_()), ("route", pa.binary()), ("radius", pa.float64()), ("to_parent", pa.float64()), ("ids", pa.binary()), ("vectors", pa.binary()), ("spread", pa.binary())])
@@ -98,15 +110,17 @@ class Tree:
         self.vectors = [np.frombuffer(p["vectors"]).reshape(-1, dim) for p in self.pages]
         self.spread = [np.frombuffer(p["spread"]) for p in self.pages]
 
-    def search(self, own: int, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and scores of the k best entries other than ``own``, best first; ties to the least id."""
+    def search(self, own: int, q: np.ndarray, k: int, bound: float | None = None) -> tuple[np.ndarray, np.ndarray, int]:
+        """Ids and scores of the k best entries other than ``own``, best first, ties to the least id; and distances computed.
+
+        Entries below ``bound`` don't matter.
+        """
         norm = float(q @ q)
         top_ids, top = np.empty(0, np.int64), np.empty(0)
-        margin = 1e-7 * (1 + self.longest + norm)
-        reach = np.inf  # distance of the k-th result
+        reach = np.inf if bound is None else reached(norm, self.longest, bound)  # distance of the k-th result
         up = np.append(q, 0.0)
         d = float(np.sqrt(((self.route[0] - up) ** 2).sum()))
-        queue = [(max(0.0, d - self.radius[0]), 0, d)]
+        queue, computed = [(max(0.0, d - self.radius[0]), 0, d)], 1
         while queue:
             low, node, d = heapq.heappop(queue)
             if low > reach:
@@ -114,6 +128,7 @@ class Tree:
             if not self.pages[node]["leaf"]:
                 c = self.children[node]
                 c = c[np.abs(d - self.to_parent[c]) - self.radius[c] <= reach]
+                computed += len(c)
                 far = np.sqrt(((self.route[c] - up) ** 2).sum(axis=1))
                 for n, dn, ln in zip(c.tolist(), far.tolist(), np.maximum(0.0, far - self.radius[c]).tolist(), strict=True):
                     if ln <= reach:
@@ -123,18 +138,26 @@ class Tree:
             open_ = np.abs(d - self.spread[node]) <= reach
             if not open_.all():
                 ids, v = ids[open_], v[open_]
+            computed += len(ids)
             score = v @ q
             good = ids != own
             if len(top) == k:
                 good &= score >= top[-1]
+            if bound is not None:
+                good &= score >= bound
             if not good.any():
                 continue
             top_ids, top = np.concatenate([top_ids, ids[good]]), np.concatenate([top, score[good]])
             order = np.lexsort((top_ids, -top))[:k]
             top_ids, top = top_ids[order], top[order]
             if len(top) == k:
-                reach = float(np.sqrt(max(0.0, norm + self.longest - 2 * top[-1]) + margin))
-        return top_ids, top
+                reach = min(reach, reached(norm, self.longest, float(top[-1])))
+        return top_ids, top, computed
+
+
+def reached(norm: float, longest: float, score: float) -> float:
+    """The distance at which a product of ``score`` lies, with a margin for rounding."""
+    return math.sqrt(max(0.0, norm + longest - 2 * score) + 1e-7 * (1 + longest + norm))
 
 
 def _vectors(rows: DataFrame, id_col: str, vector_col: str) -> DataFrame:
@@ -142,18 +165,40 @@ def _vectors(rows: DataFrame, id_col: str, vector_col: str) -> DataFrame:
     return v.withColumn("dim", F.size("v"))
 
 
-def top_k(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
-    """``query_id, rank, vec_id, score``: the k rows of the highest product for every query."""
-    spark = rows.sparkSession
-    scratch = Scratch(spark, "metric-trees")
-    data = scratch.keep(_vectors(rows, id_col, vector_col), "vectors")
-    square = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
-    sizes = data.groupBy("dim").agg(F.count("*").alias("n"), F.max(square).alias("longest")).withColumn("blocks", F.ceil(F.col("n") / BLOCK_ROWS))
-    sizes = scratch.keep(sizes, "sizes")
-    longest = {r.dim: r.longest for r in sizes.collect()}  # a row for each length of vectors
-    dealt = data.withColumn("_row", F.monotonically_increasing_id()).join(F.broadcast(sizes), "dim")
-    block = F.col("dim") * F.lit(2**36).cast("long") + F.pmod(F.xxhash64("_row"), F.col("blocks"))
-    dealt = dealt.select(block.cast("long").alias("block"), "dim", "vec_id", "v").repartition("block").sortWithinPartitions("block")
+def _pivots(data: DataFrame, sizes: dict[int, int]) -> dict[int, np.ndarray]:
+    """For each length of vectors a row for every BLOCK_ROWS of them, MAX_PIVOTS at most: those with the least hashes."""
+    spark = data.sparkSession
+    want = [(d, min(MAX_PIVOTS, -(-n // BLOCK_ROWS)), min(1.0, (2 * min(MAX_PIVOTS, -(-n // BLOCK_ROWS)) + 200) / n)) for d, n in sizes.items()]
+    rows = spark.createDataFrame([(d, n, int(x * 2.0**63) if x < 1 else 2**63 - 1) for d, n, x in want], "dim int, n long, bound long")
+    near = data.withColumn("_h", F.xxhash64("vec_id").bitwiseAND(F.lit(2**63 - 1))).join(F.broadcast(rows), "dim").where("_h <= bound")  # a row for each length
+    least = Window.partitionBy("dim").orderBy("_h", "vec_id", "v")
+    found = near.withColumn("_r", F.row_number().over(least)).where("_r <= n").select("dim", "v").collect()
+    return {d: np.array([r.v for r in found if r.dim == d], np.float64).reshape(-1, d) for d in sizes}
+
+
+def _placed(data: DataFrame, pivots: dict[int, np.ndarray], longest: dict[int, float]) -> DataFrame:
+    """``dim, vec_id, v, pivot``: rows with the number of the nearest pivot."""
+    up = {d: lifted(p, longest[d]) for d, p in pivots.items()}
+    schema = pa.schema([("dim", pa.int32()), ("vec_id", pa.int64()), ("v", pa.list_(pa.int64())), ("pivot", pa.int64())])
+
+    def each(part: pa.RecordBatch) -> dict[str, list]:
+        dims = part.column("dim").to_numpy()
+        v, own = part.column("v"), np.zeros(part.num_rows, np.int64)
+        at, flat = v.offsets.to_numpy(), v.values.to_numpy(zero_copy_only=False).astype(np.float64)
+        for d in np.unique(dims).tolist():
+            rows = np.flatnonzero(dims == d)
+            if d not in up or len(up[d]) < 2:
+                continue
+            x = lifted(flat[at[rows][:, None] + np.arange(d)], longest[d])
+            own[rows] = ((up[d] ** 2).sum(axis=1) - 2 * x @ up[d].T).argmin(axis=1)
+        return {"dim": part.column("dim"), "vec_id": part.column("vec_id"), "v": v, "pivot": own}
+
+    return data.select("dim", "vec_id", "v").mapInArrow(arrow_rows(each, schema, 4096, raw=True), "dim int, vec_id long, v array<long>, pivot long")
+
+
+def _pages(placed: DataFrame, longest: dict[int, float]) -> DataFrame:
+    """The pages of all blocks; a block is (dim, pivot, share of the pivot's rows) in one number."""
+    rows = placed.repartition("block").sortWithinPartitions("block").select("block", "vec_id", "v")
 
     def to_pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[int, list[int]]] = []
@@ -162,8 +207,7 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_i
         def finish() -> Iterator[pa.RecordBatch]:
             if held:
                 v = np.array([x for _, x in held], np.float64)
-                pages = build(np.array([i for i, _ in held], np.int64), v, longest[v.shape[1]])
-                for p in pages:
+                for p in build(np.array([i for i, _ in held], np.int64), v, longest[v.shape[1]]):
                     yield pa.RecordBatch.from_pylist([p | {"block": now}], schema=_NODE_SCHEMA)
 
         for batch in batches:
@@ -173,18 +217,51 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_i
                     now, held = b, []
                 held.append((i, v))
         yield from finish()
+        release()
 
-    pages = scratch.keep(dealt.mapInArrow(to_pages, _NODE), "pages")
-    asked = _vectors(queries, id_col, vector_col).groupBy("vec_id").agg(F.min_by(F.struct("dim", "v"), "v").alias("x")).select("vec_id", "x.dim", "x.v")
-    n_asked = asked.groupBy("dim").agg(F.ceil(F.count("*") / CHUNK_ROWS).alias("chunks"))
-    chunked = asked.join(F.broadcast(n_asked), "dim").withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks")))
-    chunked = chunked.groupBy("dim", "chunk").agg(F.collect_list(F.struct("vec_id", "v")).alias("asked"))  # CHUNK_ROWS queries or so in each
-    chunked = scratch.keep(chunked.withColumn("part", F.floor(F.col("chunk") / CHUNKS_PER_TASK).cast("long")), "chunks")
-    parts = chunked.groupBy("dim").agg(F.max("part").alias("last"))  # a row for each length of vectors
-    nodes = pages.withColumn("dim", F.floor(F.col("block") / F.lit(2**36)).cast("int")).join(F.broadcast(parts), "dim").withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("last"))))
-    nodes = nodes.select("block", "part", F.lit(0).alias("kind"), F.struct("node", "parent", "leaf", "route", "radius", "to_parent", "ids", "vectors", "spread").alias("page"), F.lit(None).cast("array<struct<vec_id:bigint,v:array<bigint>>>").alias("asked"))
-    to_blocks = chunked.join(F.broadcast(sizes.select("dim", "blocks")), "dim").withColumn("b", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    to_blocks = to_blocks.select((F.col("dim") * F.lit(2**36).cast("long") + F.col("b")).alias("block"), "part", F.lit(1).alias("kind"), F.lit(None).cast(nodes.schema["page"].dataType).alias("page"), "asked")
+    return rows.mapInArrow(to_pages, _NODE)
+
+
+def _chunked(asked: DataFrame, by: str, scratch: Scratch, name: str) -> DataFrame:
+    """``by, part, asked``: queries in lists of about CHUNK_ROWS, some lists to a part."""
+    sizes = asked.groupBy(by).agg(F.ceil(F.count("*") / CHUNK_ROWS).alias("chunks"))
+    each = asked.join(sizes, by).withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks")))
+    lists = each.groupBy(by, "chunk").agg(F.collect_list(F.struct("vec_id", "v", "bound")).cast(_ASKED).alias("asked"))
+    return scratch.keep(lists.select(by, F.floor(F.col("chunk") / CHUNKS_PER_TASK).cast("long").alias("part"), "asked"), name)
+
+
+def _routed(lists: DataFrame, roots: DataFrame, longest: dict[int, float]) -> DataFrame:
+    """``block, part, asked``: for every block the queries that its ball can serve, their own blocks left out."""
+    some = roots.select(F.floor(F.col("block") / _DIM).cast("int").alias("dim"), F.struct("block", "route", "radius").alias("root"))
+    n = some.groupBy("dim").agg(F.ceil(F.count("*") / ROOT_ROWS).alias("groups"))
+    grouped = some.join(n, "dim").withColumn("group", F.pmod(F.xxhash64("root.block"), F.col("groups"))).groupBy("dim", "group").agg(F.collect_list("root").alias("roots"))
+    parts = lists.select("dim", "part").distinct()
+    both = grouped.join(parts, "dim").join(lists.join(n, "dim").withColumn("group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups") - 1))).drop("groups"), ["dim", "part", "group"])
+    schema = pa.schema([("block", pa.int64()), ("part", pa.int64()), ("asked", pa.list_(pa.struct([("vec_id", pa.int64()), ("v", pa.list_(pa.int64())), ("bound", pa.int64())])))])
+
+    def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in range(batch.num_rows):
+                dim, part, roots, asked = (batch.column(c)[row].as_py() for c in ("dim", "part", "roots", "asked"))
+                q = np.array([a["v"] for a in asked], np.float64)
+                r = np.array([np.frombuffer(x["route"]) for x in roots])
+                radius, norm = np.array([x["radius"] for x in roots]), (q * q).sum(axis=1)
+                far = np.sqrt(np.maximum(0.0, norm[:, None] + (r * r).sum(axis=1)[None, :] - 2 * q @ r[:, :-1].T))
+                reach = np.array([np.inf if a["bound"] is None else reached(n, longest[dim], a["bound"]) for a, n in zip(asked, norm.tolist(), strict=True)])
+                wanted = far - radius[None, :] <= reach[:, None] + 1e-6
+                for k, root in enumerate(roots):
+                    own = [a for a, w in zip(asked, wanted[:, k].tolist(), strict=True) if w and a["own"] != root["block"]]
+                    if own:
+                        yield pa.RecordBatch.from_pylist([{"block": root["block"], "part": part, "asked": [{x: a[x] for x in ("vec_id", "v", "bound")} for a in own]}], schema=schema)
+
+    return both.repartition("dim", "part", "group").mapInArrow(route, f"block long, part long, asked {_ASKED}")
+
+
+def _searched(pages: DataFrame, asked: DataFrame, longest: dict[int, float], k: int) -> DataFrame:
+    """``query_id, vec_id, score`` of every query's best in every block it goes to; a row without ``vec_id`` has the distances computed."""
+    parts = asked.select("block", "part").distinct()
+    nodes = pages.join(parts, "block").select("block", "part", F.lit(0).alias("kind"), F.struct("node", "parent", "leaf", "route", "radius", "to_parent", "ids", "vectors", "spread").alias("page"), F.lit(None).cast(_ASKED).alias("asked"))
+    to_blocks = asked.select("block", "part", F.lit(1).alias("kind"), F.lit(None).cast(nodes.schema["page"].dataType).alias("page"), "asked")
     tasks = nodes.unionByName(to_blocks).repartition("block", "part").sortWithinPartitions("block", "part", "kind")
     result = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
 
@@ -199,13 +276,56 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_i
                     held.append(page)
                     continue
                 if tree is None and held:
-                    dim = b >> 36
+                    dim = b // _DIM
                     tree, held = Tree(held, dim, longest[dim]), []
                 if tree is None:
                     continue
-                found = [(x["vec_id"], *tree.search(x["vec_id"], np.array(x["v"], np.float64), k)) for x in queries]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.array([q for q, _, _ in found], np.int64), [len(i) for _, i, _ in found])), pa.array(np.concatenate([i for _, i, _ in found])), pa.array(np.concatenate([s for _, _, s in found]).astype(np.int64))], schema=result)
+                found = [(x["vec_id"], *tree.search(x["vec_id"], np.array(x["v"], np.float64), k, x["bound"])) for x in queries]
+                ids = np.concatenate([np.repeat(q, len(i)) for q, i, _, _ in found] + [[q for q, *_ in found]]).astype(np.int64)
+                vec = pa.array(np.concatenate([i for _, i, _, _ in found])), pa.nulls(len(found), pa.int64())
+                score = np.concatenate([s for _, _, s, _ in found] + [[c for *_, c in found]]).astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.concat_arrays([x.cast(pa.int64()) for x in vec]), pa.array(score)], schema=result)
+        release()
+
+    return tasks.mapInArrow(search, "query_id long, vec_id long, score long")
+
+
+def _answers(rows: DataFrame, queries: DataFrame, k: int, id_col: str, vector_col: str) -> tuple[DataFrame, Scratch]:
+    spark = rows.sparkSession
+    scratch = Scratch(spark, "metric-trees")
+    data = scratch.keep(_vectors(rows, id_col, vector_col), "vectors")
+    square = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
+    sizes = data.groupBy("dim").agg(F.count("*").alias("n"), F.max(square).alias("longest")).collect()  # a row for each length of vectors
+    longest = {r.dim: r.longest for r in sizes}
+    pivots = _pivots(data, {r.dim: r.n for r in sizes}) if sizes else {}
+    placed = scratch.keep(_placed(data, pivots, longest), "placed")
+    shares = placed.groupBy("dim", "pivot").agg(F.ceil(F.count("*") / BLOCK_ROWS).alias("shares"))  # MAX_PIVOTS rows for each length
+    block = F.col("dim").cast("long") * _DIM + F.col("pivot") * _PIVOT
+    dealt = placed.withColumn("_row", F.monotonically_increasing_id()).join(F.broadcast(shares), ["dim", "pivot"]).withColumn("block", block + F.pmod(F.xxhash64("_row"), F.col("shares")))
+    pages = scratch.keep(_pages(dealt, longest), "pages")
+    asked = _vectors(queries, id_col, vector_col).groupBy("vec_id").agg(F.min_by(F.struct("dim", "v"), "v").alias("x")).select("vec_id", "x.dim", "x.v")
+    asked = _placed(asked.where(F.col("dim").isin(list(longest))), pivots, longest).withColumn("block", block).withColumn("bound", F.lit(None).cast("long"))
+    asked = scratch.keep(asked, "asked")
+    first = scratch.keep(_searched(pages, _chunked(asked, "block", scratch, "own-lists"), longest, k), "own-results")
+    bounds = first.where("vec_id is not null").groupBy("query_id").agg(F.sort_array(F.collect_list("score"), False).alias("s")).where(F.size("s") >= k).select(F.col("query_id").alias("vec_id"), F.element_at("s", k).alias("bound"))  # k scores of a query
+    bounded = asked.drop("bound").join(bounds, "vec_id", "left").withColumnRenamed("block", "own")
+    n = bounded.groupBy("dim").agg(F.ceil(F.count("*") / CHUNK_ROWS).alias("chunks"))
+    lists = bounded.join(n, "dim").withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks"))).groupBy("dim", "chunk").agg(F.collect_list(F.struct("vec_id", "v", "bound", "own")).alias("asked"))
+    lists = scratch.keep(lists.select("dim", F.floor(F.col("chunk") / CHUNKS_PER_TASK).cast("long").alias("part"), "asked"), "lists")
+    routed = scratch.keep(_routed(lists, pages.where("node = 0").select("block", "route", "radius"), longest), "routed")
+    rest = scratch.keep(_searched(pages, routed, longest, k), "results")
+    return first.unionByName(rest), scratch
 
-    each = tasks.mapInArrow(search, "query_id long, vec_id long, score long")
+
+def top_k(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
+    """``query_id, rank, vec_id, score``: the k rows of the highest product for every query."""
+    found, scratch = _answers(rows, queries, k, id_col, vector_col)
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return each.withColumn("rank", F.row_number().over(best)).where(f"rank <= {k}").select("query_id", "rank", "vec_id", "score")
+    ranked = found.where("vec_id is not null").withColumn("rank", F.row_number().over(best)).where(f"rank <= {k}")
+    return scratch.last(ranked.select("query_id", "rank", "vec_id", "score"), "best")
+
+
+def work(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
+    """``query_id, computed, blocks``: distances that the search computes for every query, and blocks it goes to."""
+    found, scratch = _answers(rows, queries, k, id_col, vector_col)
+    return scratch.last(found.where("vec_id is null").groupBy("query_id").agg(F.sum("score").alias("computed"), F.count("*").alias("blocks")), "work")

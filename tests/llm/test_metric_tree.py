@@ -30,7 +30,11 @@ def test_tree_equals_scan():
     tree = metric_tree.Tree(metric_tree.build(ids, v, longest), 8, longest)
     assert sum(len(i) for i in tree.ids) == len(v) and max(len(i) for i in tree.ids) <= metric_tree.PAGE_ROWS
     for n in range(0, len(v), 40):
-        got = [(int(i), int(s)) for i, s in zip(*tree.search(int(ids[n]), v[n], 20))]
+        found, score, computed = tree.search(int(ids[n]), v[n], 20)
+        got = [(int(i), int(s)) for i, s in zip(found, score)]
+        assert computed <= len(v) + len(tree.pages)
+        again = tree.search(int(ids[n]), v[n], 20, float(score[-1]))
+        assert again[0].tolist() == found.tolist() and again[2] <= computed
         assert got == brute(list(zip(ids.tolist(), v)), {int(ids[n]): v[n]}, 20)[int(ids[n])]
 
 
@@ -60,3 +64,20 @@ def test_odd_vectors(spark):
     assert got == {q: v for q, v in brute(good, queries, 5).items() if v}
     assert metric_tree.top_k(df.limit(0), df, 5).count() == 0
     assert metric_tree.top_k(df, df.limit(0), 5).count() == 0
+
+
+def test_blocks_and_bounds_leave_work_out(spark, monkeypatch):
+    """Clustered vectors: a query's own block bounds the rest; the rows are those of a scan. Copies fill a block of their own."""
+    monkeypatch.setattr(metric_tree, "BLOCK_ROWS", 300)
+    rng = np.random.default_rng(7)
+    centres = rng.normal(0, 4, (8, 12))
+    rows = [(i, (centres[i % 8] + rng.normal(0, 0.2, 12)).tolist()) for i in range(2400)] + [(5000 + i, centres[0].tolist()) for i in range(700)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    queries = df.where("vec_id % 100 = 0")
+    got = {}
+    for r in metric_tree.top_k(df, queries, 5).orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    scaled = [(i, [math.floor(64 * x) for x in v]) for i, v in rows]
+    assert got == brute(scaled, {i: v for i, v in scaled if i % 100 == 0}, 5)
+    done = metric_tree.work(df, queries, 5).collect()
+    assert len(done) == len(got) and sum(r.computed for r in done) < 0.5 * len(done) * len(rows)

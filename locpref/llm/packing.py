@@ -3,7 +3,8 @@
 A document of n tokens is cut by the binary digits of n: as many pieces of the
 longest length as fit, then one piece for each lower power of two in the rest, the
 longest first. Equal lengths form a bucket; each piece is a sequence of its own, so
-no sequence crosses documents and none needs padding.
+no sequence crosses documents and none needs padding. ``write_buckets`` lays the pieces
+out by bucket, and ``read_bucket`` reads one length without touching the others.
 
 Defined cases: a null text counts as empty and still gets its end token; repeated
 rows are packed each on its own; other columns are ignored. ``sequence_id`` is the
@@ -18,7 +19,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import release, slices
@@ -62,3 +63,18 @@ def pack(docs: DataFrame, json_path: str, ranks_path: str, pattern: str, longest
         release()
 
     return src.mapInArrow(run, PIECES)
+
+
+def write_buckets(pieces: DataFrame, path: str) -> None:
+    """The pieces by length, a folder for each bucket; a task adds its own file to every bucket, so no length is dealt to one task."""
+    pieces.withColumn("bucket", F.col("length")).write.mode("overwrite").partitionBy("bucket").parquet(path)
+
+
+def read_bucket(spark: SparkSession, path: str, length: int) -> DataFrame:
+    """Pieces of one length: batches of them stack without padding."""
+    return spark.read.parquet(path).where(F.col("bucket") == length).drop("bucket")
+
+
+def bucket_sizes(pieces: DataFrame) -> DataFrame:
+    """``length, sequences, tokens`` of every bucket."""
+    return pieces.groupBy("length").agg(F.count("*").alias("sequences"), F.sum("length").alias("tokens"))

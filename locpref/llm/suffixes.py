@@ -44,7 +44,7 @@ from .minhash import mix
 
 LENGTH, GRAM = 50, 10
 #: Classes of a gram that one task sorts; a gram with more is dealt out by content.
-SORTED_CLASSES = 20_000
+SORTED_CLASSES = 2_000
 _BASE = 0x9E3779B97F4A7C15 | 1
 _BACK = pow(_BASE, -1, 2**64)
 WORD = re.compile(r"[^\x20\x09-\x0D]+")

@@ -142,3 +142,14 @@ def test_every_code_point_is_cut_as_the_library_does():
     texts = [t for c in every if not 0xD800 <= c < 0xE000 for t in (chr(c), f"{chr(c)}a 1{chr(c)}  {chr(c)}")]
     for t, ids in zip(texts, ours.encode_all(texts)):
         assert np.frombuffer(ids, "<u4").tolist() == theirs.encode_ordinary(t)
+
+
+def test_buckets_hold_equal_lengths(spark, odd, tmp_path):
+    pieces = packing.pack(odd, *tokenizer_paths()).cache()
+    packing.write_buckets(pieces, f"{tmp_path}/b")
+    sizes = {r.length: (r.sequences, r.tokens) for r in packing.bucket_sizes(pieces).collect()}
+    assert all(n & (n - 1) == 0 for n in sizes) and sum(t for _, t in sizes.values()) == sum(r.length for r in pieces.collect())
+    for n, (count, tokens) in sizes.items():
+        rows = packing.read_bucket(spark, f"{tmp_path}/b", n).collect()
+        assert len(rows) == count and {len(r.tokens) for r in rows} == {4 * n} and tokens == n * count
+    assert packing.bucket_sizes(pieces.limit(0)).count() == 0

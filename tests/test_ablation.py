@@ -8,8 +8,9 @@ KINDS = ("bits", "grads", "both", "none", "central")
 
 def test_ablation_measures_all_variants(spark, small, monkeypatch):
     whole = experiment.sweep
+    monkeypatch.setattr(queries, "_AVERAGES", {})
     monkeypatch.setattr(experiment, "sweep", lambda v, grid, **how: whole(v, grid, **(how | {"runs": 10, "rounds": 1})))
-    rows = {r.method: r for r in queries.ablation(spark, small).collect()}
+    rows = {r.method: r for r in queries.queries()["ablation"](spark, small).collect()}
     assert rows.keys() == set(KINDS)
     for r in rows.values():
         assert r.n == 10 and all(0 <= r[f"{m}_mean"] <= 1 for m in ("fpr", "recall", "reconstruction"))

@@ -16,7 +16,11 @@ def con():
     return connect(DIR)
 
 
-@pytest.mark.parametrize("name", sorted(SQL))
+#: Experiments of many fits: their SQL is compared once with fewer repetitions and settings (``test_sweeps_equal_sql``).
+SWEPT = {*queries.SWEEPS, "choose_parameters", "gap_pivot", "utility_slope"}
+
+
+@pytest.mark.parametrize("name", sorted(SQL.keys() - SWEPT))
 def test_equals_sql(name, spark, con):
     df = queries.queries()[name](spark, DIR)
     out = con.sql(SQL[name])
@@ -26,3 +30,15 @@ def test_equals_sql(name, spark, con):
 
 def test_every_sql_has_a_query():
     assert SQL.keys() <= queries.queries().keys()
+
+
+@pytest.mark.parametrize("name", sorted(SWEPT))
+def test_sweeps_equal_sql(name, spark, con, monkeypatch):
+    """The registered sweeps with one repetition, three folds, two settings and two rounds."""
+    small = {n: (carrier, grid[:: max(1, len(grid) - 1)], how) for n, (carrier, grid, how) in queries.SWEEPS.items()}
+    for module in (queries, oracles):
+        for key, value in (("SWEEPS", small), ("FOLDS", 3), ("REPEATS", 1), ("REPEATS_LARGE", 1), ("SWEEP_ROUNDS", 2)):
+            monkeypatch.setattr(module, key, value)
+    monkeypatch.setattr(queries, "_AVERAGES", {})
+    df = queries.queries()[name](spark, DIR)
+    assert differences(df, oracles.oracle_sql()[name], con) is None

@@ -202,6 +202,91 @@ def test_secure_noise_differs_and_has_the_scale(spark):
     assert abs(s - 2.0) < 0.1
 
 
+def test_secure_mode_leaves_nothing_to_the_seed(spark, small):
+    """Bits, samples and noise of two runs with one seed differ; permanent bits are drawn once and kept."""
+    t, X, Z = queries.start(spark, small)
+    for kind in ({}, {"report_sample": 5}, {"bit_mode": "permanent"}):
+        cfg = replace(queries.PRIVATE, noise="secure", **kind)
+        sent = [private.client_reports(X, t, Z, cfg, 1, 0.9, 1.0).select("user_id", "item_id", "ybit", "g0", "g1").collect() for _ in range(2)]
+        bits = [{(r.user_id, r.item_id): r.ybit for r in x} for x in sent]
+        assert bits[0] != bits[1]
+        assert ("report_sample" not in kind) or bits[0].keys() != bits[1].keys()
+        assert not {r.g0 for r in sent[0]} & {r.g0 for r in sent[1]}
+        assert len({r.g0 - r.g1 for r in sent[0]}) > 1  # a draw for each coordinate
+    seen = []
+    kept = private.client_reports
+    for kind in ({"bit_mode": "permanent"}, {"bit_mode": "permanent", "report_sample": 5}):
+        cfg = replace(queries.PRIVATE, noise="secure", rounds=2, **kind)
+        try:
+            private.client_reports = lambda *a, **k: seen.append(sorted(map(tuple, a[7].collect()))) or kept(*a, **k)
+            private.fit_private(t, cfg)
+        finally:
+            private.client_reports = kept
+    assert seen[0] == seen[1] and seen[2] == seen[3] and seen[0] != seen[2]
+    one = [sorted(map(tuple, private.fit_private(t, replace(cfg, user_side="server", rounds=1)).X.collect())) for _ in range(2)]
+    assert one[0] != one[1]
+
+
+def test_a_sample_has_exactly_its_size(spark, small):
+    t, X, Z = queries.start(spark, small)
+    m = Z.count()
+    for s, rounds in ((1, (1, 2)), (7, (1, 2, 3)), (m + 5, (1,))):
+        cfg = replace(queries.PRIVATE, report_sample=s, policy="per_user", rounds=len(rounds))
+        chosen = []
+        for r in rounds:
+            cells = private.sampled_cells(X, Z.select("item_id"), cfg, r)
+            counts = {x.user_id: (x.n, x.d) for x in cells.groupBy("user_id").agg(F.count("*").alias("n"), F.countDistinct("item_id").alias("d")).collect()}
+            assert set(counts.values()) == {(min(s, m), min(s, m))} and len(counts) == X.count()
+            chosen.append(frozenset(map(tuple, cells.collect())))
+        assert len(set(chosen)) == len(rounds)
+        assert cfg.budget(m).items == min(s, m)
+    perm = replace(queries.PRIVATE, report_sample=4, bit_mode="permanent")
+    assert sorted(private.sampled_cells(X, Z.select("item_id"), perm, 1).collect()) == sorted(private.sampled_cells(X, Z.select("item_id"), perm, 2).collect())
+    wide = spark.range(4000).select(F.col("id").alias("user_id"))
+    by_item = private.sampled_cells(wide, Z.select("item_id"), replace(queries.PRIVATE, report_sample=5), 1).groupBy("item_id").count().collect()
+    assert len(by_item) == m and all(abs(r["count"] - 4000 * 5 / m) < 6 * math.sqrt(4000 * 5 / m) for r in by_item)
+
+
+def test_three_releases_share_the_budget(spark):
+    users = spark.range(2).withColumnRenamed("id", "user_id")
+    for policy in ("per_item", "per_user"):
+        for permanent in (False, True):
+            b = pv.Budget(policy, 1.0, 0.3, 6, 4, permanent, 0.25)
+            rows = pv.ledger(users, b)
+            assert rows.agg(F.max("eps_total")).first()[0] == pytest.approx(1.0)
+            assert {r.mechanism for r in rows.collect()} == {"bit", "gradient", "user_gradient"}
+    server = private.PrivateConfig(d=2, rounds=3, eps=2.0, user_side="server", policy="per_user")
+    bit, grad = server.budget(10).per_round()
+    assert 3 * (10 * (bit + grad) + server.budget(10).user_gradient()) == pytest.approx(2.0)
+    assert server.user_scale(10) == pytest.approx(2 * server.clip / server.budget(10).user_gradient())
+    assert private.PrivateConfig(user_side="client").budget(10).user_share == 0.0
+
+
+def test_rounds_by_user_meet_without_a_shuffle(spark, small):
+    from locpref.sources.rounds import Rounds
+
+    t = queries.triples(spark, small)
+    scratch = Rounds(spark, "layout")
+    data = scratch.keep(t, "triples", ["user_id"])
+    X = scratch.keep(factorization.init_factors(t.select("user_id").distinct(), "user_id", "x", 2), "x", ["user_id"])
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = data.join(X, "user_id").groupBy("user_id").agg(F.sum("x0"))._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
+    scratch.drop("triples", "x")
+
+
+def test_unknown_cells_in_blocks(spark, monkeypatch):
+    monkeypatch.setattr(preferences, "ITEM_BLOCK", 7)
+    t = spark.range(200).selectExpr("id % 10 AS user_id", "id * 7 % 40 AS item_id")
+    got = {tuple(r) for r in preferences.unknown_cells(t.select("user_id"), t, t, "item_id").collect()}
+    known = {tuple(r) for r in t.collect()}
+    assert got == {(u, i) for u in range(10) for i in {k for _, k in known}} - known
+
+
 def test_gaussian_draws(spark):
     r = spark.range(20_000).select(gaussian(1, "g", F.col("id")).alias("x")).agg(F.avg("x"), F.stddev("x")).first()
     assert abs(r[0]) < 0.03 and abs(r[1] - 1) < 0.03

@@ -7,16 +7,17 @@ from locpref.operators import baselines
 from locpref.plans import experiment, queries
 from locpref.sources.tables import event_visits
 
-NAMES = ("sweep_width", "sweep_eps", "sweep_unknown", "sweep_location", "compare_methods")
-
 
 def test_registered_sweeps_take_whole_repetitions(spark, small, monkeypatch):
     seen = []
-    monkeypatch.setattr(experiment, "sweep", lambda v, grid, folds=10, runs=1, **how: seen.append((folds, runs)))
+    monkeypatch.setattr(queries, "_AVERAGES", {})
+    monkeypatch.setattr(experiment, "sweep", lambda v, grid, folds=10, runs=1, **how: seen.append((len(grid), folds, runs)) or v.limit(0).selectExpr("1 AS a_mean"))
     monkeypatch.setattr(experiment, "averaged", lambda rows: rows, raising=False)
-    for name in NAMES:
+    for name in queries.SWEEPS:
         queries.queries()[name](spark, small)
-    assert seen == [(10, 1000)] * len(NAMES)
+    large = {"sweep_width_months", "sweep_unknown_lineitem", "sweep_location"}
+    assert seen == [(len(grid), 10, 10 * (queries.REPEATS_LARGE if name in large else queries.REPEATS)) for name, (_, grid, _) in queries.SWEEPS.items()]
+    assert queries.REPEATS >= 10 and queries.REPEATS_LARGE >= 1
 
 
 def test_ten_folds_hold_out_every_user_and_are_averaged(spark, small):

@@ -55,11 +55,6 @@ def allowed_errors(length: int) -> int:
     return 0 if length < 5 else 1 if length < 8 else 2
 
 
-def reachable_errors(length: int) -> int:
-    """The most errors by which a word of this length can be some term."""
-    return max(allowed_errors(n) for n in range(max(0, length - 2), length + 3) if abs(n - length) <= allowed_errors(n))
-
-
 def letters_of(word: str) -> int:
     """The set of a word's characters as bits, some of which share one."""
     out = 0
@@ -72,18 +67,25 @@ class Trie:
     def __init__(self, terms: list[str]):
         self.child: list[dict[str, int]] = [{}]
         self.term: list[int] = [-1]
+        self.paths: list[list[int]] = []
         for i, t in enumerate(terms):
-            at = 0
+            at, path = 0, []
             for c in t:
                 if c not in self.child[at]:
                     self.child[at][c] = len(self.child)
                     self.child.append({})
                     self.term.append(-1)
                 at = self.child[at][c]
+                path.append(at)
             self.term[at] = i
+            self.paths.append(path)
+
+    def near(self, word: str, errors: int, bounds: list[int] | None = None, among: list[int] | None = None) -> tuple[int, int]:
+        """Term with the least edit distance to the word, at most ``errors`` and the term's own bound; (-1, 0) if there is none.
 
-    def near(self, word: str, errors: int, bounds: list[int] | None = None) -> tuple[int, int]:
-        """Term with the least edit distance to the word, at most ``errors`` and the term's own bound; (-1, 0) if there is none."""
+        With ``among``, only the branches of these terms are walked.
+        """
+        branches = None if among is None else {n for t in among for n in self.paths[t]}
         mask: dict[str, int] = {}
         for i, c in enumerate(word):
             mask[c] = mask.get(c, 0) | 1 << i
@@ -102,6 +104,8 @@ class Trie:
                         best, found = e, t
                         break
             for c, child in self.child[node].items():
+                if branches is not None and child not in branches:
+                    continue
                 hit = mask.get(c, 0)
                 row = (state[0] & hit) << 1
                 new, some = [row], row
@@ -131,9 +135,7 @@ class Lexicon:
         self.number = list(self.words.values())
         self.trie = Trie(list(self.words))
         self.bounds = [allowed_errors(len(t)) for t in self.words]
-        self.letters: dict[int, list[int]] = {}
-        for t in self.words:
-            self.letters.setdefault(len(t), []).append(letters_of(t))
+        self.near_lengths: dict[int, tuple[np.ndarray, ...]] = {}
 
     def __getstate__(self) -> tuple:
         return self.terms, self.weights, self.innocent
@@ -152,16 +154,20 @@ class Lexicon:
                 return found
         return None
 
-    def possible(self, word: str, errors: int) -> bool:
-        """Whether a term of about this length lacks no more of the word's letters than errors can explain."""
-        missing = ~letters_of(word)
-        for n in range(len(word) - errors, len(word) + errors + 1):
-            if abs(n - len(word)) > allowed_errors(n):
-                continue
-            for term in self.letters.get(n, ()):
-                if (term & missing).bit_count() <= errors:
-                    return True
-        return False
+    def reachable(self, length: int) -> tuple[np.ndarray, ...]:
+        """Terms that a word of this length can be: numbers, letters, how many of these the word may lack, how many of the word's they may."""
+        if length not in self.near_lengths:
+            rows = [(i, letters_of(t), b - max(0, length - len(t)), b - max(0, len(t) - length)) for i, (t, b) in enumerate(zip(self.words, self.bounds, strict=True)) if 0 < b >= abs(len(t) - length)]
+            self.near_lengths[length] = tuple(np.array([r[k] for r in rows], np.uint64 if k == 1 else np.int64) for k in range(4))
+        return self.near_lengths[length]
+
+    def possible(self, word: str) -> list[int]:
+        """The terms that the word's letters don't rule out."""
+        number, terms, lacks, extra = self.reachable(len(word))
+        if not len(terms):
+            return []
+        own = np.uint64(letters_of(word))
+        return number[(np.bitwise_count(terms & ~own) <= lacks) & (np.bitwise_count(own & ~terms) <= extra)].tolist()
 
     def match(self, chunk: str) -> tuple[int, int] | None:
         """Term and edit distance for a chunk between white space."""
@@ -188,9 +194,9 @@ class Lexicon:
             plain = "".join(c for c in plain if c.isalnum() or c == "*")
         if plain in self.words:
             return self.words[plain], 1
-        errors = reachable_errors(len(plain))
-        if errors and self.possible(plain, errors):
-            t, e = self.trie.near(plain, errors, self.bounds)
+        some = self.possible(plain)
+        if some:
+            t, e = self.trie.near(plain, max(self.bounds[i] for i in some), self.bounds, some)
             if t >= 0:
                 return self.number[t], e
         return None

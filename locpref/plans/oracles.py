@@ -318,6 +318,18 @@ def shares(rounds: int = 12, lam: float = 0.1) -> str:
     return f"WITH {T}, {PLANTED}, {known}, {fit} " + " UNION ALL ".join(out)
 
 
+def smoothed() -> str:
+    """Nations' scores drawn to their regions, and the measures."""
+    key = item("area", "(month(ts) - 1) // 12")
+    score = " + ".join(f"{gauss('planted_x', 'user_id', str(k))} * {gauss('planted_z', 'item_id', str(k))}" for k in range(3))
+    planted = f"SELECT user_id, area, item_id, truth, (CASE WHEN {u('flip', 'user_id', 'item_id')} < 0.05 THEN 1 - truth ELSE truth END)::DOUBLE AS rating, ({TEST} AND {u('mask', 'user_id', 'item_id')} < 0.3)::INT AS held FROM (SELECT *, (({score}) + 0.3 > 0)::INT AS truth FROM (SELECT DISTINCT user_id, area, {key} AS item_id FROM ({ORD})))"
+    near = "SELECT a.n_name AS loc, b.n_name AS near FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_name <> b.n_name"
+    own = "SELECT user_id, area AS loc, truth, held, CASE WHEN held = 0 THEN rating ELSE coalesce(avg(rating) FILTER (held = 0) OVER (PARTITION BY user_id), 0.5) END AS score FROM p"
+    others = "SELECT o.user_id, n.loc, avg(o.score) AS other FROM o JOIN n ON n.near = o.loc GROUP BY 1, 2"
+    shown = "SELECT alpha, truth, held, (round((1 - alpha) * score + alpha * coalesce(other, score), 9) > 0.5)::INT AS decision FROM o LEFT JOIN r USING (user_id, loc), (SELECT unnest([0.0, 0.3, 0.6]::DOUBLE[]) AS alpha)"
+    return f"WITH p AS MATERIALIZED ({planted}), n AS ({near}), o AS MATERIALIZED ({own}), r AS ({others}), s AS ({shown}) SELECT alpha, round(count(*) FILTER (truth = 0 AND decision = 1) / count(*) FILTER (truth = 0), 6) AS fpr, round(count(*) FILTER (truth = 1 AND decision = 1) / count(*) FILTER (truth = 1), 6) AS recall, round(count(*) FILTER (held = 1 AND truth = decision) / count(*) FILTER (held = 1), 6) AS reconstruction FROM s GROUP BY 1"
+
+
 def leaked(slots: int = 4, steps: int = 6, eps: float = 0.5) -> str:
     """Leakage by all subsets of columns for all pairs of rows of the transition matrix."""
     m = f"SELECT a.i, a.j, coalesce(p, 0) AS p FROM (SELECT i, j FROM (SELECT unnest(range({slots})) AS i), (SELECT unnest(range({slots})) AS j)) a LEFT JOIN (SELECT slot AS i, next_slot AS j, count(*) / sum(count(*)) OVER (PARTITION BY slot) AS p FROM (SELECT (hour(ts) // {24 // slots})::INT AS slot, lead((hour(ts) // {24 // slots})::INT) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS next_slot FROM events) WHERE next_slot IS NOT NULL GROUP BY 1, 2) b ON a.i = b.i AND a.j = b.j"
@@ -478,6 +490,7 @@ SELECT user_id, count(*) AS sessions, sum(n)::BIGINT AS events FROM w WHERE e <=
         "fit_central": f"WITH {T}, {one}, {fit_of('f_', 'one', 2, 2, mech, True)} SELECT item_id, {r('z0')}, {r('z1')} FROM f_z_2",
         "synthesized_noise": f"WITH {T}, i AS (SELECT item_id, count(*) AS c, (SELECT count(DISTINCT user_id) FROM t) AS n FROM t GROUP BY 1) SELECT item_id, {', '.join(f'round({gauss('synth', 'item_id', '1', str(k))} * (sqrt((n - c) * {pr / 2!r}::DOUBLE * (1 - {pr / 2!r}::DOUBLE) * 2.0) / (1 - {pr!r}::DOUBLE) * {scale!r}::DOUBLE), 6) AS s{k}' for k in range(2))} FROM i",
         "leakage": leaked(),
+        "neighbour_measures": smoothed(),
         "stream_sliding": f"SELECT strftime(st, '%Y-%m-%d %H:%M') AS start, count(*) AS n FROM ({slide}) JOIN events ON ts >= st AND ts < st + INTERVAL 6 HOURS WHERE st + INTERVAL 6 HOURS <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY 1",
         "stream_dedup": "SELECT event_type, count(*) AS n FROM events GROUP BY 1",
         "stream_totals": "SELECT event_type, count(*) AS n FROM events GROUP BY 1",

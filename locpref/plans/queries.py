@@ -12,7 +12,7 @@ from ..functions import granularity as g
 from ..functions import privacy as pv
 from ..functions.hashing import uniform
 from ..operators import baselines, dataset, extensions, factorization, metrics, predict, preferences, private, protocol
-from ..sources.rounds import shared_root
+from ..sources.rounds import Rounds, shared_root
 from ..sources.tables import event_visits, order_visits, survey_answers, table
 from ..streaming import checkins
 from . import experiment
@@ -555,6 +555,26 @@ def neighbour_smoothing(s, d):
     return extensions.neighbour_smooth(scores, near, 0.3).groupBy("loc").agg(F.round(F.avg("score"), 6).alias("score"), F.count("*").alias("n"))
 
 
+def neighbour_measures(s, d):
+    """What drawing a nation's score to its region does to the measures: known ratings, the user's mean elsewhere."""
+    cells = experiment.event_cells(order_visits(s, d), 12, hourly=False, place="area", unit="months")
+    marked = experiment.mask_unknown(cells, experiment.user_folds(cells).where("fold = 0"), 0.3)
+    own = marked.where("held = 0").groupBy("user_id").agg(F.avg("rating").alias("mean"))
+    score = F.when(F.col("held") == 0, F.col("rating")).otherwise(F.coalesce("mean", F.lit(0.5)))
+    scored = marked.join(own, "user_id", "left").select("user_id", F.substring_index("item_id", "@", 1).alias("loc"), "truth", "held", score.alias("score"))
+    scored = Rounds(s, "neighbours").keep(scored, "cells")
+    n = table(s, d, "nation")
+    near = F.broadcast(n.join(n.select(F.col("n_name").alias("near"), "n_regionkey"), "n_regionkey").where("n_name <> near").select(F.col("n_name").alias("loc"), "near"))  # 25 nations
+    out = None
+    for alpha in (0.0, 0.3, 0.6):
+        shown = extensions.neighbour_smooth(scored, near, alpha).withColumn("decision", (F.round("score", 9) > 0.5).cast("int"))
+        whole = metrics.rates(metrics.confusion(shown), "fpr", "recall").select("fpr", "recall")
+        held = metrics.rates(metrics.confusion(shown.where("held = 1")), "reconstruction").select("reconstruction")
+        row = whole.crossJoin(held).select(F.lit(alpha).alias("alpha"), "*").withColumns(r6("fpr", "recall", "reconstruction"))  # a row each
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def slot_transitions(s, d):
     return extensions.transitions(event_visits(s, d), WIDTH).withColumns(r6("p"))
 
@@ -819,7 +839,7 @@ def queries() -> dict[str, Query]:
     out |= {f"majority_{b}": majority(b) for b in ("global", "item", "user", "bias")}
     out |= {"constant_hide": constant(0), "constant_publish": constant(1)}
     out |= {name: swept(name) for name in SWEEPS}
-    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, budget_ledger_server, ledger_totals, private_round, sampled_reports, aggregated_by_levels, observed_traffic, factor_norms, privacy_audit, fold_in, fold_in_descent, stream_sliding, stream_dedup, stream_matched, stream_refit, stream_totals, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, slot_transitions, leakage, choose_parameters, gap_pivot, utility_slope, stream_slot_counts, stream_gate, stream_sessions, masked_exact, estimator_errors, survey_of_users, compare_models, silent_customers, folds_and_rest, measures_long, grouped_sets, lateral_top, mean_vector_udaf, time_ladder, observed_loss, fold_in_shares, budgeted_stream)
+    named = (calendar_slots, month_slots, location_ladder, prefs_supported, matrix_stats_events, matrix_stats_lineitem, degree_quantiles, survey_rates, archetypes_cosine, user_folds, user_folds_exact, init_factors, score_cells, loss_initial, loss_dense, user_gradient, item_gradient, fit_trace, mean_threshold_grid, unknown_cells, recommend, top_k, flip_probability_grid, visit_estimates, bits_by_user, laplace_noise, client_reports, synthesized_noise, protocol_round, budget_ledger, budget_ledger_server, ledger_totals, private_round, sampled_reports, aggregated_by_levels, observed_traffic, factor_norms, privacy_audit, fold_in, fold_in_descent, stream_sliding, stream_dedup, stream_matched, stream_refit, stream_totals, als_baseline, coin, k_anonymous, coarsened, confusion, fpr_recall, reconstruction, rmse, metrics_cube, traffic, planted_triples, asof_preference, colocation_interval, visit_gaps, rolling_24h, range_bracket, host_places, role_slot_matrix, sensitive_bit_estimate, embedding_topk, embedding_class_means, neighbour_smoothing, neighbour_measures, slot_transitions, leakage, choose_parameters, gap_pivot, utility_slope, stream_slot_counts, stream_gate, stream_sessions, masked_exact, estimator_errors, survey_of_users, compare_models, silent_customers, folds_and_rest, measures_long, grouped_sets, lateral_top, mean_vector_udaf, time_ladder, observed_loss, fold_in_shares, budgeted_stream)
     return out | {f.__name__: f for f in named}
 
 

@@ -52,11 +52,12 @@ def budgeted_reports(events: DataFrame, eps_each: float, eps_total: float) -> Da
     """Each report spends ``eps_each`` of its user's ``eps_total``; what comes after is refused.
 
     The spent budget is state, so a restart from a checkpoint doesn't hand it out again.
+    Inside a batch, reports spend in order of their ids.
     """
 
     def spend(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         spent = state.get[0] if state.exists else 0.0
-        for rows in batches:
+        for rows in [pd.concat(list(batches)).sort_values("event_id")]:
             ok = []
             for _ in range(len(rows)):
                 ok.append(spent + eps_each <= eps_total + 1e-12)
@@ -67,6 +68,29 @@ def budgeted_reports(events: DataFrame, eps_each: float, eps_total: float) -> Da
     return events.select("user_id", "event_id").groupBy("user_id").applyInPandasWithState(spend, "user_id long, event_id long, accepted boolean", "spent double", "append", "NoTimeout")
 
 
+def permanent_bits(visits: DataFrame, p: float) -> DataFrame:
+    """``user_id, item, ybit``: a noisy bit for every visit of a stream (user_id, item).
+
+    The first visit to an item draws its bit from the system's entropy; every later one
+    repeats it, also after a restart, as the user's bits are state. With probability p a
+    fair coin replaces the true bit.
+    """
+
+    def recall(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        import json
+        import secrets
+
+        known = json.loads(state.get[0]) if state.exists else {}
+        for rows in batches:
+            for item in rows["item"]:
+                if item not in known:
+                    known[item] = secrets.randbits(1) if secrets.randbits(53) / 2**53 < p else 1
+            yield pd.DataFrame({"user_id": rows["user_id"], "item": rows["item"], "ybit": [known[i] for i in rows["item"]]})
+        state.update((json.dumps(known),))
+
+    return visits.select("user_id", "item").groupBy("user_id").applyInPandasWithState(recall, "user_id long, item string, ybit int", "bits string", "append", "NoTimeout")
+
+
 def late_metric(query: StreamingQuery) -> int:
     """Rows that state operators dropped as too late."""
     return sum(int(s.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for s in p["stateOperators"])

@@ -70,3 +70,22 @@ def test_late_rows_are_counted(spark, tmp_path):
     q = out.writeStream.format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/c").trigger(availableNow=True).start()
     q.awaitTermination()
     assert checkins.late_metric(q) == 1
+
+
+def test_permanent_bits_outlive_a_restart(spark, small, tmp_path):
+    e = table(spark, small, "events").orderBy("event_id")
+    half = e.count() // 2
+    e.where(F.col("event_id") < half).write.parquet(f"{tmp_path}/in")
+
+    def go():
+        visits = checkins.read_events(spark, f"{tmp_path}/in").withColumnRenamed("event_type", "item")
+        q = checkins.permanent_bits(visits, 0.5).writeStream.format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/c").trigger(availableNow=True).start()
+        q.awaitTermination()
+
+    go()
+    e.where(F.col("event_id") >= half).write.mode("append").parquet(f"{tmp_path}/in")
+    go()
+    got = spark.read.parquet(f"{tmp_path}/out")
+    assert got.count() == e.count()
+    assert got.groupBy("user_id", "item").agg(F.countDistinct("ybit").alias("n")).where("n > 1").isEmpty()
+    assert {r.ybit for r in got.select("ybit").distinct().collect()} == {0, 1}

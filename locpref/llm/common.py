@@ -82,6 +82,8 @@ def met(rows: DataFrame, found: DataFrame, keys: list[str], hot: Column) -> Data
 
     Rows of hot keys stay where they are: a broadcast meets them. The others are joined.
     """
+    if found.where(hot).isEmpty():
+        return rows.join(found, keys)
     few = F.broadcast(found.where(hot))  # MOST_HOT rows at most, each of a bounded size
     rest = rows.join(F.broadcast(found.where(hot).select(keys)), keys, "left_anti").join(found.where(~hot), keys)
     return rows.join(few, keys).unionByName(rest)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, hot_floor, met
 
 
 def _pull(edges: DataFrame, large: bool) -> DataFrame:
@@ -62,5 +62,5 @@ def forest_components(parents: DataFrame, scratch: Scratch, name: str = "forest"
         raise RuntimeError("the forest has a cycle")
     roots = now.select(F.col("u").alias("v"), "u").distinct()
     nodes = now.unionByName(roots)
-    least = nodes.groupBy("u").agg(F.min("v").alias("component"))
-    return nodes.join(least, "u").select(F.col("v").alias("node"), "component")
+    least = scratch.keep(nodes.groupBy("u").agg(F.min("v").alias("component"), F.count("*").alias("c")), f"{name}-least")
+    return met(nodes, least, ["u"], F.col("c") > hot_floor(now.count())).select(F.col("v").alias("node"), "component")

@@ -212,19 +212,25 @@ def _mixed(members: DataFrame, comp: DataFrame, floor: int, scratch: Scratch) ->
     return met(placed, scratch.keep(several, "several"), ["key"], F.col("c") > floor).drop("c")
 
 
-def _dealt(rows: DataFrame, floor: int, scratch: Scratch, name: str) -> DataFrame:
-    """Rows of groups (kind, g) with their own block and the number of blocks that they meet.
+def _blocks(rows: DataFrame, group: str) -> DataFrame:
+    """``group, c, major, k, l, moved``: a group's rows, its largest component, blocks outside and inside of that, and copies to move.
 
     The rows outside a group's largest component meet all blocks, the others only theirs.
     """
-    parts = rows.groupBy("kind", "g", "component").agg(F.count("*").alias("c"), F.max("n").alias("n"))
-    whole = parts.groupBy("kind", "g").agg(F.max(F.struct("c", "component")).alias("major"), F.sum("c").alias("c"), F.max("n").alias("n"))
+    parts = rows.groupBy(group, "component").agg(F.count("*").alias("c"), F.max("n").alias("n"))
+    whole = parts.groupBy(group).agg(F.max(F.struct("c", "component")).alias("major"), F.sum("c").alias("c"), F.max("n").alias("n"))
     block = F.greatest(F.lit(8), F.least(F.lit(BLOCK_ROWS), F.floor(BLOCK_SHINGLES / F.col("n"))))
-    whole = whole.select("kind", "g", "c", F.col("major.component").alias("major"), F.ceil((F.col("c") - F.col("major.c")) / block).cast("int").alias("k"), F.ceil(F.col("major.c") / block).cast("int").alias("l"))
+    minors = F.col("c") - F.col("major.c")
+    sized = whole.select(group, "c", "major", F.ceil(minors / block).cast("int").alias("k"), F.ceil(F.col("major.c") / block).cast("int").alias("l"))
+    return sized.select(group, "c", F.col("major.component").alias("major"), "k", "l", (minors * (F.col("k") + F.col("l")) + F.col("major.c") * F.col("k")).alias("moved"))
+
+
+def _dealt(rows: DataFrame, blocks: DataFrame, group: str, kind: int, floor: int) -> DataFrame:
+    """Rows of groups with their own block and the number of blocks that they meet."""
     minor = F.col("component") != F.col("major")
     own = F.when(minor, F.pmod(F.xxhash64("doc_id"), F.col("k"))).otherwise(F.col("k") + F.pmod(F.xxhash64("doc_id"), F.col("l"))).cast("int")
-    placed = met(rows, scratch.keep(whole, f"{name}-whole"), ["kind", "g"], F.col("c") > floor)
-    return placed.withColumn("own", own).select("doc_id", "component", "cluster", "kind", "g", "own", F.when(minor, F.col("k") + F.col("l")).otherwise(F.col("k")).alias("n_tasks"))
+    placed = met(rows, blocks, [group], F.col("c") > floor).withColumn("own", own)
+    return placed.select("doc_id", "component", F.lit(kind).alias("kind"), F.col(group).alias("g"), "own", F.when(minor, F.col("k") + F.col("l")).otherwise(F.col("k")).alias("n_tasks"))
 
 
 def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, percent: int) -> DataFrame:
@@ -237,16 +243,19 @@ def _rest_links(texts: DataFrame, mixed: DataFrame, scratch: Scratch, k: int, pe
     floor = hot_floor(mixed.count())
     cluster = components(mixed.select(F.col("component").alias("u"), F.col("least").alias("v")), scratch, "clusters").withColumnRenamed("component", "cluster")
     cluster = scratch.keep(cluster.withColumnRenamed("node", "component"), "cluster-of")
-    rows = mixed.groupBy("doc_id").agg(F.max("n").alias("n"), F.max("component").alias("component")).join(cluster, "component")
-    by_cluster = rows.select(F.lit(0).alias("kind"), F.col("cluster").alias("g"), "cluster", "doc_id", "n", "component")
-    sign = mixed.groupBy("key").agg(F.count("*").alias("c"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
-    once = scratch.keep(sign.groupBy("c", "x", "y").agg(F.min("key").alias("key")).select("key", "c"), "buckets")
-    buckets = met(mixed.select("key", "doc_id", "n", "component"), once, ["key"], F.col("c") > floor).join(cluster, "component")
-    by_bucket = buckets.select(F.lit(1).alias("kind"), F.col("key").alias("g"), "cluster", "doc_id", "n", "component")
-    dealt = scratch.keep(_dealt(by_cluster.unionByName(by_bucket), floor, scratch, "groups"), "groups")
-    cost = dealt.groupBy("cluster", "kind").agg(F.sum("n_tasks").alias("moved"), F.count("*").alias("c"))
-    cheap = cost.groupBy("cluster").agg(F.min_by(F.struct("kind", "c"), F.struct(F.col("moved") * F.when(F.col("kind") == 1, BUCKET_WEIGHT).otherwise(1.0), "kind")).alias("x")).select("cluster", "x.kind", "x.c")
-    placed = scratch.keep(met(dealt, scratch.keep(cheap, "ways"), ["cluster", "kind"], F.col("c") > floor).drop("c", "cluster"), "placed")
+    rows = scratch.keep(mixed.groupBy("doc_id").agg(F.max("n").alias("n"), F.max("component").alias("component")).join(cluster, "component"), "cluster-rows")
+    clusters = scratch.keep(_blocks(rows, "cluster"), "cluster-blocks")
+    # buckets by their sizes alone; rows are dealt by bucket only where that moves less
+    sign = mixed.groupBy("key").agg(F.min("least").alias("component"), F.count("*").alias("size"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
+    once = sign.groupBy("size", "x", "y").agg(F.min(F.struct("key", "component")).alias("b")).select("b.key", "b.component")
+    buckets = scratch.keep(_blocks(mixed, "key").join(once, "key").join(cluster, "component"), "buckets")
+    less = buckets.groupBy("cluster").agg((F.sum("moved") * BUCKET_WEIGHT).alias("by_bucket")).join(clusters.select("cluster", "moved"), "cluster").where("by_bucket < moved").select("cluster")
+    less = scratch.keep(less, "by-bucket")
+    placed = _dealt(rows.join(less, "cluster", "left_anti"), clusters, "cluster", 0, floor)
+    if not less.isEmpty():
+        few = scratch.keep(buckets.join(less, "cluster").drop("cluster", "component"), "some-buckets")
+        placed = placed.unionByName(_dealt(mixed.select("key", "doc_id", "n", "component"), few, "key", 1, floor))
+    placed = scratch.keep(placed, "placed")
     schema = pa.schema([("doc_id", pa.int64()), ("component", pa.int64()), ("kind", pa.int32()), ("g", pa.int64()), ("own", pa.int32()), ("n_tasks", pa.int32()), ("shingles", pa.binary())])
 
     def to_sets(cols: dict[str, list]) -> dict[str, list]:

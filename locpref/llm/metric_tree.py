@@ -10,15 +10,18 @@ the routing one. The blocks' roots are the tree's upper level.
 
 A query first searches the block where it would lie itself, which gives a bound for
 its k-th result. Then it goes to those other blocks alone whose ball can hold anything
-as near. Inside a block it takes pages best first, by the least distance a page's ball
-allows. What the stored distances and the triangle inequality rule out is not computed:
-child pages by |d(q, parent) - d(child, parent)| - radius, and entries of a leaf by the
-same without radius. The search ends when the nearest page left is farther than the k-th
-result. Scores are products of integers, so they are exact; bounds keep a margin for
-rounding. ``work`` counts the distances that a search computes.
-
-Roots meet queries in chunks of both, and nothing is collected but a row for each
-length of vectors and MAX_PIVOTS pivots. Results are merged by a window.
+as near. Many queries go through a block together: at each page those stay that its ball
+can serve, by |d(q, parent) - d(child, parent)| - radius before a distance is computed
+and by d(q, child) - radius after, nearest pages first. What is left at a leaf is one
+product of matrices. ``Tree.search`` is the same search for one query, best first. Scores
+are products of integers, so they are exact; bounds keep a margin for rounding. ``work``
+counts the distances that a search computes.
+
+A block is one row, a list of queries another. A task gets the queries of one part (near
+each other, PART_QUERIES or so) and takes up to GROUP_BLOCKS blocks or so one after the
+other, so blocks move once for each part, queries once for each group of blocks, and
+memory doesn't follow the input. Nothing is collected but a row for each length of
+vectors and MAX_PIVOTS pivots. Results are merged by a window.
 
 Defined cases: null vectors, empty ones, ones with null or non-finite components and
 null ids take no part; vectors meet those of their own length; a query's own id is no
@@ -28,27 +31,29 @@ id is answered once, for its least vector.
 
 from __future__ import annotations
 
+import contextlib
 import heapq
 import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import Scratch, arrow_rows, release
 
-BLOCK_ROWS, PAGE_ROWS, FANOUT = 4096, 64, 16
+BLOCK_ROWS, PAGE_ROWS, FANOUT = 4096, 128, 16
 #: Pivots for vectors of one length, at most; blocks of more rows are dealt over several.
 MAX_PIVOTS = 2048
-CHUNK_ROWS, CHUNKS_PER_TASK, ROOT_ROWS = 512, 8, 2048
+#: Queries in a list, in a part and in one product; roots that meet a part in a task.
+CHUNK_ROWS, PART_QUERIES, SLICE_QUERIES, ROOT_ROWS = 512, 16384, 2048, 2048
+#: Blocks that a task searches one after the other, at most; tasks wanted, and at most; blocks in an Arrow batch; results held besides 2 k a query.
+GROUP_BLOCKS, MIN_GROUPS, MAX_TASKS, BATCH_BLOCKS, MOST_FOUND = 16, 64, 2000, 4, 1_000_000
 #: A block's number: length of vectors, pivot, share.
 _DIM, _PIVOT = 2**40, 2**24
-_ASKED = "array<struct<vec_id:bigint,v:array<bigint>,bound:bigint>>"
-
-_NODE = "block long, node int, parent int, leaf boolean, route binary, radius double, to_parent double, ids binary, vectors binary, spread binary"
-_NODE_SCHEMA = pa.schema([("block", pa.int64()), ("node", pa.int32()), ("parent", pa.int32()), ("leaf", pa.bool_()), ("route", pa.binary()), ("radius", pa.float64()), ("to_parent", pa.float64()), ("ids", pa.binary()), ("vectors", pa.binary()), ("spread", pa.binary())])
+_BLOCK = "block long, route binary, radius double, nodes binary, routes binary, ids binary, vectors binary"
+_PAGE = np.dtype([("parent", "<i4"), ("start", "<i4"), ("size", "<i4"), ("radius", "<f8"), ("inner", "<f8"), ("to_parent", "<f8")])
 
 
 def scaled(col: str, factor: float = 64.0) -> Column:
@@ -176,118 +181,326 @@ def _pivots(data: DataFrame, sizes: dict[int, int]) -> dict[int, np.ndarray]:
     return {d: np.array([r.v for r in found if r.dim == d], np.float64).reshape(-1, d) for d in sizes}
 
 
+def narrow(longest: float) -> np.dtype:
+    """The smallest type that holds the components of all vectors of a length."""
+    most = math.sqrt(longest)
+    return np.dtype("<i1" if most < 127 else "<i2" if most < 32767 else "<i4" if most < 2**31 - 1 else "<f8")
+
+
+def exact(longest: float) -> type:
+    """Products are sums of whole numbers below ``longest``: singles hold them up to 2**24."""
+    return np.float32 if longest < 2**24 else np.float64
+
+
 def _placed(data: DataFrame, pivots: dict[int, np.ndarray], longest: dict[int, float]) -> DataFrame:
-    """``dim, vec_id, v, pivot``: rows with the number of the nearest pivot."""
+    """``dim, vec_id, v, pivot``: rows as bytes with the number of the nearest pivot."""
     up = {d: lifted(p, longest[d]) for d, p in pivots.items()}
-    schema = pa.schema([("dim", pa.int32()), ("vec_id", pa.int64()), ("v", pa.list_(pa.int64())), ("pivot", pa.int64())])
+    schema = pa.schema([("dim", pa.int32()), ("vec_id", pa.int64()), ("v", pa.binary()), ("pivot", pa.int64())])
 
     def each(part: pa.RecordBatch) -> dict[str, list]:
         dims = part.column("dim").to_numpy()
-        v, own = part.column("v"), np.zeros(part.num_rows, np.int64)
+        v, own, held = part.column("v"), np.zeros(part.num_rows, np.int64), np.empty(part.num_rows, object)
         at, flat = v.offsets.to_numpy(), v.values.to_numpy(zero_copy_only=False).astype(np.float64)
         for d in np.unique(dims).tolist():
-            rows = np.flatnonzero(dims == d)
-            if d not in up or len(up[d]) < 2:
-                continue
-            x = lifted(flat[at[rows][:, None] + np.arange(d)], longest[d])
-            own[rows] = ((up[d] ** 2).sum(axis=1) - 2 * x @ up[d].T).argmin(axis=1)
-        return {"dim": part.column("dim"), "vec_id": part.column("vec_id"), "v": v, "pivot": own}
-
-    return data.select("dim", "vec_id", "v").mapInArrow(arrow_rows(each, schema, 4096, raw=True), "dim int, vec_id long, v array<long>, pivot long")
-
-
-def _pages(placed: DataFrame, longest: dict[int, float]) -> DataFrame:
-    """The pages of all blocks; a block is (dim, pivot, share of the pivot's rows) in one number."""
+            rows, kind = np.flatnonzero(dims == d), narrow(longest[d])
+            x = flat[at[rows][:, None] + np.arange(d)]
+            raw, n = x.astype(kind).tobytes(), d * kind.itemsize
+            held[rows] = [raw[i : i + n] for i in range(0, len(raw), n)]
+            if len(up.get(d, ())) > 1:
+                own[rows] = ((up[d] ** 2).sum(axis=1) - 2 * lifted(x, longest[d]) @ up[d].T).argmin(axis=1)
+        return {"dim": part.column("dim"), "vec_id": part.column("vec_id"), "v": pa.array(held, pa.binary()), "pivot": own}
+
+    return data.select("dim", "vec_id", "v").mapInArrow(arrow_rows(each, schema, 4096, raw=True), "dim int, vec_id long, v binary, pivot long")
+
+
+def packed(ids: np.ndarray, v: np.ndarray, longest: float) -> dict[str, bytes | float]:
+    """A block as one row: its pages in order, and the entries of all leaves one after the other."""
+    pages = build(ids, v, longest)
+    nodes, at = np.zeros(len(pages), _PAGE), 0
+    for k, p in enumerate(pages):
+        far = np.frombuffer(p["spread"])
+        nodes[k] = (p["parent"], at, len(far), p["radius"], far.min() if len(far) else 0.0, p["to_parent"])
+        at += len(far)
+    vectors = np.frombuffer(b"".join(p["vectors"] for p in pages)).astype(narrow(longest))
+    return {"route": pages[0]["route"], "radius": pages[0]["radius"], "nodes": nodes.tobytes(), "routes": b"".join(p["route"] for p in pages), "ids": b"".join(p["ids"] for p in pages), "vectors": vectors.tobytes()}
+
+
+def _blocks(placed: DataFrame, longest: dict[int, float]) -> DataFrame:
+    """All blocks; a block is (dim, pivot, share of the pivot's rows) in one number."""
     rows = placed.repartition("block").sortWithinPartitions("block").select("block", "vec_id", "v")
+    schema = pa.schema([("block", pa.int64()), ("route", pa.binary()), ("radius", pa.float64()), ("nodes", pa.binary()), ("routes", pa.binary()), ("ids", pa.binary()), ("vectors", pa.binary())])
 
-    def to_pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[int, list[int]]] = []
-        now = None
+    def to_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, ids, held = None, [], []
 
         def finish() -> Iterator[pa.RecordBatch]:
             if held:
-                v = np.array([x for _, x in held], np.float64)
-                for p in build(np.array([i for i, _ in held], np.int64), v, longest[v.shape[1]]):
-                    yield pa.RecordBatch.from_pylist([p | {"block": now}], schema=_NODE_SCHEMA)
+                dim = now // _DIM
+                v = np.frombuffer(b"".join(held), narrow(longest[dim])).reshape(-1, dim).astype(np.float64)
+                yield pa.RecordBatch.from_pylist([{"block": now} | packed(np.concatenate(ids), v, longest[dim])], schema=schema)
 
         for batch in batches:
-            for b, i, v in zip(*(batch.column(c).to_pylist() for c in ("block", "vec_id", "v")), strict=True):
-                if b != now:
+            block, own = batch.column("block").to_numpy(), batch.column("vec_id").to_numpy()
+            cuts = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), len(block)]
+            for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+                if x == y:
+                    continue
+                if block[x] != now:
                     yield from finish()
-                    now, held = b, []
-                held.append((i, v))
+                    now, ids, held = int(block[x]), [], []
+                ids.append(own[x:y].copy())
+                held.extend(batch.column("v").slice(x, y - x).to_pylist())
         yield from finish()
         release()
 
-    return rows.mapInArrow(to_pages, _NODE)
+    return rows.mapInArrow(to_blocks, _BLOCK)
+
+
+class Search:
+    """Many queries at once through one block after the other, with the k best of each so far.
+
+    ``floor`` is a score that a query's results reach at least, where one is known.
+    """
+
+    def __init__(self, own: np.ndarray, q: np.ndarray, k: int, longest: float, floor: np.ndarray, home: np.ndarray):
+        order = np.argsort(own, kind="stable")
+        self.own, self.home, self.k, self.longest = own[order], home[order], k, longest
+        self.q = np.ascontiguousarray(q[order], exact(longest))
+        self.norm = (self.q.astype(np.float64) ** 2).sum(axis=1)
+        self.least = floor[order].astype(np.float64)  # scores below it don't matter, nor do equal ones with an id from last_id on
+        self.last_id = np.full(len(own), np.iinfo(np.int64).max)
+        self.top = np.full((len(own), k), -np.inf)
+        self.found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        self.computed, self.blocks, self.size = np.zeros(len(own), np.int64), np.zeros(len(own), np.int64), 0
+
+    def reach(self, at: np.ndarray) -> np.ndarray:
+        far = np.full(len(at), np.inf)
+        some = np.isfinite(self.least[at])
+        a = at[some]
+        far[some] = np.sqrt(np.maximum(0.0, self.norm[a] + self.longest - 2 * self.least[a]) + 1e-7 * (1 + self.longest + self.norm[a])) + 1e-6
+        return far
+
+    def visit(self, block: int | None, dim: int, row: dict, first: bool) -> None:
+        """``first`` takes the queries whose own block this is, otherwise all others."""
+        nodes, routes = np.frombuffer(row["nodes"], _PAGE), np.frombuffer(row["routes"]).reshape(-1, dim + 1)
+        ids, v = np.frombuffer(row["ids"], np.int64), np.frombuffer(row["vectors"], narrow(self.longest)).reshape(-1, dim).astype(self.q.dtype)
+        child: list[list[int]] = [[] for _ in nodes]
+        for n, p in enumerate(nodes["parent"].tolist()):
+            if p >= 0:
+                child[p].append(n)
+        square, mine = (routes * routes).sum(axis=1), np.flatnonzero((self.home == block) == first)
+
+        def far(at: np.ndarray, pages: list[int]) -> np.ndarray:
+            self.computed[at] += len(pages)
+            return np.sqrt(np.maximum(0.0, self.norm[at][:, None] + square[pages] - 2 * self.q[at].astype(np.float64) @ routes[pages, :-1].T))
+
+        def leaf(n: int, at: np.ndarray) -> None:
+            x, size = int(nodes["start"][n]), int(nodes["size"][n])
+            self.take(at, ids[x : x + size], v[x : x + size])
+
+        def nearest(n: int, at: np.ndarray) -> None:
+            if not child[n]:
+                seen[at - at0] = n
+                leaf(n, at)
+                return
+            own = far(at, child[n]).argmin(axis=1)
+            for c in np.unique(own).tolist():
+                nearest(child[n][c], at[own == c])
+
+        def walk(n: int, at: np.ndarray, d: np.ndarray) -> None:
+            if not child[n]:
+                # entries lie between the page's inner and outer distance from its routing vector
+                on = (nodes["inner"][n] - d <= self.reach(at)) & (seen[at - at0] != n)
+                if on.any():
+                    leaf(n, at if on.all() else at[on])
+                return
+            c = child[n]
+            low = np.abs(d[:, None] - nodes["to_parent"][c]) - nodes["radius"][c]
+            if not (low <= self.reach(at)[:, None]).any():
+                return
+            all_far = far(at, c)
+            for j in np.argsort(all_far.mean(axis=0)).tolist():
+                on = np.maximum(low[:, j], all_far[:, j] - nodes["radius"][c[j]]) <= self.reach(at)
+                if on.all():
+                    walk(c[j], at, all_far[:, j])
+                elif on.any():
+                    walk(c[j], at[on], all_far[on, j])
+
+        for x in range(0, len(mine), SLICE_QUERIES):
+            at = mine[x : x + SLICE_QUERIES]
+            d = far(at, [0])[:, 0]
+            on = d - nodes["radius"][0] <= self.reach(at)
+            at, d = at[on], d[on]
+            if not len(at):
+                continue
+            at0 = int(at[0])
+            seen = np.full(int(at[-1]) - at0 + 1, -1)
+            self.blocks[at] += 1
+            if first:
+                nearest(0, at)
+            walk(0, at, d)
+
+    def take(self, at: np.ndarray, ids: np.ndarray, v: np.ndarray) -> None:
+        """Scores of some queries with the entries of one page."""
+        self.computed[at] += len(ids)
+        whole = len(at) == at[-1] - at[0] + 1
+        score = (self.q[at[0] : at[-1] + 1] if whole else self.q[at]) @ v.T
+        place = np.minimum(np.searchsorted(self.own[at], ids), len(at) - 1)
+        self_rows = np.flatnonzero(self.own[at[place]] == ids)
+        score[place[self_rows], self_rows] = -np.inf
+        who, which = np.nonzero(score >= np.maximum(self.least[at], -1e30).astype(score.dtype)[:, None])
+        if not len(who):
+            return
+        s, i = score[who, which].astype(np.float64), ids[which]
+        good = (s > self.least[at[who]]) | (i < self.last_id[at[who]])
+        who, s, i = who[good], s[good], i[good]
+        if not len(who):
+            return
+        self.found.append((at[who], i, s))
+        self.size += len(who)
+        hit, slot = np.unique(who, return_inverse=True)
+        place = np.arange(len(who)) - np.searchsorted(who, hit)[slot]  # ``who`` is in order
+        more = np.full((len(hit), int(place.max()) + 1), -np.inf)
+        more[slot, place] = s
+        rows = at[hit]
+        both = np.hstack([self.top[rows], more])
+        self.top[rows] = both = np.partition(both, both.shape[1] - self.k, axis=1)[:, -self.k :]
+        least = both.min(axis=1)
+        risen = least > self.least[rows]
+        self.least[rows[risen]] = least[risen]
+        self.last_id[rows[risen]] = np.iinfo(np.int64).max
+        if self.size > MOST_FOUND + 2 * self.k * len(self.own):
+            self.trim()
+
+    def trim(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Only the k best of every query stay, ties to the least id."""
+        who, i, s = (np.concatenate([f[c] for f in self.found]) if self.found else np.empty(0, t) for c, t in enumerate((np.int64, np.int64, np.float64)))
+        order = np.lexsort((i, -s, who))
+        who, i, s = who[order], i[order], s[order]
+        rank = np.arange(len(who)) - np.searchsorted(who, who)
+        kth = rank == self.k - 1
+        on = kth & (s >= self.least[who])
+        self.last_id[who[on]] = i[on]
+        good = rank < self.k
+        who, i, s = who[good], i[good], s[good]
+        self.found, self.size = [(who, i, s)], len(who)
+        return who, i, s
+
+
+def _chunked(asked: DataFrame, by: list[str]) -> DataFrame:
+    """``dim, part, asked``: queries in lists of about CHUNK_ROWS, PART_QUERIES in a part at most (about)."""
+    sizes = asked.groupBy(*by).agg(F.ceil(F.count("*") / CHUNK_ROWS).alias("chunks"))
+    each = asked.join(sizes, by).withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks")))
+    lists = each.groupBy(*by, "chunk").agg(F.collect_list(F.struct("vec_id", "v", "bound", "own")).alias("asked"))
+    return lists.withColumn("share", F.floor(F.col("chunk") / (PART_QUERIES // CHUNK_ROWS)).cast("long"))
+
 
+class _Part:
+    """The queries of one key, put together from lists."""
 
-def _chunked(asked: DataFrame, by: str, scratch: Scratch, name: str) -> DataFrame:
-    """``by, part, asked``: queries in lists of about CHUNK_ROWS, some lists to a part."""
-    sizes = asked.groupBy(by).agg(F.ceil(F.count("*") / CHUNK_ROWS).alias("chunks"))
-    each = asked.join(sizes, by).withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks")))
-    lists = each.groupBy(by, "chunk").agg(F.collect_list(F.struct("vec_id", "v", "bound")).cast(_ASKED).alias("asked"))
-    return scratch.keep(lists.select(by, F.floor(F.col("chunk") / CHUNKS_PER_TASK).cast("long").alias("part"), "asked"), name)
+    def __init__(self) -> None:
+        self.lists: list[pa.Array] = []
 
+    def add(self, column: pa.ListArray, row: int) -> None:
+        self.lists.append(column[row].values)
 
-def _routed(lists: DataFrame, roots: DataFrame, longest: dict[int, float]) -> DataFrame:
-    """``block, part, asked``: for every block the queries that its ball can serve, their own blocks left out."""
-    some = roots.select(F.floor(F.col("block") / _DIM).cast("int").alias("dim"), F.struct("block", "route", "radius").alias("root"))
-    n = some.groupBy("dim").agg(F.ceil(F.count("*") / ROOT_ROWS).alias("groups"))
-    grouped = some.join(n, "dim").withColumn("group", F.pmod(F.xxhash64("root.block"), F.col("groups"))).groupBy("dim", "group").agg(F.collect_list("root").alias("roots"))
+    def arrays(self, dim: int, longest: float) -> tuple[np.ndarray, ...]:
+        of = lambda f: pa.concat_arrays([x.field(f) for x in self.lists])
+        v = np.frombuffer(b"".join(of("v").to_pylist()), narrow(longest)).reshape(-1, dim)
+        bound = of("bound").to_numpy(zero_copy_only=False).astype(np.float64)
+        return of("vec_id").to_numpy(), v, np.where(np.isnan(bound), -np.inf, bound), of("own").to_numpy()
+
+
+def _routed(lists: DataFrame, blocks: DataFrame, longest: dict[int, float]) -> DataFrame:
+    """``dim, part, block``: for every part of the queries the blocks whose balls can serve one of them, not as its own."""
+    roots = blocks.select(F.floor(F.col("block") / _DIM).cast("int").alias("dim"), "block", "route", "radius")
+    n = roots.groupBy("dim").agg(F.ceil(F.count("*") / ROOT_ROWS).alias("groups"))
+    roots = roots.join(n, "dim").withColumn("group", F.pmod(F.xxhash64("block"), F.col("groups")))
     parts = lists.select("dim", "part").distinct()
-    both = grouped.join(parts, "dim").join(lists.join(n, "dim").withColumn("group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups") - 1))).drop("groups"), ["dim", "part", "group"])
-    schema = pa.schema([("block", pa.int64()), ("part", pa.int64()), ("asked", pa.list_(pa.struct([("vec_id", pa.int64()), ("v", pa.list_(pa.int64())), ("bound", pa.int64())])))])
+    none = F.lit(None)
+    left = lists.join(n, "dim").select("dim", "part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups") - 1)).alias("group"), F.lit(0).alias("kind"), "asked", none.cast("long").alias("block"), none.cast("binary").alias("route"), none.cast("double").alias("radius"))
+    right = roots.join(parts, "dim").select("dim", "part", "group", F.lit(1).alias("kind"), none.cast(lists.schema["asked"].dataType).alias("asked"), "block", "route", "radius")
+    rows = left.unionByName(right).repartition("dim", "part", "group").sortWithinPartitions("dim", "part", "group", "kind")
+    schema = pa.schema([("dim", pa.int32()), ("part", pa.int64()), ("block", pa.int64())])
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, held, search = None, _Part(), None
         for batch in batches:
-            for row in range(batch.num_rows):
-                dim, part, roots, asked = (batch.column(c)[row].as_py() for c in ("dim", "part", "roots", "asked"))
-                q = np.array([a["v"] for a in asked], np.float64)
-                r = np.array([np.frombuffer(x["route"]) for x in roots])
-                radius, norm = np.array([x["radius"] for x in roots]), (q * q).sum(axis=1)
-                far = np.sqrt(np.maximum(0.0, norm[:, None] + (r * r).sum(axis=1)[None, :] - 2 * q @ r[:, :-1].T))
-                reach = np.array([np.inf if a["bound"] is None else reached(n, longest[dim], a["bound"]) for a, n in zip(asked, norm.tolist(), strict=True)])
-                wanted = far - radius[None, :] <= reach[:, None] + 1e-6
-                for k, root in enumerate(roots):
-                    own = [a for a, w in zip(asked, wanted[:, k].tolist(), strict=True) if w and a["own"] != root["block"]]
-                    if own:
-                        yield pa.RecordBatch.from_pylist([{"block": root["block"], "part": part, "asked": [{x: a[x] for x in ("vec_id", "v", "bound")} for a in own]}], schema=schema)
-
-    return both.repartition("dim", "part", "group").mapInArrow(route, f"block long, part long, asked {_ASKED}")
-
-
-def _searched(pages: DataFrame, asked: DataFrame, longest: dict[int, float], k: int) -> DataFrame:
-    """``query_id, vec_id, score`` of every query's best in every block it goes to; a row without ``vec_id`` has the distances computed."""
-    parts = asked.select("block", "part").distinct()
-    nodes = pages.join(parts, "block").select("block", "part", F.lit(0).alias("kind"), F.struct("node", "parent", "leaf", "route", "radius", "to_parent", "ids", "vectors", "spread").alias("page"), F.lit(None).cast(_ASKED).alias("asked"))
-    to_blocks = asked.select("block", "part", F.lit(1).alias("kind"), F.lit(None).cast(nodes.schema["page"].dataType).alias("page"), "asked")
-    tasks = nodes.unionByName(to_blocks).repartition("block", "part").sortWithinPartitions("block", "part", "kind")
-    result = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
-
-    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, held, tree = None, [], None
-        for batch in batches:
-            for row in range(batch.num_rows):
-                b, part, kind, page, queries = (batch.column(c)[row].as_py() for c in ("block", "part", "kind", "page", "asked"))
-                if (b, part) != key:
-                    key, held, tree = (b, part), [], None
-                if kind == 0:
-                    held.append(page)
+            dims, parts, groups, kinds, block = (batch.column(c).to_pylist() for c in ("dim", "part", "group", "kind", "block"))
+            wanted = []
+            for row, now in enumerate(zip(dims, parts, groups, strict=True)):
+                if now != key:
+                    key, held, search = now, _Part(), None
+                if kinds[row] == 0:
+                    held.add(batch.column("asked"), row)
                     continue
-                if tree is None and held:
-                    dim = b // _DIM
-                    tree, held = Tree(held, dim, longest[dim]), []
-                if tree is None:
+                dim = dims[row]
+                if search is None:
+                    own, v, floor, home = held.arrays(dim, longest[dim])
+                    search = Search(own, v, 1, longest[dim], floor, home)
+                    reach, q = search.reach(np.arange(len(own))), search.q.astype(np.float64)
+                r = np.frombuffer(batch.column("route")[row].as_py())
+                far = np.sqrt(np.maximum(0.0, search.norm + r @ r - 2 * q @ r[:-1]))
+                if ((far - batch.column("radius")[row].as_py() <= reach) & (search.home != block[row])).any():
+                    wanted.append((dim, parts[row], block[row]))
+            yield pa.RecordBatch.from_arrays([pa.array([w[c] for w in wanted], schema[c].type) for c in range(3)], schema=schema)
+        release()
+
+    return rows.mapInArrow(route, "dim int, part long, block long")
+
+
+def _searched(blocks: DataFrame, lists: DataFrame, pairs: DataFrame, longest: dict[int, float], k: int, first: bool, tasks: int) -> DataFrame:
+    """``query_id, vec_id, score``: every query's best in the blocks that ``pairs`` (dim, part, group, block) give its part.
+
+    A row without ``vec_id`` has the distances computed, and the number of blocks. A
+    task holds its queries, and one block at a time.
+    """
+    none = F.lit(None)
+    some = ("nodes", "routes", "ids", "vectors")
+    left = lists.join(pairs.select("dim", "part", "group").distinct(), ["dim", "part"]).select("dim", "part", "group", F.lit(0).alias("kind"), "asked", none.cast("long").alias("block"), *(none.cast("binary").alias(c) for c in some))
+    right = blocks.join(pairs, "block").select("dim", "part", "group", F.lit(1).alias("kind"), none.cast(lists.schema["asked"].dataType).alias("asked"), "block", *some)
+    rows = left.unionByName(right).repartition(tasks, "dim", "part", "group").sortWithinPartitions("dim", "part", "group", "kind")
+    result = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64()), ("blocks", pa.int64())])
+
+    def told(search: Search | None) -> Iterator[pa.RecordBatch]:
+        if search is None:
+            return
+        who, ids, score = search.trim()
+        n = len(search.own)
+        yield pa.RecordBatch.from_arrays([pa.array(search.own[who]), pa.array(ids), pa.array(score.astype(np.int64)), pa.nulls(len(who), pa.int64())], schema=result)
+        yield pa.RecordBatch.from_arrays([pa.array(search.own), pa.nulls(n, pa.int64()), pa.array(search.computed), pa.array(search.blocks)], schema=result)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, held, search = None, _Part(), None
+        for batch in batches:
+            dims, parts, groups, kinds, block = (batch.column(c).to_pylist() for c in ("dim", "part", "group", "kind", "block"))
+            for row, now in enumerate(zip(dims, parts, groups, strict=True)):
+                if now != key:
+                    yield from told(search)
+                    key, held, search = now, _Part(), None
+                dim = dims[row]
+                if kinds[row] == 0:
+                    held.add(batch.column("asked"), row)
                     continue
-                found = [(x["vec_id"], *tree.search(x["vec_id"], np.array(x["v"], np.float64), k, x["bound"])) for x in queries]
-                ids = np.concatenate([np.repeat(q, len(i)) for q, i, _, _ in found] + [[q for q, *_ in found]]).astype(np.int64)
-                vec = pa.array(np.concatenate([i for _, i, _, _ in found])), pa.nulls(len(found), pa.int64())
-                score = np.concatenate([s for _, _, s, _ in found] + [[c for *_, c in found]]).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.concat_arrays([x.cast(pa.int64()) for x in vec]), pa.array(score)], schema=result)
+                if search is None:
+                    own, v, floor, home = held.arrays(dim, longest[dim])
+                    search, held = Search(own, v, k, longest[dim], floor, home), _Part()
+                search.visit(block[row], dim, {c: batch.column(c)[row].as_py() for c in some}, first)
+        yield from told(search)
         release()
 
-    return tasks.mapInArrow(search, "query_id long, vec_id long, score long")
+    return rows.mapInArrow(run, "query_id long, vec_id long, score long, blocks long")
+
+
+@contextlib.contextmanager
+def small_batches(spark: SparkSession):
+    """Batches of a few rows while tables are written whose rows are blocks: a batch is a few MB."""
+    name, was = "spark.sql.execution.arrow.maxRecordsPerBatch", spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set(name, str(BATCH_BLOCKS))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, was)
 
 
 def _answers(rows: DataFrame, queries: DataFrame, k: int, id_col: str, vector_col: str) -> tuple[DataFrame, Scratch]:
@@ -295,25 +508,41 @@ def _answers(rows: DataFrame, queries: DataFrame, k: int, id_col: str, vector_co
     scratch = Scratch(spark, "metric-trees")
     data = scratch.keep(_vectors(rows, id_col, vector_col), "vectors")
     square = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
-    sizes = data.groupBy("dim").agg(F.count("*").alias("n"), F.max(square).alias("longest")).collect()  # a row for each length of vectors
+    asked = _vectors(queries, id_col, vector_col).groupBy("vec_id").agg(F.min_by(F.struct("dim", "v"), "v").alias("x")).select("vec_id", "x.dim", "x.v")
+    asked = scratch.keep(asked, "asked-vectors")
+    lengths = data.select("dim", square.alias("s"), F.lit(1).alias("n")).unionByName(asked.select("dim", square.alias("s"), F.lit(0).alias("n")))
+    sizes = [r for r in lengths.groupBy("dim").agg(F.sum("n").alias("n"), F.max("s").alias("longest")).collect() if r.n]  # a row for each length of vectors
     longest = {r.dim: r.longest for r in sizes}
     pivots = _pivots(data, {r.dim: r.n for r in sizes}) if sizes else {}
     placed = scratch.keep(_placed(data, pivots, longest), "placed")
+    scratch.drop("vectors")
     shares = placed.groupBy("dim", "pivot").agg(F.ceil(F.count("*") / BLOCK_ROWS).alias("shares"))  # MAX_PIVOTS rows for each length
     block = F.col("dim").cast("long") * _DIM + F.col("pivot") * _PIVOT
     dealt = placed.withColumn("_row", F.monotonically_increasing_id()).join(F.broadcast(shares), ["dim", "pivot"]).withColumn("block", block + F.pmod(F.xxhash64("_row"), F.col("shares")))
-    pages = scratch.keep(_pages(dealt, longest), "pages")
-    asked = _vectors(queries, id_col, vector_col).groupBy("vec_id").agg(F.min_by(F.struct("dim", "v"), "v").alias("x")).select("vec_id", "x.dim", "x.v")
-    asked = _placed(asked.where(F.col("dim").isin(list(longest))), pivots, longest).withColumn("block", block).withColumn("bound", F.lit(None).cast("long"))
+    blocks = scratch.keep(_blocks(dealt, longest), "blocks")
+    asked = _placed(asked.where(F.col("dim").isin(list(longest))), pivots, longest).withColumn("own", block).withColumn("bound", F.lit(None).cast("long"))
     asked = scratch.keep(asked, "asked")
-    first = scratch.keep(_searched(pages, _chunked(asked, "block", scratch, "own-lists"), longest, k), "own-results")
+    # first pass: every query in its own block, a part for each block and PART_QUERIES of its queries
+    lists = scratch.keep(_chunked(asked, ["dim", "own"]), "own-lists").select("dim", "own", "asked", (F.col("own") + F.col("share")).alias("part"))
+    pairs = scratch.keep(lists.select("dim", "part", F.lit(0).cast("long").alias("group"), F.col("own").alias("block")).distinct(), "own-pairs")
+    least = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    with small_batches(spark):
+        first = scratch.keep(_searched(blocks, lists.drop("own"), pairs, longest, k, True, max(least, min(MAX_TASKS, pairs.count()))), "own-results")
     bounds = first.where("vec_id is not null").groupBy("query_id").agg(F.sort_array(F.collect_list("score"), False).alias("s")).where(F.size("s") >= k).select(F.col("query_id").alias("vec_id"), F.element_at("s", k).alias("bound"))  # k scores of a query
-    bounded = asked.drop("bound").join(bounds, "vec_id", "left").withColumnRenamed("block", "own")
-    n = bounded.groupBy("dim").agg(F.ceil(F.count("*") / CHUNK_ROWS).alias("chunks"))
-    lists = bounded.join(n, "dim").withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks"))).groupBy("dim", "chunk").agg(F.collect_list(F.struct("vec_id", "v", "bound", "own")).alias("asked"))
-    lists = scratch.keep(lists.select("dim", F.floor(F.col("chunk") / CHUNKS_PER_TASK).cast("long").alias("part"), "asked"), "lists")
-    routed = scratch.keep(_routed(lists, pages.where("node = 0").select("block", "route", "radius"), longest), "routed")
-    rest = scratch.keep(_searched(pages, routed, longest, k), "results")
+    # second pass: parts of queries that lie near each other, against the blocks in reach of any
+    n = asked.groupBy("dim", "pivot").agg(F.count("*").alias("n"))  # MAX_PIVOTS rows for each length
+    before = F.sum("n").over(Window.partitionBy("dim").orderBy("pivot")) - F.col("n")
+    regions = n.select("dim", "pivot", F.floor(before / PART_QUERIES).cast("long").alias("region"))
+    bounded = asked.drop("bound").join(F.broadcast(regions), ["dim", "pivot"]).join(bounds, "vec_id", "left")
+    lists = scratch.keep(_chunked(bounded, ["dim", "region"]), "lists").select("dim", "asked", (F.col("region") * 2**24 + F.col("share")).alias("part"))
+    with small_batches(spark):
+        routed = scratch.keep(_routed(lists, blocks, longest), "routed")
+    n_pairs = routed.count()
+    each = max(1, min(GROUP_BLOCKS, n_pairs // MIN_GROUPS))
+    groups = routed.groupBy("dim", "part").agg(F.ceil(F.count("*") / each).alias("groups"))
+    pairs = scratch.keep(routed.join(groups, ["dim", "part"]).withColumn("group", F.pmod(F.xxhash64("block"), F.col("groups"))).drop("groups"), "pairs")
+    with small_batches(spark):
+        rest = scratch.keep(_searched(blocks, lists, pairs, longest, k, False, max(least, min(MAX_TASKS, 2 * n_pairs // each))), "results")
     return first.unionByName(rest), scratch
 
 
@@ -328,4 +557,4 @@ def top_k(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_i
 def work(rows: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """``query_id, computed, blocks``: distances that the search computes for every query, and blocks it goes to."""
     found, scratch = _answers(rows, queries, k, id_col, vector_col)
-    return scratch.last(found.where("vec_id is null").groupBy("query_id").agg(F.sum("score").alias("computed"), F.count("*").alias("blocks")), "work")
+    return scratch.last(found.where("vec_id is null").groupBy("query_id").agg(F.sum("score").alias("computed"), F.sum("blocks").alias("blocks")), "work")

@@ -81,3 +81,20 @@ def test_blocks_and_bounds_leave_work_out(spark, monkeypatch):
     assert got == brute(scaled, {i: v for i, v in scaled if i % 100 == 0}, 5)
     done = metric_tree.work(df, queries, 5).collect()
     assert len(done) == len(got) and sum(r.computed for r in done) < 0.5 * len(done) * len(rows)
+
+
+def test_parts_groups_and_ties(spark, monkeypatch):
+    """Near-isotropic vectors and copies over many parts, regions and groups: the rows of a scan, and no batch of many blocks."""
+    for name, value in (("BLOCK_ROWS", 100), ("CHUNK_ROWS", 8), ("PART_QUERIES", 32), ("SLICE_QUERIES", 16), ("ROOT_ROWS", 5), ("GROUP_BLOCKS", 3), ("MIN_GROUPS", 1), ("MOST_FOUND", 100)):
+        monkeypatch.setattr(metric_tree, name, value)
+    held, keep = {}, metric_tree.Scratch.keep
+    monkeypatch.setattr(metric_tree.Scratch, "keep", lambda self, df, name: held.update({name: spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")}) or keep(self, df, name))
+    rng = np.random.default_rng(9)
+    rows = [(i, rng.normal(0, 0.2, 16).tolist()) for i in range(1500)] + [(1500 + 7 * i, [0.3] * 16) for i in range(400)] + [(9000 + i, [float(2000 * i), 1.0]) for i in range(30)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = {}
+    for r in metric_tree.top_k(df, df.where("vec_id % 9 = 0"), 6).orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    scaled = [(i, [math.floor(64 * x) for x in v]) for i, v in rows]
+    assert got == brute(scaled, {i: v for i, v in scaled if i % 9 == 0}, 6)
+    assert int(held["results"]) <= 16 and int(held["own-results"]) <= 16

@@ -48,3 +48,24 @@ def test_choice_on_averages_keeps_a_method_below_the_target(spark):
     levels = rows("eps double", [("plain", 0.1, 0.8), ("plain", 1.0, 0.8), ("private", 0.1, 0.4), ("private", 1.0, 0.5)])
     shares = rows("unknown double", [("plain", 0.1, 0.8), ("plain", 0.5, 0.6), ("plain", 0.9, 0.5), ("private", 0.1, 0.5)])
     assert sorted(map(tuple, experiment.choice(widths, levels, shares, 0.03, 0.55).collect())) == [("plain", 6, 0.1, 0.5), ("private", 2, 1.0, None)]
+
+
+@pytest.mark.parametrize("sim", ["cosine", "pearson", "jaccard"])
+def test_dense_neighbours_equal_the_join(spark, sim, monkeypatch):
+    """Users with equal ratings, ties, missing cells and several runs: the same neighbours as a join of all pairs, in lists of a few."""
+    import random
+
+    monkeypatch.setattr(baselines, "DENSE_ROWS", 7)
+    rng = random.Random(6)
+    rows = [(run, u, f"i{i}", float((u * 7 + i * (1 + u % 5)) % 3 > 0)) for run in range(2) for u in range(60) for i in range(6) if rng.random() < 0.8 or u < 20]
+    t = spark.createDataFrame(rows, "run int, user_id long, item_id string, rating double")
+    got = {(r.run, r.a, r.b): r.s for r in baselines._top(t, "user_id", 4, sim, 2, ("run",)).collect()}
+    monkeypatch.setattr(baselines, "MAX_DENSE", 0)
+    want = {(r.run, r.a, r.b): r.s for r in baselines._top(t, "user_id", 4, sim, 2, ("run",)).collect()}
+    assert got == pytest.approx(want) and len(want) > 300
+
+
+def test_cf_user_makes_no_row_for_each_pair(spark, small):
+    t = queries.triples(spark, small)
+    plan = baselines.cf_user(t.select("user_id", "item_id"), t)._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan and "common" not in plan

@@ -129,13 +129,19 @@ class Lexicon:
 
     def __post_init__(self) -> None:
         self.memo: dict[str, tuple[int, int] | None] = {}
+        self.parts: dict[str, tuple[int, int] | None] = {}
         self.words = {t: i for i, t in enumerate(self.terms) if t[-1] != "-"}
         self.stems = {t[:-1]: i for i, t in enumerate(self.terms) if t[-1] == "-"}
         self.lengths = sorted({len(t) for t in self.stems})
         self.number = list(self.words.values())
         self.trie = Trie(list(self.words))
         self.bounds = [allowed_errors(len(t)) for t in self.words]
-        self.near_lengths: dict[int, tuple[np.ndarray, ...]] = {}
+        self.letters = [letters_of(t) for t in self.words]
+        self.parts_of: dict[int, dict[str, list[tuple[int, int, int, int]]]] = {}
+        for i, (t, b) in enumerate(zip(self.words, self.bounds, strict=True)):
+            cuts = [len(t) * k // (b + 1) for k in range(b + 2)] if b else []
+            for x, y in zip(cuts, cuts[1:], strict=False):
+                self.parts_of.setdefault(y - x, {}).setdefault(t[x:y], []).append((i, x, len(t), b))
 
     def __getstate__(self) -> tuple:
         return self.terms, self.weights, self.innocent
@@ -154,20 +160,22 @@ class Lexicon:
                 return found
         return None
 
-    def reachable(self, length: int) -> tuple[np.ndarray, ...]:
-        """Terms that a word of this length can be: numbers, letters, how many of these the word may lack, how many of the word's they may."""
-        if length not in self.near_lengths:
-            rows = [(i, letters_of(t), b - max(0, length - len(t)), b - max(0, len(t) - length)) for i, (t, b) in enumerate(zip(self.words, self.bounds, strict=True)) if 0 < b >= abs(len(t) - length)]
-            self.near_lengths[length] = tuple(np.array([r[k] for r in rows], np.uint64 if k == 1 else np.int64) for k in range(4))
-        return self.near_lengths[length]
-
     def possible(self, word: str) -> list[int]:
-        """The terms that the word's letters don't rule out."""
-        number, terms, lacks, extra = self.reachable(len(word))
-        if not len(terms):
+        """The terms that the word's parts and letters don't rule out.
+
+        Of a term in one part more than it may have errors, a word that is near enough
+        holds one part as it is, moved by no more places than there are errors.
+        """
+        n, found = len(word), set()
+        for size, table in self.parts_of.items():
+            for i in range(n - size + 1):
+                for t, at, length, b in table.get(word[i : i + size], ()):
+                    if abs(at - i) <= b and abs(length - n) <= b:
+                        found.add(t)
+        if not found:
             return []
-        own = np.uint64(letters_of(word))
-        return number[(np.bitwise_count(terms & ~own) <= lacks) & (np.bitwise_count(own & ~terms) <= extra)].tolist()
+        own = letters_of(word)
+        return [t for t in sorted(found) if (self.letters[t] & ~own).bit_count() <= self.bounds[t] - max(0, n - len(self.trie.paths[t])) and (own & ~self.letters[t]).bit_count() <= self.bounds[t] - max(0, len(self.trie.paths[t]) - n)]
 
     def match(self, chunk: str) -> tuple[int, int] | None:
         """Term and edit distance for a chunk between white space."""
@@ -187,6 +195,16 @@ class Lexicon:
         return None
 
     def misspelled(self, low: str) -> tuple[int, int] | None:
+        """The nearest term of a word; the same for all chunks that hold the word."""
+        try:
+            return self.parts[low]
+        except KeyError:
+            if len(self.parts) >= MEMO_ENTRIES:
+                self.parts.clear()
+            found = self.parts[low] = self.nearest(low)
+            return found
+
+    def nearest(self, low: str) -> tuple[int, int] | None:
         if low in self.innocent:
             return None
         plain = low.translate(LOOKALIKES)

@@ -284,3 +284,33 @@ def test_op9_rows_equal_brute_force(spark, small):
         total = sum(word_log(w) for w in words) / math.sqrt(len(words))
         e = np.exp(total - total.max())
         assert r.lang_pred == model.languages[int(e.argmax())] and abs(r.score - e.max() / e.sum()) < 1e-6
+
+
+def test_parts_of_terms_rule_no_near_word_out():
+    """Words within a term's errors are found by its parts, and unlike words are ruled out without a table of all terms."""
+    import random
+
+    rng = random.Random(8)
+    terms = sorted({"".join(rng.choice("abcdefgh") for _ in range(rng.randrange(4, 12))) for _ in range(300)})
+    lexicon = toxicity.Lexicon(terms, [1.0] * len(terms))
+    words = [*terms, *("".join(rng.choice("abcdefgh") for _ in range(rng.randrange(3, 13))) for _ in range(200))]
+    for _ in range(600):
+        w = list(rng.choice(terms))
+        for _ in range(rng.randrange(1, 3)):
+            at, kind = rng.randrange(len(w)), rng.randrange(3)
+            w[at : at + (kind < 2)] = [] if kind == 0 else [rng.choice("abcdefghz")]
+        words.append("".join(w))
+    for w in words:
+        every = lexicon.trie.near(w, 2, lexicon.bounds)
+        some = lexicon.possible(w)
+        got = lexicon.trie.near(w, max(lexicon.bounds[i] for i in some), lexicon.bounds, some) if some else (-1, 0)
+        assert got[1] == every[1] and (got[0] >= 0) == (every[0] >= 0) or every[1] == 0
+    assert toxicity.Lexicon(["abcdefgh"], [1.0]).possible("hgfedcba") == []
+
+
+def test_a_word_is_matched_once_for_all_its_chunks(monkeypatch):
+    seen = []
+    lexicon = toxicity.Lexicon(["badword"], [1.0])
+    near = lexicon.trie.near
+    monkeypatch.setattr(lexicon.trie, "near", lambda w, *a: seen.append(w) or near(w, *a))
+    assert [h[1:] for h in lexicon.hits(["badwrd", "badwrd,", "(badwrd)", "Badwrd!"])] == [(0, 1)] * 4 and seen == ["badwrd"]

@@ -69,3 +69,12 @@ def test_cf_user_makes_no_row_for_each_pair(spark, small):
     t = queries.triples(spark, small)
     plan = baselines.cf_user(t.select("user_id", "item_id"), t)._jdf.queryExecution().optimizedPlan().toString()
     assert "MapInArrow" in plan and "common" not in plan
+
+
+def test_settings_that_differ_in_eps_share_the_plain_fit(spark, small, monkeypatch):
+    seen, fit = [], experiment.factorization.fit_plain
+    monkeypatch.setattr(experiment.factorization, "fit_plain", lambda t, *a: seen.append(t.select("run").distinct().count()) or fit(t, *a))
+    grid = [{"width": 6, "eps": e, "unknown": 0.5} for e in (0.1, 10.0)]
+    rows = experiment.sweep(event_visits(spark, small), grid, folds=2, runs=2, rounds=1, methods=("plain",)).collect()
+    assert seen == [2] and sorted((r.eps, r.run) for r in rows) == [(0.1, 0), (0.1, 1), (10.0, 2), (10.0, 3)]
+    assert len({r.reconstruction for r in rows if r.run in (0, 2)}) == 1

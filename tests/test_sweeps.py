@@ -78,3 +78,37 @@ def test_settings_that_differ_in_eps_share_the_plain_fit(spark, small, monkeypat
     rows = experiment.sweep(event_visits(spark, small), grid, folds=2, runs=2, rounds=1, methods=("plain",)).collect()
     assert seen == [2] and sorted((r.eps, r.run) for r in rows) == [(0.1, 0), (0.1, 1), (10.0, 2), (10.0, 3)]
     assert len({r.reconstruction for r in rows if r.run in (0, 2)}) == 1
+
+
+def test_array_draws_equal_the_columns(spark):
+    """Keys of one and of two blocks, with letters of several bytes."""
+    from locpref.functions import draws, hashing
+
+    texts = [f"{u}:{'x' * (u % 70)}é@{u % 12}" for u in range(300)]
+    t = spark.createDataFrame([(n, x) for n, x in enumerate(texts)], "n int, t string")
+    keys = draws.Keys([x.encode() for x in texts])
+    for run in (7, 899):
+        want = [r[0] for r in t.select("n", hashing.uniform(42, "lap", F.lit(run), F.col("t"), F.lit(3), F.lit(1)).alias("u")).orderBy("n").select("u").collect()]
+        assert keys.uniform([f"42:lap:{run}:".encode()], b":3:1")[0].tolist() == want
+    assert not draws.laplace(keys.uniform([b"42:lap:"])[0], 0.0).any()
+
+
+@pytest.mark.parametrize("empty", [0, 10])
+def test_fits_by_blocks_equal_fits_by_joins(spark, small, monkeypatch, empty):
+    """All fitted methods, users whose ratings are all held, settings alike, a cut repetition, matrices and lists of cells."""
+    from locpref.operators import blocks
+
+    monkeypatch.setattr(blocks, "MOST_EMPTY", empty)
+    monkeypatch.setattr(blocks, "UNIT_CELLS", 300)
+    grid = [{"width": w, "eps": e, "unknown": u} for w, e, u in ((12, 10.0, 0.9), (12, 0.01, 0.9), (6, 2.0, 0.5))]
+    ask = lambda: {(r.method, r.width, r.eps, r.run): (r.fpr, r.recall, r.reconstruction) for r in experiment.sweep(event_visits(spark, small).where("user_id % 3 = 0"), grid, folds=2, runs=3, rounds=2, methods=("plain", *experiment.PROTECT)).collect()}
+    got = ask()
+    monkeypatch.setattr(experiment, "FEW_RUNS", 1000)
+    want = ask()
+    assert len(want) == 7 * 3 * 3 and got == want
+
+
+def test_a_sweep_writes_no_row_for_each_run_and_cell(spark, small, monkeypatch):
+    monkeypatch.setattr(experiment, "repeat", lambda *a: pytest.fail("cells were written once for each run"))
+    rows = experiment.sweep(event_visits(spark, small), [queries.BASE], runs=10, rounds=1)
+    assert rows.count() == 20

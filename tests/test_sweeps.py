@@ -112,3 +112,45 @@ def test_a_sweep_writes_no_row_for_each_run_and_cell(spark, small, monkeypatch):
     monkeypatch.setattr(experiment, "repeat", lambda *a: pytest.fail("cells were written once for each run"))
     rows = experiment.sweep(event_visits(spark, small), [queries.BASE], runs=10, rounds=1)
     assert rows.count() == 20
+
+
+def test_draws_for_some_pairs_equal_those_for_all():
+    """Prefixes of two lengths, keys of one and two blocks, more rows than a piece."""
+    import numpy as np
+
+    from locpref.functions import draws
+
+    keys = draws.Keys([f"{u}:{'é' * (u % 30)}@{u % 12}".encode() for u in range(draws.PIECE // 8 + 5)])
+    heads = [f"42:bit_flip:{n}:".encode() for n in (8, 9, 10, 11)]
+    whole = keys.uniform(heads, b":3")
+    assert (whole == keys.bits(heads, b":3") / 2.0**52).all()
+    which, rows = np.nonzero(whole < 0.9)
+    assert (keys.uniform_at(heads, b":3", which, rows) == whole[which, rows]).all()
+
+
+@pytest.mark.parametrize("p", [0.02, 0.4, 0.97])
+def test_noisy_bits_hash_the_lesser_part_only(p, monkeypatch):
+    """A bit is open, or a coin where it is flipped; a draw that can change nothing is not made."""
+    import numpy as np
+
+    from locpref.functions import draws
+    from locpref.operators import blocks
+
+    plan = blocks.Plan(((0, 0.5, 1.0),), (("plain", None, False),), (0,), ([f"i{n}" for n in range(20)],), 10, 20, 3, 42)
+    item, users, hashed = np.tile(np.arange(20), 60), np.repeat(np.arange(60), 20), []
+    unit = blocks.Unit(plan, 0, 1, users, item, np.ones(1200), np.ones(1200, int))
+    at = draws.Keys.uniform_at
+    monkeypatch.setattr(draws.Keys, "uniform_at", lambda self, *a: hashed.append(len(a[-1])) or at(self, *a))
+    got = unit.bits(2, p)
+    flip, coin = (unit.cells.uniform([f"42:bit_{w}:{n}:".encode() for n in range(10, 20)], b":2") for w in ("flip", "coin"))
+    assert (got == np.where(flip < p, coin < 0.5, 1.0)).all()
+    assert hashed == [int((coin >= 0.5).sum() if p > 0.5 else (flip < p).sum())]
+
+
+def test_a_sweep_passes_its_cells_once_a_round_and_once_to_decide(spark, small, monkeypatch):
+    from locpref.operators import blocks
+
+    passes, summed = [], blocks._summed
+    monkeypatch.setattr(blocks, "_summed", lambda units, work: passes.append(work) or summed(units, work))
+    experiment.sweep(event_visits(spark, small), [queries.BASE], runs=10, rounds=3)
+    assert len(passes) == 4

@@ -154,3 +154,21 @@ def test_a_sweep_passes_its_cells_once_a_round_and_once_to_decide(spark, small,
     monkeypatch.setattr(blocks, "_summed", lambda units, work: passes.append(work) or summed(units, work))
     experiment.sweep(event_visits(spark, small), [queries.BASE], runs=10, rounds=3)
     assert len(passes) == 4
+
+
+def test_votes_by_blocks_equal_votes_by_joins(spark, small, monkeypatch):
+    """Neighbours and majorities: ties, lists of a few users, users whose ratings are all held, settings alike, a cut repetition."""
+    from locpref.operators import votes
+
+    monkeypatch.setattr(votes, "ROWS", 7)
+    monkeypatch.setattr(votes, "COLUMNS", 30)
+    grid = [{"width": w, "eps": e, "unknown": u} for w, e, u in ((12, 10.0, 0.95), (12, 0.01, 0.95), (6, 2.0, 0.5))]
+    visits = event_visits(spark, small).where("user_id % 3 = 0 and event_id % 2 = 0")
+    ask = lambda: {(r.method, r.width, r.eps, r.run): (r.fpr, r.recall, r.reconstruction) for r in experiment.sweep(visits, grid, folds=2, runs=3, methods=votes.METHODS).collect()}
+    repeat = experiment.repeat
+    monkeypatch.setattr(experiment, "repeat", lambda *a: pytest.fail("cells were written once for each run"))
+    got = ask()
+    monkeypatch.setattr(experiment, "repeat", repeat)
+    monkeypatch.setattr(experiment, "FEW_RUNS", 1000)
+    want = ask()
+    assert len(want) == 3 * 3 * 3 and got == want

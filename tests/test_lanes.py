@@ -54,3 +54,18 @@ def test_what_the_text_of_a_plan_cannot_tell_is_drawn_from_arrays(spark):
     plan = blocks.Plan(((0, 0.5, 1.0),), (("plain", None, False),), (0,), (["a\x1fb"],), 4, 6, 3, 7)
     data = spark.createDataFrame([(1,)], "setting int")
     assert plan.said() is None and lanes.with_draws(data, None, 1) is data
+
+
+def test_few_units_go_to_python_at_once(spark):
+    """A unit with the sums of many items is some MB: all units of a task in one batch would not fit."""
+    name, make = "spark.sql.execution.arrow.maxRecordsPerBatch", blocks._told
+    was = spark.conf.get(name)
+    data = spark.createDataFrame([(1, 0, n) for n in range(9)], "setting int, rep int, method int").coalesce(1)
+
+    def work(batches):
+        for b in batches:
+            yield from make({(1, 0, b.column("method")[0].as_py()): np.array([float(b.num_rows)])}, blocks._SCHEMA)
+
+    got = blocks._summed(data, work)
+    assert max(v[0] for v in got.values()) <= blocks.BATCH_UNITS and sum(v[0] for v in got.values()) == 9
+    assert spark.conf.get(name) == was
